@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, mixing, sharding
+from . import line_dedup, mixing, sharding, similarity_join
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_rendezvous_sharding": sharding.query,
     "op4_line_windows": line_dedup.query,
     "op6_source_mixing": mixing.query,
+    "op9_adaptive_prefix_join": similarity_join.query,
 }
 
 ORACLES: dict[str, str] = {
