@@ -23,6 +23,24 @@ SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 
 
+#: The wider set of separators: all ASCII but letters and digits.
+NOT_LETTER = np.ones(256, bool)
+for _first, _end in ((48, 58), (65, 91), (97, 123), (128, 256)):
+    NOT_LETTER[_first:_end] = False
+
+
+def lowered(data: np.ndarray) -> np.ndarray:
+    """Bytes with the capitals of Latin-1's letters lowered too (A-Z are dealt with by ``word_hashes``)."""
+    if len(data) < 2:
+        return data
+    capital = (data[:-1] == 0xC3) & (data[1:] >= 0x80) & (data[1:] <= 0x9E) & (data[1:] != 0x97)
+    if not capital.any():
+        return data
+    data = data.copy()
+    data[1:][capital] += 32
+    return data
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """Avalanche of 64-bit integers (a bijection)."""
     h = h ^ (h >> U(30))
@@ -69,11 +87,11 @@ def slices(column: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int
         first = end
 
 
-def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def words(data: np.ndarray, offsets: np.ndarray, separators: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start and end byte of every word, and how many words each row has (as offsets into the words)."""
     if not len(data):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(offsets), np.int64)
-    inside = ~SPACE[data]
+    inside = ~separators[data]
     begin, last = inside.copy(), inside.copy()
     begin[1:] &= ~inside[:-1]
     last[:-1] &= ~inside[1:]
@@ -119,10 +137,3 @@ def row_shingles(hashes: np.ndarray, bounds: np.ndarray, size: int) -> Iterator[
             yield row[keep]
         else:
             yield shingles(hashes[a:b], b - a) if b > a else np.zeros(0, U)
-
-
-def hashed_words(text: str) -> np.ndarray:
-    """Word hashes of one text."""
-    data = np.frombuffer(text.encode("utf-8", "surrogatepass"), np.uint8)
-    starts, ends, _ = words(data, np.array([0, len(data)]))
-    return word_hashes(data, starts, ends)

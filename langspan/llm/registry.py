@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, mixing, sharding, similarity_join
+from . import decontamination, line_dedup, mixing, quality, sharding, similarity_join
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_rendezvous_sharding": sharding.query,
+    "op2_site_quality": quality.query,
     "op4_line_windows": line_dedup.query,
     "op6_source_mixing": mixing.query,
+    "op8_simhash_decontamination": decontamination.query,
     "op9_adaptive_prefix_join": similarity_join.query,
 }
 
