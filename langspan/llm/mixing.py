@@ -45,14 +45,20 @@ def water_fill(sizes: list[int], weights: list[float], budget: float, most: floa
     return targets
 
 
-def plan_sources(docs: DataFrame, size: Column, source_col: str, weight: Callable[[int, int], float], share: float, most: float) -> list[tuple]:
-    """(source, rows, words, target) of every source, ascending, null last."""
+def plan_sources(docs: DataFrame, size: Column, source_col: str, weight: Callable[[int, int], float], share: float | None, most: float) -> list[tuple]:
+    """(source, rows, words, target) of every source, ascending, null last. The budget is ``share`` of all words, or, for
+    None, the least with which every source is read once at least."""
     found = docs.groupBy(F.col(source_col).cast("string").alias("_s")).agg(F.count(F.lit(1)).alias("rows"), F.sum(size).alias("words")).limit(MAX_SOURCES + 1).collect()
     if len(found) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources")
     found.sort(key=lambda r: (r["_s"] is None, r["_s"] or ""))
     sizes = [int(r["words"] or 0) for r in found]
-    targets = water_fill(sizes, [weight(i, n) if n else 1.0 for i, n in enumerate(sizes)], share * sum(sizes), most)
+    weights = [weight(i, n) if n else 1.0 for i, n in enumerate(sizes)]
+    if share is None:
+        level = max((n / w for n, w in zip(sizes, weights, strict=True)), default=0.0)
+        targets = [max(float(n), min(most * n, level * w)) if n else 0.0 for n, w in zip(sizes, weights, strict=True)]
+    else:
+        targets = water_fill(sizes, weights, share * sum(sizes), most)
     return [(r["_s"], r["rows"], n, t) for r, n, t in zip(found, sizes, targets, strict=True)]
 
 
@@ -62,7 +68,7 @@ def take_words(
     id_col: str = "doc_id",
     source_col: str = "source",
     weight: Callable[[int, int], float] = cyclic_weight,
-    share: float = 1.0,
+    share: float | None = 1.0,
     most: float = MOST_READS,
     seed: str = "mix",
 ) -> DataFrame:
