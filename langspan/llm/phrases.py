@@ -232,7 +232,8 @@ def _range_of(key: Column, cuts: list[int]) -> Column:
     below = lambda values: F.size(F.filter(values, lambda c: c < key))
     literal = lambda values: F.array(*(F.lit(v).cast("bigint") for v in values))
     group = below(literal([g[-1] for g in groups]))
-    return (group * step + F.when(group < len(groups), below(F.element_at(F.array(*map(literal, groups)), F.least(group, F.lit(len(groups) - 1)) + 1))).otherwise(0)).cast("int")
+    inside = below(F.element_at(F.array(*map(literal, groups)), F.least(group, F.lit(len(groups) - 1)) + 1))
+    return F.when(group < len(groups), group * step + inside).otherwise(len(cuts)).cast("int")
 
 
 def compare_in_order(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
