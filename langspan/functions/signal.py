@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from langspan.functions.binding import let
 from langspan.functions.text import SAMPLES_PER_CHAR, hash48
 
 EMPTY = "array<float>"
@@ -25,9 +26,9 @@ def peak(signal: Column) -> Column:
 
 def bounds(signal: Column, threshold: float, relative: bool = True) -> Column:
     """(first, last) index from 1 of the samples above the threshold (a share of the peak, or absolute); null if none is."""
-    limit = peak(signal) * threshold if relative else F.lit(threshold)
-    loud = F.filter(F.transform(signal, lambda x, i: F.when(F.abs(x) > limit, i + 1)), lambda i: i.isNotNull())
-    return F.when(F.size(loud) > 0, F.struct(F.element_at(loud, 1).alias("first"), F.element_at(loud, -1).alias("last")))
+    limit = peak(signal) * threshold if relative else F.lit(float(threshold))
+    loud = let(limit, lambda least: F.filter(F.transform(signal, lambda x, i: F.when(F.abs(x) > least, i + 1)), lambda i: i.isNotNull()))
+    return let(loud, lambda at: F.when(F.size(at) > 0, F.struct(F.element_at(at, 1).alias("first"), F.element_at(at, -1).alias("last"))))
 
 
 def trim(signal: Column, threshold: float = 0.02, relative: bool = True, mode: str = "amplitude", frame: int = 15) -> Column:
@@ -35,14 +36,22 @@ def trim(signal: Column, threshold: float = 0.02, relative: bool = True, mode: s
 
     A signal that is silent throughout becomes empty.
     """
+    nothing = F.array().cast(EMPTY)
     if mode == "amplitude":
-        b = bounds(signal, threshold, relative)
-        return F.when(b.isNotNull(), F.slice(signal, b["first"], b["last"] - b["first"] + 1)).otherwise(F.array().cast(EMPTY))
-    frames = F.transform(F.sequence(F.lit(0), F.greatest(F.ceil(F.size(signal) / frame).cast("int") - 1, F.lit(0))), lambda k: energy(F.slice(signal, k * frame + 1, F.lit(frame))))
-    limit = F.array_max(frames) * threshold if relative else F.lit(threshold)
-    loud = F.filter(F.transform(frames, lambda e, k: F.when(e > limit, k)), lambda k: k.isNotNull())
-    first, last = F.element_at(loud, 1), F.element_at(loud, -1)
-    return F.when(F.size(loud) > 0, F.slice(signal, first * frame + 1, (last - first + 1) * frame)).otherwise(F.array().cast(EMPTY))
+        return let(signal, lambda x: let(bounds(x, threshold, relative), lambda b: F.when(b.isNotNull(), F.slice(x, b["first"], b["last"] - b["first"] + 1)).otherwise(nothing)))
+
+    def by_energy(x: Column) -> Column:
+        count = F.greatest(F.ceil(F.size(x) / frame).cast("int") - 1, F.lit(0))
+        frames = F.transform(F.sequence(F.lit(0), count), lambda k: energy(F.slice(x, k * frame + 1, F.lit(frame))))
+
+        def cut(e: Column) -> Column:
+            limit = F.array_max(e) * threshold if relative else F.lit(float(threshold))
+            loud = let(limit, lambda least: F.filter(F.transform(e, lambda v, k: F.when(v > least, k)), lambda k: k.isNotNull()))
+            return let(loud, lambda at: F.when(F.size(at) > 0, F.slice(x, F.element_at(at, 1) * frame + 1, (F.element_at(at, -1) - F.element_at(at, 1) + 1) * frame)).otherwise(nothing))
+
+        return let(frames, cut)
+
+    return let(signal, by_energy)
 
 
 def energy(signal: Column) -> Column:
@@ -57,8 +66,7 @@ def rms(signal: Column) -> Column:
 
 def peak_scale(signal: Column, scale: float = 1.0) -> Column:
     """Peak-normalised, then scaled; an all-zero signal stays as it is."""
-    top = peak(signal)
-    return F.when(top > 0, F.transform(signal, lambda x: (x / top * scale).cast("float"))).otherwise(signal)
+    return let(signal, lambda s: let(peak(s), lambda top: F.when(top > 0, F.transform(s, lambda x: (x / top * scale).cast("float"))).otherwise(s)))
 
 
 def silence(n: int) -> Column:
@@ -70,7 +78,7 @@ def noise(n: int, level: Column, seed: Column) -> Column:
     uniform = lambda i, salt: (F.pmod(F.xxhash64(seed, i, F.lit(salt)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
     if n <= 0:
         return F.array().cast(EMPTY)
-    return F.transform(F.sequence(F.lit(1), F.lit(n)), lambda i: (F.sqrt(-2 * F.log(uniform(i, 1))) * F.cos(2 * 3.141592653589793 * uniform(i, 2)) * level).cast("float"))
+    return let(level, lambda r: F.transform(F.sequence(F.lit(1), F.lit(n)), lambda i: (F.sqrt(-2 * F.log(uniform(i, 1))) * F.cos(2 * 3.141592653589793 * uniform(i, 2)) * r).cast("float")))
 
 
 def noise_level(signal_rms: Column, snr_db: float) -> Column:
@@ -86,13 +94,15 @@ def join_signals(ordered: Column, begin: Column, gap: Column, end: Column) -> Co
 def sonify(text: Column, source: Column, key: Column) -> Column:
     """The stand-in waveform of a text: a code of +-1 for each letter, the source's gain, silence of 0 to 75 samples at the ends."""
     gain = 0.1 + (hash48(F.concat(F.lit("gain:"), F.coalesce(source, F.lit("")))) % 1000) / 1000.0 * 0.8
-    letters = F.split(text, "(?<=.)(?=.)")
     # the first sample of a letter is loud, so that no letter is taken for silence
     bit = lambda c, k: F.when(k == 0, 1.0).otherwise(1.0 - 2.0 * F.pmod(F.xxhash64(c, k), F.lit(2)))
-    code = F.flatten(F.transform(letters, lambda c: F.transform(F.sequence(F.lit(0), F.lit(SAMPLES_PER_CHAR - 1)), lambda k: bit(c, k))))
-    pad = lambda name: F.transform(F.sequence(F.lit(1), (hash48(F.concat(F.lit(name), key.cast("string"))) % 76 + 1).cast("int")), lambda i: gain * 0.01 * (1.0 - 2.0 * F.pmod(F.xxhash64(key, i, F.lit(name)), F.lit(2))))
-    body = F.transform(code, lambda x: x * gain)
-    return F.transform(F.concat(pad("head:"), body, pad("tail:")), lambda x: x.cast("float"))
+
+    def made(g: Column) -> Column:
+        body = F.flatten(F.transform(F.split(text, "(?<=.)(?=.)"), lambda c: F.transform(F.sequence(F.lit(0), F.lit(SAMPLES_PER_CHAR - 1)), lambda k: (bit(c, k) * g).cast("float"))))
+        pad = lambda name: F.transform(F.sequence(F.lit(1), (hash48(F.concat(F.lit(name), key.cast("string"))) % 76 + 1).cast("int")), lambda i: (g * 0.01 * (1.0 - 2.0 * F.pmod(F.xxhash64(key, i, F.lit(name)), F.lit(2)))).cast("float"))
+        return F.concat(pad("head:"), body, pad("tail:"))
+
+    return let(gain, made)
 
 
 def conditioned(signals: DataFrame, threshold: float, scale: float, batch: int = 64) -> DataFrame:

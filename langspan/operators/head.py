@@ -85,7 +85,7 @@ def drop_language(layer: DataFrame, vocab: RangeVocab, lang: str, repack: bool =
 
 
 def ctc_collapse(ids: Column, blank: Column | int) -> Column:
-    """Greedy CTC: repeats merge, then blanks go."""
+    """Greedy CTC: repeats merge, then blanks go. ids: a column, not an expression that is dear to evaluate."""
     kept = F.filter(F.sequence(F.lit(1), F.greatest(F.size(ids), F.lit(1))), lambda i: (F.get(ids, i - 1) != blank) & ((i == 1) | (F.get(ids, i - 1) != F.get(ids, F.greatest(i - 2, F.lit(0))))))
     return F.when(F.size(ids) > 0, F.transform(kept, lambda i: F.get(ids, i - 1))).otherwise(ids)
 

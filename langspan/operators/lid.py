@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from langspan.functions.binding import let
 from langspan.functions.text import words
 from langspan.operators.vocab import RangeVocab
 
@@ -41,10 +42,14 @@ def language_spans(tokens: DataFrame, vocab: RangeVocab, key: str) -> DataFrame:
 
 
 def spans_in_row(token_ids: Column, vocab: RangeVocab) -> Column:
-    """Spans from an array of ids inside the row: array<struct<lang, first_pos, last_pos>>, without a shuffle."""
-    langs = F.transform(token_ids, lambda t: vocab.lang_of(t))
-    begins = F.filter(F.sequence(F.lit(1), F.greatest(F.size(langs), F.lit(1))), lambda i: F.element_at(langs, i).isNotNull() & ((i == 1) | ~F.element_at(langs, F.greatest(i - 1, F.lit(1))).eqNullSafe(F.element_at(langs, i))))
-    return F.when(F.size(token_ids) > 0, F.transform(begins, lambda i: F.struct(F.element_at(langs, i).alias("lang"), (i - 1).alias("first_pos")))).otherwise(F.array().cast("array<struct<lang string, first_pos int>>"))
+    """Spans from an array of ids inside the row: array<struct<lang, first_pos>>, without a shuffle."""
+    empty = F.array().cast("array<struct<lang string, first_pos int>>")
+
+    def found(langs: Column) -> Column:
+        begins = F.filter(F.sequence(F.lit(0), F.greatest(F.size(langs) - 1, F.lit(0))), lambda i: F.get(langs, i).isNotNull() & ((i == 0) | ~F.get(langs, F.greatest(i - 1, F.lit(0))).eqNullSafe(F.get(langs, i))))
+        return F.transform(begins, lambda i: F.struct(F.get(langs, i).alias("lang"), i.alias("first_pos")))
+
+    return F.when(F.size(token_ids) > 0, let(F.transform(token_ids, lambda t: vocab.lang_of(t)), found)).otherwise(empty)
 
 
 def switch_kind(spans: DataFrame, ends: DataFrame, key: str) -> DataFrame:

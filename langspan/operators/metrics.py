@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from langspan.functions.binding import let
 from langspan.functions.text import SAMPLE_RATE, words
 
 #: Code points from here stand for words; there are so many before the surrogates begin.
@@ -24,8 +25,8 @@ def _as_letters(text_words: Column, known: Column) -> Column:
 def word_errors(ref: Column, hyp: Column) -> Column:
     """Least substitutions, deletions and insertions between the words of two texts: Spark's own distance on one code
     point a word, inside generated code. Up to 55,040 distinct words a pair."""
-    known = F.array_distinct(F.concat(words(ref), words(hyp)))
-    return F.levenshtein(_as_letters(words(ref), known), _as_letters(words(hyp), known))
+    both = F.struct(words(ref).alias("r"), words(hyp).alias("h"))
+    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: F.levenshtein(_as_letters(b["r"], known), _as_letters(b["h"], known))))
 
 
 def wer(pairs: DataFrame, by: Sequence[str] = (), ref: str = "ref", hyp: str = "hyp") -> DataFrame:
