@@ -23,7 +23,8 @@ def utterance_lid(tokens: DataFrame, vocab: RangeVocab, key: str, how: str = "co
 
 def vote_in_row(token_ids: Column, vocab: RangeVocab) -> Column:
     """The same vote inside the row, from an array of ids: no shuffle."""
-    counts = [F.struct(F.size(F.filter(token_ids, lambda t, o=o, s=s: t.between(o, o + s - 1))).alias("n"), F.lit(-o).alias("o"), F.lit(lang).alias("lang")) for lang, o, s in vocab.entries]
+    within = lambda offset, size: lambda t: t.between(offset, offset + size - 1)
+    counts = [F.struct(F.size(F.filter(token_ids, within(o, s))).alias("n"), F.lit(-o).alias("o"), F.lit(lang).alias("lang")) for lang, o, s in vocab.entries]
     best = F.array_max(F.array(*counts))
     return F.when(best["n"] > 0, best["lang"])
 
