@@ -34,6 +34,8 @@ from .components import components
 BLOCK = 512
 LENGTHS = 4
 VERIFY = 8
+#: Bits of the filter that keeps most texts out of the second shuffle: at most 2 ** 17 broadcast rows.
+BITMAP = 1 << 23
 
 
 @dataclass(frozen=True)
@@ -166,6 +168,19 @@ def _compared(tasks: DataFrame, sets: DataFrame, keys: list[str], rule: Rule) ->
     return tasks.join(sets, "node").groupBy(*keys).applyInArrow(_blocks(rule), "a bigint, b bigint")
 
 
+def _likely(told: DataFrame, alive: DataFrame) -> DataFrame:
+    """Rows of ``told`` that may be in ``alive``, by a bitmap of BITMAP bits over text hashes: its size is fixed, and where
+    it fills up it lets more rows through, never fewer."""
+    spot = F.pmod(F.xxhash64(F.lit("bitmap"), "text_hash"), F.lit(BITMAP))
+    bits = alive.select(F.xxhash64(F.lit("bitmap"), "_hash").alias("h")).select(F.pmod("h", F.lit(BITMAP)).alias("spot"))
+    bits = bits.groupBy(F.shiftright("spot", 6).alias("_word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(spot & 63 as int))")).alias("_bits"))
+    return (
+        told.withColumn("_spot", spot)
+        .join(F.broadcast(bits), (F.shiftright("_spot", 6) == F.col("_word")) & (F.expr("shiftleft(1L, cast(_spot & 63 as int)) & _bits") != 0))
+        .drop("_spot", "_word", "_bits")
+    )
+
+
 def linked_sets(docs: DataFrame, rule: Rule, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
     """Descriptions (id, text_hash, n, node) of all rows, and links (a, b) between nodes that span each component."""
     ship(docs.sparkSession)
@@ -178,8 +193,8 @@ def linked_sets(docs: DataFrame, rule: Rule, id_col: str, text_col: str) -> tupl
     enough = 1 + F.floor(rule.longer * rule.least_sql(F.col("n")))
     alive = found.filter("both").groupBy("node").agg(F.count(F.lit(1)).alias("hits"), F.max("n").alias("n")).filter(F.col("hits") >= enough)
     holder = described.filter("n > 0").groupBy("node").agg(F.min(F.struct("id", "text_hash")).alias("row"))
-    alive = alive.join(holder, "node").select("node", F.col("row.id").alias("_id"), F.col("row.text_hash").alias("_hash"))
-    sets = told.join(alive, F.col("id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash"))).select("node", "text")
+    alive = durable(alive.join(holder, "node").select("node", F.col("row.id").alias("_id"), F.col("row.text_hash").alias("_hash")))
+    sets = _likely(told, alive).join(alive, F.col("id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash"))).select("node", "text")
     sets = durable(sets.mapInArrow(_whole_sets(rule), "node bigint, tokens array<bigint>"))
 
     # 3: shingles of at least two of these sets, rare first; those of one set only come before them and match nothing
