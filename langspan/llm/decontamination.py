@@ -123,7 +123,7 @@ class Items:
         weight = dict(zip(every.tolist(), self.weight(every).tolist(), strict=True))
         both = sum(weight[s] * min(n, theirs[s]) for s, n in mine.items() if s in theirs)
         total = sum(weight[s] * n for s, n in mine.items()) + sum(weight[s] * n for s, n in theirs.items()) - both
-        return both / total if total else 0.0
+        return round(both / total, 9) if total else 0.0
 
     def leaks(self, words: np.ndarray) -> list[tuple[int, int, int, int, float]]:
         """(item, first word, words, distance, similarity): of every run of overlapping windows the most similar."""
