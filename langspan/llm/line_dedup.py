@@ -18,7 +18,7 @@ WINDOW = 3
 
 def line_windows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """_id, _text_hash, _pos (from 1), _h1, _h2 of every window."""
-    lines = F.transform(F.split(F.col(text_col), "\n"), F.trim)
+    lines = F.transform(F.split(F.col(text_col), "\n"), lambda line: F.trim(line))
     long_enough = docs.select(F.col(id_col).alias("_id"), F.xxhash64(text_col).alias("_text_hash"), lines.alias("_lines")).filter(F.size("_lines") >= WINDOW)
 
     def hashed(i):
