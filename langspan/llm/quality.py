@@ -98,7 +98,7 @@ def _logistic(z: np.ndarray) -> np.ndarray:
 ROWS = 2048
 
 
-def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, rounds: int = 25) -> np.ndarray:
+def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 25) -> np.ndarray:
     """Ridge logistic regression by Newton steps; the last column is the intercept and is hardly penalised."""
     w = np.zeros(x.shape[1])
     penalty = np.full(x.shape[1], ridge)

