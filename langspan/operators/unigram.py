@@ -130,7 +130,8 @@ def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, long
             fresh = {}
             for lang, have in pieces.items():
                 seen = found.get(lang, {})
-                fresh[lang] = _normal({p: max(seen.get(p, (0.0, 0.0))[0], 1e-3 if len(p) == 1 else 0.0) for p in have if len(p) == 1 or seen.get(p, (0.0, 0.0))[0] > 0})
+                # a piece that no word uses now stays, with next to nothing, until its turn to be pruned
+                fresh[lang] = _normal({p: max(seen.get(p, (0.0, 0.0))[0], 1e-3) for p in have})
             if k < rounds - 1:
                 pieces = fresh
         if all(len(p) <= size - 1 for p in fresh.values()):
@@ -139,7 +140,7 @@ def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, long
         for lang, have in fresh.items():
             room = max(size - 1, int(len(have) * shrink))
             letters = [p for p in have if len(p) == 1]
-            others = sorted((p for p in have if len(p) > 1), key=lambda p: (-found[lang][p][1], p))[: max(0, room - len(letters))]
+            others = sorted((p for p in have if len(p) > 1), key=lambda p: (-found[lang].get(p, (0.0, 0.0))[1], -have[p], p))[: max(0, room - len(letters))]
             pieces[lang] = _normal({p: math.exp(have[p]) for p in letters + others})
     rows = [(lang, 0, UNK, 0.0) for lang in sorted(fresh)]
     for lang in sorted(fresh):
