@@ -1,7 +1,9 @@
 """Document quality by hierarchical empirical Bayes over a trained text classifier.
 
 A bounded sample of labelled documents trains two logistic regressions (low quality, toxic) on style measures and on
-the presence of words that chi-square picks out. The classifier's probability that a document is good is its
+the presence of words and word beginnings that chi-square picks out (beginnings tell inflected and compound words that
+are each too rare to be picked). Toxic documents have a cut of their own, fitted on out-of-fold scores: neither the
+document's quality nor its site's rate makes up for toxicity. The classifier's probability that a document is good is its
 evidence. Sites form a tree: all, host, path (here ``source`` and ``source`` with ``lang``). A site's rate of good
 documents is shrunk towards its parent's with a strength estimated by moments from the spread of the rates, so sparse
 sites follow their parent. A document's posterior adds, in log odds, its evidence and what its path's rate, without
@@ -10,6 +12,7 @@ the document itself, says beyond the global rate.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -25,6 +28,10 @@ from .common import durable, hash48, table
 
 #: Labelled documents that the classifier is trained on, at most (the first by hash of the id), and words per target.
 LABELLED, PICKED = 20_000, 256
+#: Bytes of the word beginnings that count beside whole words.
+BEGINNINGS = (4, 5, 6, 7, 8)
+#: Folds of the labels that the toxic cut is fitted on, and the share of their good documents that it may lose.
+FOLDS, LOST = 4, 0.005
 #: A host may hold most documents: site rates are spread over so many salted copies for the join.
 SALTS = 64
 KEEP = 0.5
@@ -33,7 +40,7 @@ _CLASSES = {"junk": b"#$%&*^~", "exclaim": b"!", "bars": b"|<>{}", "capitals": b
 
 
 def _measures(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Style measures of every row, and the rows' word hashes with bounds."""
+    """Style measures of every row, and hashes of the rows' words and word beginnings with bounds."""
     rows = len(offsets) - 1
     starts, ends, bounds = kernels.words(data, offsets, kernels.NOT_LETTER)
     hashes = kernels.word_hashes(kernels.lowered(data), starts, ends)
@@ -54,7 +61,18 @@ def _measures(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nda
         if b > a:
             out[row, 9] = len(np.unique(hashes[a:b])) / (b - a) ** 0.7
             out[row, 10] = (same[b - 1] - same[a]) / (b - a)
-    return out, hashes, bounds
+    return out, *_with_beginnings(kernels.lowered(data), starts, ends, hashes, bounds)
+
+
+def _with_beginnings(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, hashes: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The word hashes with those of the words' beginnings among them, and the rows' bounds in all of them."""
+    every = np.empty((len(hashes), 1 + len(BEGINNINGS)), np.uint64)
+    every[:, 0] = hashes
+    has = (ends - starts)[:, None] >= np.array([0, *BEGINNINGS])
+    for k, n in enumerate(BEGINNINGS, 1):
+        long = np.flatnonzero(has[:, k])
+        every[long, k] = kernels.mix(kernels.word_hashes(data, starts[long], starts[long] + n) + np.uint64(n))
+    return every[has], np.r_[0, np.cumsum(has.sum(axis=1))][bounds]
 
 
 def _present(hashes: np.ndarray, bounds: np.ndarray, picked: np.ndarray) -> np.ndarray:
@@ -72,22 +90,25 @@ def _present(hashes: np.ndarray, bounds: np.ndarray, picked: np.ndarray) -> np.n
 
 @dataclass(frozen=True)
 class Model:
-    """Two logistic regressions over style measures and picked words."""
+    """Two logistic regressions over style measures and picked words; from ``cut`` on a text counts as toxic."""
 
     picked: np.ndarray
     mean: np.ndarray
     scale: np.ndarray
     low: np.ndarray
     toxic: np.ndarray
+    cut: float = KEEP
 
-    def good(self, column: pa.Array) -> np.ndarray:
-        """Probability that each text is neither of low quality nor toxic."""
-        out = np.zeros(len(column))
+    def good(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Probability that each text is neither of low quality nor toxic, and whether it is beyond the toxic cut."""
+        out, beyond = np.zeros(len(column)), np.zeros(len(column), bool)
         for first, end, data, offsets in kernels.slices(column):
             style, hashes, bounds = _measures(data, offsets)
             x = np.hstack([(style - self.mean) / self.scale, _present(hashes, bounds, self.picked), np.ones((end - first, 1))])
-            out[first:end] = (1 - _logistic(x @ self.low)) * (1 - _logistic(x @ self.toxic))
-        return out
+            toxic = _logistic(x @ self.toxic)
+            out[first:end] = (1 - _logistic(x @ self.low)) * (1 - toxic)
+            beyond[first:end] = toxic >= self.cut
+        return out, beyond
 
 
 def _logistic(z: np.ndarray) -> np.ndarray:
@@ -98,17 +119,18 @@ def _logistic(z: np.ndarray) -> np.ndarray:
 ROWS = 2048
 
 
-def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 25) -> np.ndarray:
-    """Ridge logistic regression by Newton steps; the last column is the intercept and is hardly penalised."""
+def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 25, rows: np.ndarray | None = None) -> np.ndarray:
+    """Ridge logistic regression by Newton steps, on some rows or all; the last column is the intercept and is hardly penalised."""
     w = np.zeros(x.shape[1])
+    rows = np.arange(len(x)) if rows is None else rows
     penalty = np.full(x.shape[1], ridge)
     penalty[-1] = 1e-6
     for _ in range(rounds):
         slope, curve = -penalty * w, np.diag(penalty)
-        for k in range(0, len(x), ROWS):
-            part = x[k : k + ROWS].astype(np.float64)
+        for k in range(0, len(rows), ROWS):
+            part = x[rows[k : k + ROWS]].astype(np.float64)
             p = _logistic(part @ w)
-            slope += part.T @ (y[k : k + ROWS] - p)
+            slope += part.T @ (y[rows[k : k + ROWS]] - p)
             curve += (part * (p * (1 - p))[:, None]).T @ part
         step = np.linalg.solve(curve, slope)
         w = w + step * min(1.0, 5 / max(1e-9, np.abs(step).max()))
@@ -117,6 +139,16 @@ def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 25) ->
     return w
 
 
+def toxic_cut(p: np.ndarray, low: np.ndarray, toxic: np.ndarray) -> float:
+    """Where toxic documents are best told from good ones by held-out scores: KEEP at most, and no more than LOST of the good are lost."""
+    bad, good = np.sort(p[toxic > 0]), np.sort(p[(toxic <= 0) & (low <= 0)])
+    if not len(bad) or not len(good):
+        return KEEP
+    cuts = np.unique(np.r_[p[p < KEEP], KEEP])[::-1]
+    caught, lost = 1 - np.searchsorted(bad, cuts) / len(bad), 1 - np.searchsorted(good, cuts) / len(good)
+    return float(cuts[np.argmax(np.where((lost <= LOST) | (cuts >= KEEP), caught - lost, -1.0))])
+
+
 def labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """(text, low, toxic) of at most LABELLED documents; of repeated labels the worst holds, null labels are left out."""
     flags = (
@@ -183,20 +215,24 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     if len(chosen):
         x[:, width:-1] = np.unpackbits(packed[:, 4 * width :], axis=1)[:, : len(chosen)]
     low, toxic = (np.array([f[k] for f in found], float) for k in (1, 2))
-    return Model(chosen, mean, scale, _fit(x, low), _fit(x, toxic))
+    fold = np.array([zlib.crc32(f) % FOLDS for f, _, _ in found])  # equal texts share one
+    p = np.zeros(len(x))
+    for k in range(FOLDS):
+        p[fold == k] = _logistic(x[fold == k] @ _fit(x, toxic, rows=np.flatnonzero(fold != k)))
+    return Model(chosen, mean, scale, _fit(x, low), _fit(x, toxic), toxic_cut(p, low, toxic))
 
 
 def with_evidence(docs: DataFrame, model: Model, text_col: str) -> DataFrame:
-    """``docs`` with ``evidence``, the classifier's probability."""
+    """``docs`` with ``evidence``, the classifier's probability, and ``_beyond``, whether they are beyond its toxic cut."""
     ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            good = shared.value.good(batch.column(text_col).cast(pa.string()))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(good)], [*batch.schema.names, "evidence"])
+            good, beyond = shared.value.good(batch.column(text_col).cast(pa.string()))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(good), pa.array(beyond)], [*batch.schema.names, "evidence", "_beyond"])
 
-    return docs.mapInArrow(run, docs.select("*", F.lit(0.0).alias("evidence")).schema)
+    return docs.mapInArrow(run, docs.select("*", F.lit(0.0).alias("evidence"), F.lit(False).alias("_beyond")).schema)
 
 
 def _strength(rates: DataFrame, parent: Column) -> float:
@@ -232,7 +268,7 @@ def _logit(p: Column) -> Column:
 
 
 def judge(scored: DataFrame, sites: DataFrame, rate: float) -> DataFrame:
-    """``scored`` (host, path, evidence and more) with host_posterior, path_posterior, posterior and keep."""
+    """``scored`` (host, path, evidence, _beyond and more) with host_posterior, path_posterior, posterior and keep."""
     salted = sites.select(*(F.col(c).alias(f"_{c}") for c in ("host", "path", "n", "s", "strength")), "host_posterior", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_salt"))
     joined = scored.withColumn("_at", F.pmod(F.xxhash64("evidence"), F.lit(SALTS)).cast("int")).join(
         salted, F.col("host").eqNullSafe(F.col("_host")) & F.col("path").eqNullSafe(F.col("_path")) & (F.col("_at") == F.col("_salt"))
@@ -241,8 +277,8 @@ def judge(scored: DataFrame, sites: DataFrame, rate: float) -> DataFrame:
     return (
         joined.withColumn("path_posterior", others)
         .withColumn("posterior", 1 / (1 + F.exp(-(_logit(F.col("evidence")) + _logit(F.col("path_posterior")) - _logit(F.lit(rate))))))
-        .withColumn("keep", F.col("posterior") >= KEEP)
-        .drop("_at", "_salt", "_host", "_path", "_n", "_s", "_strength")
+        .withColumn("keep", (F.col("posterior") >= KEEP) & ~F.col("_beyond"))
+        .drop("_beyond", "_at", "_salt", "_host", "_path", "_n", "_s", "_strength")
     )
 
 

@@ -131,7 +131,38 @@ def test_quality_on_held_out_labels(spark, sf):
     train = labels.filter("doc_id % 4 <> 0")
     judged = quality.assess(docs, train, *quality.document_sites()).join(labels.filter("doc_id % 4 = 0").withColumnRenamed("doc_id", "d"), F.col("doc_id") == F.col("d"))
     rate = {(r["quality"], r["toxic"]): r["kept"] for r in judged.groupBy("quality", "toxic").agg(F.avg(F.col("keep").cast("int")).alias("kept")).collect()}
-    assert rate[1, 0] > 0.98 and rate[0, 0] < 0.05 and rate[1, 1] < 0.2
+    assert rate[1, 0] > 0.98 and rate[0, 0] < 0.05 and rate[1, 1] < 0.1
+
+
+def test_toxic_word_beginnings_and_cut():
+    """Words of a toxic beginning that never come twice are seen by it; the cut is fitted on held-out scores."""
+    import pyarrow as pa
+
+    texts = ["good bombastic1 words", "réeuxqz", "the réeuxzq", "réeu", "", None]
+    beginnings = []
+    for _, _, data, offsets in kernels.slices(pa.array(texts)):
+        style, hashes, bounds = quality._measures(data, offsets)
+        beginnings += [set(hashes[a:b].tolist()) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+    assert len(beginnings[1] & beginnings[2]) == 3 and len(beginnings[1] & beginnings[3]) == 2 and not beginnings[0] & beginnings[1]  # of 4, 5, 6 bytes; 4, 5
+    assert beginnings[4] == beginnings[5] == set() and (style[:, quality.STYLE.index("distinct")] <= 3).all()
+    toxic = np.r_[np.ones(100), np.zeros(1000)]
+    p = np.r_[np.full(90, 0.9), np.full(10, 0.3), np.full(4, 0.4), np.full(996, 0.01)]
+    assert quality.toxic_cut(p, np.zeros(1100), toxic) == 0.3
+    p[104:120] = 0.4
+    assert quality.toxic_cut(p, np.zeros(1100), toxic) == quality.KEEP
+    assert quality.toxic_cut(p, np.zeros(1100), np.zeros(1100)) == quality.KEEP
+
+
+def test_toxic_documents_go_in_every_language(spark, sf):
+    d = sf.replace("0.001", "0.1")
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    held = labels.filter("doc_id % 4 = 0 AND quality = 1").withColumnRenamed("doc_id", "d")
+    judged = quality.assess(docs, labels.filter("doc_id % 4 <> 0"), *quality.document_sites()).join(held, F.col("doc_id") == F.col("d"))
+    rows = judged.withColumn("lang", F.substring_index("path", "/", -1)).groupBy("lang", "toxic").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("keep").cast("int")).alias("kept")).collect()
+    print(sorted(map(tuple, rows)))
+    assert {r["lang"] for r in rows if r["toxic"]} == {"de", "en", "es", "fr"}
+    for r in rows:
+        assert r["kept"] < 0.2 * r["n"] if r["toxic"] else r["kept"] > 0.98 * r["n"], r
 
 
 def test_quality_of_odd_rows(spark):
