@@ -62,6 +62,59 @@ def align(ref: list[str], hyp: list[str]) -> tuple[int, int, int]:
     return int(s), d, ins
 
 
+#: Cells of alignment tables that are worked on at a time.
+CELLS = 1 << 21
+
+
+def align_all(refs: Sequence[list[str]], hyps: Sequence[list[str]]) -> np.ndarray:
+    """(pairs, 3): ``align`` of every pair, many tables at a time, those of like sizes together."""
+    codes: dict[str, int] = {}
+    out = np.zeros((len(refs), 3), np.int64)
+    sizes = np.array([(len(r), len(h)) for r, h in zip(refs, hyps, strict=True)], np.int64).reshape(-1, 2)
+    order = np.lexsort((sizes[:, 1], sizes[:, 0]))
+    first = 0
+    while first < len(order):
+        end, rows, width = first, 0, 0
+        while end < len(order):
+            rows, width = max(rows, sizes[order[end], 0] + 1), max(width, sizes[order[end], 1] + 1)
+            if end > first and (end + 1 - first) * rows * width > CELLS:
+                break
+            end += 1
+        some = order[first:end]
+        out[some] = _align_block([[codes.setdefault(w, len(codes)) for w in refs[k]] for k in some], [[codes.setdefault(w, len(codes)) for w in hyps[k]] for k in some])
+        first = end
+    return out
+
+
+def _align_block(refs: list[list[int]], hyps: list[list[int]]) -> np.ndarray:
+    n, i, j = len(refs), np.array([len(r) for r in refs]), np.array([len(h) for h in hyps])
+    ref, hyp = np.full((n, i.max(initial=0)), -1), np.full((n, j.max(initial=0)), -2)
+    for k in range(n):
+        ref[k, : i[k]], hyp[k, : j[k]] = refs[k], hyps[k]
+    across = np.arange(hyp.shape[1] + 1)
+    cost = np.empty((n, ref.shape[1] + 1, hyp.shape[1] + 1), np.int32)
+    cost[:, 0] = across
+    for a in range(ref.shape[1]):
+        here = cost[:, a] + 1
+        np.minimum(here[:, 1:], cost[:, a, :-1] + (hyp != ref[:, a : a + 1]), out=here[:, 1:])
+        cost[:, a + 1] = np.minimum.accumulate(here - across, axis=1) + across
+    out, at = np.zeros((n, 3), np.int64), np.arange(n)
+    while len(at := at[(i[at] > 0) | (j[at] > 0)]):
+        a, b, now = i[at], j[at], cost[at, i[at], j[at]]
+        up, left = np.maximum(a - 1, 0), np.maximum(b - 1, 0)
+        inner = (a > 0) & (b > 0)
+        differ = np.zeros(len(at), bool)
+        differ[inner] = ref[at[inner], up[inner]] != hyp[at[inner], left[inner]]
+        slant = inner & (now == cost[at, up, left] + differ)
+        down = ~slant & (a > 0) & (now == cost[at, up, b] + 1)
+        out[at, 0] += slant & differ
+        out[at, 1] += down
+        out[at, 2] += ~slant & ~down
+        i[at] -= slant | down
+        j[at] -= ~down
+    return out
+
+
 def edit_ops(pairs: DataFrame, key: str, ref: str = "ref", hyp: str = "hyp") -> DataFrame:
     """key, substitutions, deletions, insertions of every pair (Arrow)."""
     from langspan.shipping import ship
@@ -70,8 +123,8 @@ def edit_ops(pairs: DataFrame, key: str, ref: str = "ref", hyp: str = "hyp") ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ops = [align(r or [], h or []) for r, h in zip(b.column("r").to_pylist(), b.column("h").to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column("key"), *(pa.array([o[k] for o in ops], pa.int64()) for k in range(3))], ["key", "s", "d", "i"])
+            ops = align_all(*([x or [] for x in b.column(c).to_pylist()] for c in ("r", "h")))
+            yield pa.RecordBatch.from_arrays([b.column("key"), *(pa.array(ops[:, k]) for k in range(3))], ["key", "s", "d", "i"])
 
     told = pairs.select(F.col(key).alias("key"), words(F.col(ref)).alias("r"), words(F.col(hyp)).alias("h"))
     kind = dict(told.dtypes)["key"]

@@ -13,32 +13,46 @@ from langspan.queries.waves import N_SWEEP, PLAN, _planned, _pool
 from langspan.sources.tables import read
 from langspan.streaming import online
 
+#: Utterances of the queries that DuckDB can follow; ``wer_words_all``, ``cer_all`` and ``edit_ops`` take every one.
 SHORT = 150
 
 
 def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Short utterances and a spoilt copy: every tenth word gone, every tenth replaced."""
-    pool = utts(spark, sf_dir).filter(F.length("text") <= SHORT).withColumn("w", T.words(F.col("text")))
+    """Utterances and a spoilt copy: every tenth word gone, every tenth replaced."""
+    pool = utts(spark, sf_dir).withColumn("w", T.words(F.col("text")))
     fate = lambda i: T.hash48(F.concat_ws(":", F.col("utt_id").cast("string"), i.cast("string"))) % 10
     heard = F.transform("w", lambda w, i: F.when(fate(i) == 0, "").when(fate(i) == 1, "zz").otherwise(w))
     return pool.select("utt_id", "lang", F.col("text").alias("ref"), F.array_join(F.filter(heard, lambda w: w != ""), " ").alias("hyp"))
 
 
+def _short_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _pairs(spark, sf_dir).filter(F.length("ref") <= SHORT)
+
+
 def wer_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of utterances of at most SHORT characters alone, like its SQL; ``wer_words_all`` takes every one."""
+    return metrics.wer(_short_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
+
+
+def wer_words_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """grp, errors, ref_words, wer over every utterance."""
     return metrics.wer(_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
 
 
 def cer(spark: SparkSession, sf_dir: str) -> DataFrame:
-    plain = _pairs(spark, sf_dir).filter(F.col("ref").rlike("^[a-z ]+$"))
+    """Of utterances of at most SHORT characters, all a-z, alone, like its SQL; ``cer_all`` takes every one."""
+    plain = _short_pairs(spark, sf_dir).filter(F.col("ref").rlike("^[a-z ]+$"))
     return metrics.cer(plain, ["lang"]).withColumnRenamed("lang", "grp")
 
 
+def cer_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """grp, errors, ref_chars, cer over every utterance, by code points."""
+    return metrics.cer(_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
+
+
 def edit_ops(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """lang, substitutions, deletions, insertions of held-out utterances (Arrow)."""
-    pairs = _pairs(spark, sf_dir).join(utts(spark, sf_dir).filter("split = 'test'").select(F.col("utt_id").alias("_u")).distinct(), F.col("utt_id") == F.col("_u"), "left_semi")
-    ops = metrics.edit_ops(pairs, "utt_id").withColumnRenamed("utt_id", "_u")
-    joined = pairs.select("utt_id", "lang").distinct().join(ops, F.col("utt_id") == F.col("_u"))
-    return joined.groupBy("lang").agg(*(F.sum(c).alias(c) for c in ("substitutions", "deletions", "insertions")))
+    """lang, substitutions, deletions, insertions over every utterance (Arrow)."""
+    return metrics.edit_ops(_pairs(spark, sf_dir), "lang").groupBy("lang").agg(*(F.sum(c).alias(c) for c in ("substitutions", "deletions", "insertions")))
 
 
 def top5_avg(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -138,7 +152,7 @@ def event_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return online.windowed_languages(_event_tokens(spark, sf_dir), "1 day", "6 hours").select(_stamp("window_start").alias("window_start"), "lang", "n")
 
 
-QUERIES = {f.__name__: f for f in (wer_words, cer, edit_ops, top5_avg, asof_segment, order_tokens, order_lid, order_spans, region_switch_matrix, event_token_lid, event_sessions, event_windows, event_sliding)}
+QUERIES = {f.__name__: f for f in (wer_words, wer_words_all, cer, cer_all, edit_ops, top5_avg, asof_segment, order_tokens, order_lid, order_spans, region_switch_matrix, event_token_lid, event_sessions, event_windows, event_sliding)}
 
 _FATE = T.hash48_sql("utt_id::varchar || ':' || (i - 1)::varchar")
 _PAIRS = f"""p AS (SELECT utt_id, lang, text AS ref, {T.WORDS_SQL.format('text')} AS w FROM utt WHERE length(text) <= {SHORT}),

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
+from langspan.queries import measures
 
 
 def _wer(spark, ref, hyp):
@@ -108,3 +109,40 @@ def test_word_vote(spark):
     model = lid.train_word_vote(docs)
     found = lid.word_vote_lid(spark.createDataFrame([(1, "the la la"), (2, "of")], "k long, text string"), model, "k").collect()
     assert {r["k"]: r["pred"] for r in found} == {1: "es", 2: "en"}
+
+
+def test_alignments_of_many_equal_those_of_one(monkeypatch):
+    rng = random.Random(21)
+    draw = lambda: rng.choices("abcd", k=rng.choice([0, 0, 1, 2, 5, 9, 30]))
+    refs, hyps = zip(*((draw(), draw()) for _ in range(400)), strict=True)
+    want = [metrics.align(r, h) for r, h in zip(refs, hyps, strict=True)]
+    for cells in (metrics.CELLS, 3000, 1):
+        monkeypatch.setattr(metrics, "CELLS", cells)
+        assert list(map(tuple, metrics.align_all(refs, hyps).tolist())) == want
+    assert metrics.align_all([], []).shape == (0, 3)
+
+
+def test_error_rates_take_every_utterance(spark, sf):
+    """Brute force over all utterances: long ones, those with letters beyond a-z, and all splits."""
+    pairs = measures._pairs(spark, sf).select("lang", "ref", "hyp").collect()
+    assert len(pairs) == measures.utts(spark, sf).count()
+    assert any(len(r["ref"]) > measures.SHORT for r in pairs) and any(set(r["ref"]) & set("éñöü") for r in pairs)
+    some = pairs[::7]
+    words, chars = {}, {}
+    for r in some:
+        ops = metrics.align(r["ref"].split(), r["hyp"].split())
+        words[r["lang"]] = [a + b for a, b in zip(words.get(r["lang"], [0] * 4), [*ops, len(r["ref"].split())], strict=True)]
+    for r in pairs[::101]:
+        e = sum(metrics.align(list(r["ref"]), list(r["hyp"])))
+        chars[r["lang"]] = [a + b for a, b in zip(chars.get(r["lang"], [0, 0]), [e, len(r["ref"])], strict=True)]
+    frame = lambda rows: spark.createDataFrame(rows, "lang string, ref string, hyp string")
+    assert {r["lang"]: [r["errors"], r["ref_words"]] for r in metrics.wer(frame(some), ["lang"]).collect()} == {k: [sum(v[:3]), v[3]] for k, v in words.items()}
+    assert {r["lang"]: [r["errors"], r["ref_chars"]] for r in metrics.cer(frame(pairs[::101]), ["lang"]).collect()} == chars
+    wer = {r["grp"]: r for r in measures.wer_words_all(spark, sf).collect()}
+    cer = {r["grp"]: r for r in measures.cer_all(spark, sf).collect()}
+    ops = {r["lang"]: r for r in measures.edit_ops(spark, sf).collect()}
+    for lang in {r["lang"] for r in pairs}:
+        own = [r for r in pairs if r["lang"] == lang]
+        assert wer[lang]["ref_words"] == sum(len(r["ref"].split()) for r in own) and cer[lang]["ref_chars"] == sum(len(r["ref"]) for r in own)
+        assert ops[lang]["substitutions"] + ops[lang]["deletions"] + ops[lang]["insertions"] == wer[lang]["errors"]
+        assert tuple(ops[lang])[1:] == tuple(map(sum, zip(*(metrics.align(r["ref"].split(), r["hyp"].split()) for r in own), strict=True)))
