@@ -5,8 +5,10 @@ leak. A window has as many words as the item it is held against (the whole text
 the signed bits of its five-word shingles, weighted like in the check. Two fingerprints within RADIUS of each other
 differ by at most RADIUS // 4 bits in one of four 16-bit blocks, so a table of every block value within that distance
 of an item's finds them all. What it finds is decided by weighted Jaccard of the shingle multisets; a shingle weighs
-ln(1 + items / items that have it). Only windows that share a shingle with some item are fingerprinted: any other has
-similarity 0. Texts never move: the items, in blocks of bounded size, go to the documents.
+ln(1 + items / items that have it), counted once over the whole benchmark. Only windows that share a shingle with some
+item are fingerprinted: any other has similarity 0. Texts never move: the items, in blocks of bounded size, go to the
+documents, and with them the weights of all shingles that several items have (any other weighs as one that a single item
+has), so that neither fingerprints nor similarities depend on the blocks.
 """
 
 from __future__ import annotations
@@ -51,10 +53,50 @@ def _fingerprint(sums: np.ndarray) -> np.ndarray:
     return ((np.round(sums, 6) > 0).astype(np.uint64) << _SHIFTS).sum(axis=1, dtype=np.uint64)
 
 
+class Weights:
+    """What shingles weigh over a whole benchmark: those that several items have are listed, all others are as rare as can be."""
+
+    def __init__(self, items: int, shingles: np.ndarray, counts: np.ndarray):
+        order = np.argsort(shingles)
+        self.shingles, self.values = shingles[order], np.log1p(items / np.maximum(1, counts[order]))
+        self.rare = float(np.log1p(max(1, items)))
+
+    def __call__(self, shingles: np.ndarray) -> np.ndarray:
+        if not len(self.shingles):
+            return np.full(len(shingles), self.rare)
+        at = np.minimum(np.searchsorted(self.shingles, shingles), len(self.shingles) - 1)
+        return np.where(self.shingles[at] == shingles, self.values[at], self.rare)
+
+
+def _distinct_shingles(column: pa.Array) -> Iterator[np.ndarray]:
+    """The distinct shingles of each row that has WORDS words at least."""
+    for _, hashes, bounds in _hashes(column):
+        for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+            if b - a >= WORDS:
+                yield np.unique(kernels.shingles(hashes[a:b], WORDS))
+
+
+def benchmark_weights(benchmark: DataFrame, text_col: str = "text") -> Weights:
+    """Weights over all items; null texts and items under five words do not count. The driver gets the shared shingles, 16 bytes each."""
+    ship(benchmark.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for own in _distinct_shingles(batch.column(0)):  # a null stands for the item itself
+                yield pa.RecordBatch.from_arrays([pa.concat_arrays([pa.nulls(1, pa.int64()), pa.array(own.view(np.int64))])], ["shingle"])
+
+    counted = benchmark.select(F.col(text_col).cast("string").alias("text")).mapInArrow(run, "shingle bigint").groupBy("shingle").agg(F.count(F.lit(1)).alias("n"))
+    found = counted.filter("n > 1 OR shingle IS NULL").toArrow()
+    shingles, n = found.column("shingle"), found.column("n").to_numpy()
+    item = shingles.is_null().to_numpy()
+    return Weights(int(n[item].sum()), shingles.drop_null().to_numpy().astype(np.int64).view(np.uint64), n[~item])
+
+
 class Items:
-    """A block of benchmark items, indexed: their shingles with weights, sizes, fingerprints and the block tables."""
+    """A block of benchmark items, indexed: their shingles, sizes, fingerprints and the block tables, under the weights
+    of the whole benchmark (of these items if none are given)."""
 
-    def __init__(self, ids: list[int], texts: list[str]):
+    def __init__(self, ids: list[int], texts: list[str], weights: Weights | None = None):
         per_item = []
         for _, hashes, bounds in _hashes(pa.array(texts, pa.string())):
             per_item += [hashes[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
@@ -67,8 +109,7 @@ class Items:
         pairs = np.unique(np.rec.fromarrays([flat, owner], names="s,i"))
         self.shingles, at, count = np.unique(pairs["s"], return_index=True, return_counts=True)
         self.holders, self.first_holder = pairs["i"].astype(np.int64), np.r_[at, len(pairs)].astype(np.int64)
-        self.rare = float(np.log1p(max(1, len(keep))))
-        self.weights = np.log1p(len(keep) / np.maximum(1, count))
+        self.weight = Weights(len(keep), self.shingles, count) if weights is None else weights
         self.multisets = [dict(zip(*(x.tolist() for x in np.unique(r, return_counts=True)), strict=True)) for r in runs]
         self.prints = np.array([_fingerprint((_signs(r) * self.weight(r)[:, None]).sum(axis=0)[None])[0] for r in runs], np.uint64)
         self.filter = np.zeros(1 << 20, bool)
@@ -94,9 +135,13 @@ class Items:
             out[maybe[same]] = at[same]
         return out
 
-    def weight(self, shingles: np.ndarray) -> np.ndarray:
-        at = np.minimum(np.searchsorted(self.shingles, shingles), max(0, len(self.shingles) - 1))
-        return np.where(self.shingles[at] == shingles, self.weights[at], self.rare)
+    def under(self, weights: Weights) -> Items:
+        """These items with weights that came by themselves."""
+        self.weight = weights
+        return self
+
+    def __getstate__(self) -> dict:
+        return {k: v for k, v in self.__dict__.items() if k != "weight"}  # they go to the workers once, not with every block
 
     def within(self, prints: np.ndarray, size: int) -> Iterator[tuple[int, int, int]]:
         """(print, item, distance) of all items of ``size`` words within the radius."""
@@ -181,18 +226,18 @@ class Items:
                     yield first + row, leaks
 
 
-def item_blocks(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text") -> Iterator[Items]:
+def item_blocks(benchmark: DataFrame, weights: Weights, id_col: str = "item_id", text_col: str = "text") -> Iterator[Items]:
     """The items in blocks of at most ITEMS items and about ITEM_BYTES; null texts and items under five words are left out."""
     ids, texts, size = [], [], 0
     for row in benchmark.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")).filter(F.col(text_col).isNotNull()).orderBy(id_col, text_col).toLocalIterator():
         if ids and (len(ids) >= ITEMS or size + len(row[1]) > ITEM_BYTES):
-            yield Items(ids, texts)
+            yield Items(ids, texts, weights)
             ids, texts, size = [], [], 0
         ids.append(row[0] if row[0] is not None else -1)
         texts.append(row[1])
         size += len(row[1])
     if ids:
-        yield Items(ids, texts)
+        yield Items(ids, texts, weights)
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -206,13 +251,16 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
     schema = "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, distance bigint, similarity double"
     told = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     out = spark.createDataFrame([], schema)
-    for items in item_blocks(benchmark):
+    weights = benchmark_weights(benchmark)
+    common = spark.sparkContext.broadcast(weights)
+    for items in item_blocks(benchmark, weights):
         shared = spark.sparkContext.broadcast(items)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            items = shared.value.under(common.value)
             for batch in batches:
                 ids = batch.column("doc_id").to_pylist()
-                rows = [(ids[row], *leak) for row, leaks in shared.value.in_column(batch.column("text")) for leak in leaks]
+                rows = [(ids[row], *leak) for row, leaks in items.in_column(batch.column("text")) for leak in leaks]
                 columns = list(zip(*rows, strict=True)) or [()] * 6
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if k == 5 else pa.int64()) for k, c in enumerate(columns)], ["doc_id", "item_id", "first_word", "n_words", "distance", "similarity"])
 
@@ -224,13 +272,16 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text")
     """``docs`` without the rows that hold a leak; all columns and other rows as they are."""
     spark = docs.sparkSession
     ship(spark)
-    for items in item_blocks(benchmark):
+    weights = benchmark_weights(benchmark)
+    common = spark.sparkContext.broadcast(weights)
+    for items in item_blocks(benchmark, weights):
         shared = spark.sparkContext.broadcast(items)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            items = shared.value.under(common.value)
             for batch in batches:
                 keep = np.ones(batch.num_rows, bool)
-                keep[[row for row, _ in shared.value.in_column(batch.column(text_col))]] = False
+                keep[[row for row, _ in items.in_column(batch.column(text_col))]] = False
                 yield batch.filter(pa.array(keep))
 
         docs = docs.mapInArrow(run, docs.schema)

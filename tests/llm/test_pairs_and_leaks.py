@@ -130,6 +130,23 @@ def test_every_near_window_is_a_candidate():
     assert missed <= 1
 
 
+def test_leaks_do_not_depend_on_the_blocks(spark, monkeypatch):
+    """2,001 items make two blocks, the last one of a single item; weights are those of the whole benchmark."""
+    rng = random.Random(12)
+    some = lambda n: ["".join(rng.choices("abcdefghij", k=7)) for _ in range(n)]
+    often, seldom = some(25), some(12)
+    items = [(k, " ".join(some(8) + (often if k % 2 else seldom if k % 100 == 0 else []) + some(8))) for k in range(2000)] + [(2000, " ".join(often + some(40)))]
+    last, first = items[2000][1].split(), items[101][1].split()
+    docs = [(0, " ".join(last)), (1, " ".join([*last[:12], "changed", *last[13:]])), (2, " ".join(seldom[-7:] + last[7:])), (3, " ".join([*last[:45], "changed", *last[46:]])), (4, " ".join([*first[:20], "changed", *first[21:]]))]
+    blocked = _leak_rows(spark, docs, items)
+    monkeypatch.setattr(decontamination, "ITEMS", 5000)
+    assert blocked == _leak_rows(spark, docs, items)
+    assert {(0, 2000), (1, 2000), (2, 2000)} <= set(blocked) and blocked[1, 2000]["similarity"] > 56 / 66  # what the often seen shingles weigh is little
+    monkeypatch.setattr(decontamination, "ITEMS", 70)
+    kept = decontamination.drop_leaking(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame(items[1900:], "item_id bigint, text string"))
+    assert {r["doc_id"] for r in kept.collect()} & {0, 1, 2} == set()
+
+
 def np_print(items, text):
     import pyarrow as pa
 
