@@ -108,14 +108,15 @@ def take_words(
 def mix(docs: DataFrame, text_col: str = "text", **options) -> DataFrame:
     """The mixed corpus: one row for each reading of a document, columns as in ``docs``.
 
-    A document at a source's cut is read up to the cut's word; ``n_chars`` (if there is one) follows the text.
+    A document at a source's cut is read up to the cut's word; ``n_chars`` (if there is one) follows the text. Empty and
+    null texts and others without a word take nothing from any target: each stays once, as it is.
     """
     names = docs.columns
     text = F.coalesce(F.col(text_col), F.lit(""))
     taken = take_words(docs, word_count(F.col(text_col)), **options)
-    reads = F.col("taken") / F.col("size")
+    reads = F.col("taken") / F.greatest(F.col("size"), F.lit(1))
     part = F.col("taken") - F.floor(reads) * F.col("size")
-    copies = taken.filter((F.col("taken") > 0) & (F.col("size") > 0)).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.ceil(reads).cast("int"))))
+    copies = taken.filter((F.col("taken") > 0) | (F.col("size") == 0)).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.ceil(reads).cast("int")))))
     cut = (F.col("_copy") > F.floor(reads)) & (part > 0)
     out = copies.withColumn(text_col, F.when(cut, _head_words(text, part)).otherwise(F.col(text_col)))
     if "n_chars" in names:

@@ -136,3 +136,11 @@ def test_archive_round_trip(spark, sf):
     want = {(r["file"], r["offset"]): r for r in laid.collect()}
     assert set(back) == set(want)
     assert all(back[k]["length"] == want[k]["length"] and back[k]["content"].decode() == (want[k]["html"] or "") for k in want)
+
+
+def test_mixing_keeps_texts_without_words(spark):
+    rows = [(1, "a", "one two three"), (2, "a", ""), (3, "b", None), (4, "b", " \t\n"), (5, "empty", ""), (6, "b", "four five")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, source string, text string")
+    mixed = mixing.mix(docs, weight=mixing.tempered_weight(0.8), share=None).collect()
+    assert {tuple(r) for r in mixed} >= set(rows)
+    assert [sum(r["doc_id"] == k for r in mixed) for k in (2, 3, 4, 5)] == [1, 1, 1, 1]
