@@ -14,7 +14,7 @@ from langspan.sources.tables import read
 
 def unigram_vocab(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four subword tokenizers of 1024 pieces."""
-    return unigram.train_unigram(docs(spark, sf_dir), seed_size=2500)
+    return unigram.train_unigram(docs(spark, sf_dir))
 
 
 def unigram_pooled(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -23,24 +23,20 @@ def unigram_pooled(spark: SparkSession, sf_dir: str) -> DataFrame:
     return unigram.train_unigram(both, size=2048, seed_size=4000)
 
 
-def _small(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return unigram.train_unigram(docs(spark, sf_dir), size=512, seed_size=1200, rounds=1)
-
-
 def unigram_encode(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """lang, n_words, n_tokens, n_unk of the held-out split by subword tokenizers."""
+    """lang, n_words, n_tokens, n_unk of the held-out split by the tokenizers of ``unigram_vocab``."""
     offsets = {lang: o for lang, o, _ in VOCAB.entries}
     test = utts(spark, sf_dir).filter("split = 'test'")
-    ids = unigram.encode_unigram(test, _small(spark, sf_dir), "utt_id", offsets)
+    ids = unigram.encode_unigram(test, unigram_vocab(spark, sf_dir), "utt_id", offsets)
     unk = F.size(F.filter("pieces", lambda p: p == "<unk>"))
     return ids.groupBy("lang").agg(F.sum(F.size(F.filter("pieces", lambda p: p.startswith(unigram.MARK)))).alias("n_words"), F.sum(F.size("pieces")).alias("n_tokens"), F.sum(unk).alias("n_unk"))
 
 
 def decode_mixed_lid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy on page titles decoded over all languages' subwords at once."""
+    """Accuracy on page titles decoded over all languages' subwords (of ``unigram_vocab``) at once."""
     offsets = {lang: o for lang, o, _ in VOCAB.entries}
     pages = read(spark, sf_dir, "pages").select("page_id", T.page_language(F.col("html")).alias("page_lang"), T.title(F.col("html")).alias("text"))
-    found = unigram.decode_mixed(pages, _small(spark, sf_dir), "page_id", offsets).select(F.col("page_id").alias("_p"), lid.vote_in_row(F.col("token_ids"), VOCAB).alias("pred"))
+    found = unigram.decode_mixed(pages, unigram_vocab(spark, sf_dir), "page_id", offsets).select(F.col("page_id").alias("_p"), lid.vote_in_row(F.col("token_ids"), VOCAB).alias("pred"))
     return metrics.lid_accuracy(pages.join(found, F.col("page_id") == F.col("_p")), "page_lang", "pred")
 
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
-from langspan.queries import measures
+from langspan.queries import measures, studies
 
 
 def _wer(spark, ref, hyp):
@@ -146,3 +146,12 @@ def test_error_rates_take_every_utterance(spark, sf):
         assert wer[lang]["ref_words"] == sum(len(r["ref"].split()) for r in own) and cer[lang]["ref_chars"] == sum(len(r["ref"]) for r in own)
         assert ops[lang]["substitutions"] + ops[lang]["deletions"] + ops[lang]["insertions"] == wer[lang]["errors"]
         assert tuple(ops[lang])[1:] == tuple(map(sum, zip(*(metrics.align(r["ref"].split(), r["hyp"].split()) for r in own), strict=True)))
+
+
+def test_studies_use_the_tokenizers_of_the_vocabulary(spark, sf, monkeypatch):
+    asked = []
+    train = unigram.train_unigram
+    monkeypatch.setattr(unigram, "train_unigram", lambda docs, *a, **options: asked.append((a, options)) or train(docs, size=40, seed_size=60, rounds=1))
+    for query in (studies.unigram_vocab, studies.unigram_encode, studies.decode_mixed_lid):
+        query(spark, sf)
+    assert asked == [((), {})] * 3  # the production parameters: 1,024 pieces, 3,000 seeds, two rounds
