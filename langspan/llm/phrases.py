@@ -13,7 +13,10 @@ The fingerprint is the root's name and a sketch of the multiset of phrase names
 from __future__ import annotations
 
 import hashlib
+import json
+from collections import Counter
 from collections.abc import Iterator
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -22,15 +25,17 @@ from pyspark.sql import functions as F
 
 from langspan.shipping import ship
 
-from .common import table
+from .common import hash48, table
 from .kernels import _BASE, _INVERSE, mix
 
 U = np.uint64
 BINS = 128
 #: First level whose phrases are sketched; texts under SHORT code points are sketched from level 1.
 LEVEL, SHORT = 2, 64
-#: Code points parsed together.
-AT_ONCE = 1 << 17
+#: Code points and rows parsed together, at most (one row at least). A row's number and bin have 21 bits in ``_sketch``.
+AT_ONCE, ROWS = 1 << 17, 1 << 12
+#: Bytes of text that a range of ids should hold, and ranges at most (further data makes them larger; rows stream through).
+RANGE_BYTES, RANGES = 32 << 20, 20_000
 _LOWEST = np.array([8] + [(k & -k).bit_length() - 1 for k in range(1, 256)], np.uint8)
 _tables: list[np.ndarray] = [np.ones(1, U), np.ones(1, U)]
 
@@ -121,7 +126,10 @@ def _sketch(rows: int, of: np.ndarray, names: np.ndarray) -> np.ndarray:
 
 
 def fingerprints(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Root names and sketches of the texts; an empty text has root 0 and an empty sketch."""
+    """Root names and sketches of the texts, ROWS of them at a time; an empty text has root 0 and an empty sketch."""
+    if len(texts) > ROWS:
+        parts = [fingerprints(texts[k : k + ROWS]) for k in range(0, len(texts), ROWS)]
+        return np.concatenate([r for r, _ in parts]), np.concatenate([s for _, s in parts])
     roots, sketches = np.zeros(len(texts), U), np.zeros((len(texts), BINS), np.uint8)
     some = [k for k, t in enumerate(texts) if t]
     if some:
@@ -176,7 +184,7 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[list[tuple[object
             rows.append((key, text or ""))
             size += len(text or "")
             closed = bool(guest)
-            if len(rows) > 1 and (closed or size >= AT_ONCE):
+            if len(rows) > 1 and (closed or size >= AT_ONCE or len(rows) > ROWS // 2):
                 yield rows
                 rows, size = rows[-1:], len(rows[-1][1])
 
@@ -215,7 +223,7 @@ def fingerprint_texts(docs: DataFrame, text_col: str = "text") -> DataFrame:
             for k, t in enumerate(texts):
                 group.append(t)
                 size += len(t)
-                if size >= AT_ONCE or k == len(texts) - 1:
+                if size >= AT_ONCE or len(group) >= ROWS or k == len(texts) - 1:
                     out += [rendered(*x) for x in zip(*fingerprints(group), strict=True)]
                     group, size = [], 0
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], [*names, "fingerprint"])
@@ -223,44 +231,68 @@ def fingerprint_texts(docs: DataFrame, text_col: str = "text") -> DataFrame:
     return docs.mapInArrow(run, docs.select("*", F.lit("").alias("fingerprint")).schema)
 
 
-def _range_of(key: Column, cuts: list[int]) -> Column:
+def _array(values: list, kind: str) -> Column:
+    """A literal array; one call to the JVM however many values there are."""
+    return F.from_json(F.lit(json.dumps(values)), f"array<{kind}>")
+
+
+def _below(key: Column, cuts: list[int]) -> Column:
     """How many of the ascending cuts are below the key: a search in two steps over literal arrays."""
     if not cuts:
         return F.lit(0)
     step = max(1, int(len(cuts) ** 0.5))
     groups = [cuts[k : k + step] for k in range(0, len(cuts), step)]
     below = lambda values: F.size(F.filter(values, lambda c: c < key))
-    literal = lambda values: F.array(*(F.lit(v).cast("bigint") for v in values))
-    group = below(literal([g[-1] for g in groups]))
-    inside = below(F.element_at(F.array(*map(literal, groups)), F.least(group, F.lit(len(groups) - 1)) + 1))
+    group = below(_array([g[-1] for g in groups], "bigint"))
+    inside = below(F.element_at(_array(groups, "array<bigint>"), F.least(group, F.lit(len(groups) - 1)) + 1))
     return F.when(group < len(groups), group * step + inside).otherwise(len(cuts)).cast("int")
 
 
-def compare_in_order(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _ranged(told: DataFrame, parts: int) -> tuple[DataFrame, int]:
+    """``told`` with ``_key``, ``_hash`` (order of rows of one key) and ``_range``, which ascends with both; and their number.
+
+    Cuts are quantiles of the ids. An id that holds several of them is dealt to as many ranges by the hash of its texts.
+    """
+    key = F.coalesce(F.col("doc_id"), F.lit(-(1 << 63)).cast("bigint"))
+    found = told.select(F.percentile_approx(key, [k / parts for k in range(1, parts)], 20 * parts).alias("cuts")).first()["cuts"] if parts > 1 else []
+    held = Counter(found or [])
+    cuts = sorted(held)
+    spread = [held[c] if held[c] > 1 else 0 for c in cuts]
+    firsts = list(accumulate((1 + n for n in spread), initial=0))
+    keyed = told.withColumn("_key", key).withColumn("_hash", hash48(F.coalesce("text", F.lit(""))))
+    keyed = keyed.withColumn("_range", _below(F.col("_key"), cuts))
+    if any(spread):
+        many = F.element_at(_array([*spread, 0], "int"), F.col("_range") + 1)
+        hot = (many > 0) & (F.col("_key") == F.element_at(_array([*cuts, 0], "bigint"), F.col("_range") + 1))
+        inside = F.when(hot, 1 + F.floor(F.col("_hash") / float(1 << 48) * many)).otherwise(0)
+        keyed = keyed.withColumn("_range", (F.element_at(_array(firsts, "int"), F.col("_range") + 1) + inside).cast("int"))
+    return keyed, firsts[-1] + 1
+
+
+def compare_in_order(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_bytes: int = RANGE_BYTES) -> DataFrame:
     """doc_id with fingerprints of each text and its edited text, and their likeness, also to the next text by id.
 
-    Texts move once, to id ranges of about equal counts; a range's first document also visits the range before it (the
-    first of all: the last range). Null ids come first and null texts are empty; rows that share an id follow by text;
+    Texts move once, to id ranges of about ``range_bytes``; a range's first document also visits the range before it (the
+    first of all: the last range). Null ids come first and null texts are empty; rows that share an id follow by the MD5
+    of their text, so that an id with very many rows is spread over ranges (rows equal in both stream through one task);
     a single row is its own next; an empty table gives none.
     """
     spark = docs.sparkSession
     ship(spark)
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 2)
     told = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    key = F.coalesce(F.col("doc_id"), F.lit(-(1 << 63)).cast("bigint"))
-    cuts = told.select(F.percentile_approx(key, [k / parts for k in range(1, parts)], 20 * parts).alias("cuts")).first()["cuts"]
-    cuts = sorted(set(cuts or []))
-    ranged = told.withColumn("_key", key).withColumn("_range", _range_of(F.col("_key"), cuts))
-    firsts = dict(ranged.groupBy("_range").agg(F.min("_key")).collect())
+    size = told.select(F.sum(F.octet_length("text").cast("bigint") + 16)).first()[0] or 0
+    ranged, parts = _ranged(told, min(RANGES, max(2, -(-size // range_bytes), spark.sparkContext.defaultParallelism)))
+    firsts = {r["_range"]: (r["f"]["_key"], r["f"]["_hash"]) for r in ranged.groupBy("_range").agg(F.min(F.struct("_key", "_hash")).alias("f")).collect()}
     full = sorted(firsts)
     before = {p: full[k - 1] for k, p in enumerate(full)}
     at = F.col("_range") + 1
-    first = F.element_at(F.array(*(F.lit(firsts.get(p)).cast("bigint") for p in range(len(cuts) + 1))), at)
-    visit = F.element_at(F.array(*(F.lit(before.get(p, -1)) for p in range(len(cuts) + 1))), at)
+    first_key, first_hash = (F.element_at(_array([firsts.get(p, (0, -1))[k] for p in range(parts)], "bigint"), at) for k in (0, 1))
+    visit = F.element_at(_array([before.get(p, -1) for p in range(parts)], "int"), at)
     home = F.struct(F.col("_range").alias("part"), F.lit(0).alias("guest"))
     away = F.struct(visit.alias("part"), F.lit(1).alias("guest"))
-    dealt = ranged.select("doc_id", "text", "_key", F.inline(F.when(F.col("_key") == first, F.array(home, away)).otherwise(F.array(home))))
-    ordered = dealt.repartition("part").sortWithinPartitions("part", "guest", "_key", "text").select("part", "guest", "doc_id", "text")
+    is_first = (F.col("_key") == first_key) & (F.col("_hash") == first_hash)
+    dealt = ranged.select("doc_id", "text", "_key", "_hash", F.inline(F.when(is_first, F.array(home, away)).otherwise(F.array(home))))
+    ordered = dealt.repartitionById(parts, F.col("part")).sortWithinPartitions("part", "guest", "_key", "_hash", "text").select("part", "guest", "doc_id", "text")
     return ordered.mapInArrow(_compared, f"doc_id bigint, {_OUT}")
 
 

@@ -1,6 +1,7 @@
 import hashlib
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -95,6 +96,60 @@ def test_fingerprints_do_not_depend_on_the_batch():
     assert len(set(roots.tolist())) == len(texts)
 
 
+def test_many_short_texts_together():
+    """More rows than a sketch's key can number: copies have equal fingerprints, equal to those made one by one."""
+    rng = random.Random(8)
+    some = ["".join(rng.choices("etaoinshrdlu", k=rng.randint(1, 7))) for _ in range(20_000)]
+    texts = some + some[::-1]
+    roots, sketches = phrases.fingerprints(texts)
+    assert (roots == roots[::-1]).all() and (sketches == sketches[::-1]).all()
+    for k in rng.sample(range(len(texts)), 300):
+        r, s = phrases.fingerprints([texts[k]])
+        assert r[0] == roots[k] and (s[0] == sketches[k]).all()
+
+
+def _multiset(text):
+    names = []
+    for level, (n, _, _) in enumerate(phrases.parse(np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64), np.array([0, len(text)])), 1):
+        if level >= (phrases.LEVEL if len(text) >= phrases.SHORT else 1):
+            names += n.tolist()
+    return Counter([*names, *n.tolist()])
+
+
+def test_likeness_follows_the_multisets(spark):
+    """near_edited and near_next against the exact similarity of the multisets of phrase names."""
+    rng = random.Random(9)
+    rows, text = [], _words(rng, 300)
+    for k in range(40):
+        w = text.split()
+        for _ in range(rng.choice([0, 1, 4, 20, 100])):
+            w[rng.randrange(len(w))] = _words(rng, 1)
+        text = " ".join(w)
+        rows.append((k, text))
+    got = {r["doc_id"]: r for r in phrases.compare_in_order(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    for k, t in rows:
+        following = rows[(k + 1) % len(rows)][1]
+        for other, near in ((following, "near_next"), (phrases.edited(t, following), "near_edited")):
+            a, b = _multiset(t), _multiset(other)
+            assert abs(got[k][near] - (a & b).total() / (a | b).total()) < 0.17, (k, near)
+
+
+def test_one_id_with_most_rows_is_spread(spark):
+    rng = random.Random(10)
+    rows = [(None, _words(rng, 3)) for _ in range(300)] + [(7, _words(rng, 3)) for _ in range(300)] + [(7, "same")] * 50 + [(k, "") for k in range(20)]
+    told = spark.createDataFrame(rows, "doc_id bigint, text string")
+    ranged, parts = phrases._ranged(told, 12)
+    sizes = sorted(r["count"] for r in ranged.groupBy("_range").count().collect())
+    assert len(sizes) > 8 and sizes[-1] < 0.3 * len(rows) and parts >= len(sizes)
+    got = phrases.compare_in_order(told, range_bytes=800).collect()
+    md5 = lambda t: int(hashlib.md5(t.encode()).hexdigest()[:12], 16)
+    ordered = sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, md5(r[1]), r[1]))
+    want = Counter()
+    for (key, text), (_, following) in zip(ordered, ordered[1:] + ordered[:1], strict=True):
+        want[key, hashlib.sha256(phrases.edited(text, following).encode()).hexdigest()] += 1
+    assert Counter((r["doc_id"], r["edited_sha256"]) for r in got) == want
+
+
 def test_order_and_edits(spark):
     rng = random.Random(7)
     rows = [(k * 7 % 101, _words(rng, rng.randint(0, 60))) for k in range(1, 60)] + [(500, None), (501, "")]
