@@ -22,6 +22,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op1_rendezvous_sharding": sharding.ORACLE,
     "op4_line_windows": line_dedup.ORACLE,
     "op5_preference_pairs": preferences.ORACLE,
     "op6_source_mixing": mixing.ORACLE,

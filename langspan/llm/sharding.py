@@ -15,7 +15,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import hash48, table, without
+from .common import hash48, inner_names, table, without
 
 LAW = "key"
 
@@ -36,33 +36,30 @@ def rendezvous(key: Column, weights: Sequence[float]) -> Column:
     return (-F.array_max(F.array(*scores))["negated"]).cast("int")
 
 
-def assign_shards(docs: DataFrame, weights: Sequence[float] = (1.0,) * 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with ``shard`` INT and ``slot`` BIGINT (replacing columns of these names).
+def assign_shards(docs: DataFrame, weights: Sequence[float] = (1.0,) * 8, id_col: str = "doc_id", text_col: str = "text", checksum: Column | None = None) -> DataFrame:
+    """``docs`` with ``shard`` INT and ``slot`` BIGINT at the end (columns of these two names are replaced, no others).
 
     A null id is keyed by its text, a null text counts as empty; repeated rows all stay and get slots of their own;
-    an empty table stays empty. Order inside a shard: hash bucket, key, text checksum.
+    an empty table stays empty. Order inside a shard: hash bucket of key and text checksum, key, checksum; rows of one id
+    are thus spread over buckets by their texts, and only rows equal in both are numbered by one task. ``checksum``
+    stands in for the text's CRC-32 where the texts are not at hand.
     """
     rows = docs.count()
     buckets = max(1, math.ceil(math.sqrt(rows / len(weights))))
-    key = record_key(id_col, text_col)
+    docs = without(docs, "shard", "slot")
+    key, crc, bucket, first = inner_names(docs, "_key", "_crc", "_bucket", "_first")
     dealt = (
-        without(docs, "shard", "slot")
-        .withColumn("_key", key)
-        .withColumn("shard", rendezvous(F.col("_key"), weights))
-        .withColumn("_bucket", F.pmod(hash48(F.col("_key")), F.lit(buckets)).cast("int"))
-    )
-    by_shard = Window.partitionBy("shard").orderBy("_bucket")
-    firsts = (
-        dealt.groupBy("shard", "_bucket")
-        .agg(F.count(F.lit(1)).alias("_n"))
-        .select("shard", "_bucket", (F.sum("_n").over(by_shard) - F.col("_n")).alias("_first"))
-    )
-    inside = Window.partitionBy("shard", "_bucket").orderBy("_key", F.crc32(F.coalesce(F.col(text_col), F.lit(""))))
-    return (
-        dealt.join(firsts, ["shard", "_bucket"])
-        .withColumn("slot", (F.col("_first") + F.row_number().over(inside) - 1).cast("bigint"))
-        .drop("_key", "_bucket", "_first")
+        docs.withColumn(key, record_key(id_col, text_col))
+        .withColumn(crc, F.crc32(F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))) if checksum is None else checksum)
+        .withColumn("shard", rendezvous(F.col(key), weights))
+        .withColumn(bucket, F.pmod(hash48(F.concat(F.col(key), F.lit(":"), F.col(crc).cast("string"))), F.lit(buckets)).cast("int"))
     )
+    by_shard = Window.partitionBy("shard").orderBy(bucket)
+    firsts = dealt.groupBy("shard", bucket).agg(F.count(F.lit(1)).alias("n"))
+    firsts = firsts.select("shard", bucket, (F.sum("n").over(by_shard) - F.col("n")).alias(first))
+    inside = Window.partitionBy("shard", bucket).orderBy(key, crc)
+    slot = (F.col(first) + F.row_number().over(inside) - 1).cast("bigint")
+    return dealt.join(firsts, ["shard", bucket]).select(*(f"`{c}`" for c in docs.columns), "shard", slot.alias("slot"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -75,11 +72,29 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.when(F.col("doc_id").isNull(), F.md5(text)).alias("text"),
     )
     # rows without an id are keyed by a digest of their text; the texts themselves are not moved
-    return assign_shards(small).select(
+    return assign_shards(small, checksum=F.col("text_crc32")).select(
         "doc_id", "size", "text_crc32", F.lit(LAW).alias("law"), "shard", "slot", rendezvous(record_key(), (1.0,) * 9).alias("grown_shard")
     )
 
 
+def crc_table() -> list[int]:
+    """The byte table of CRC-32 (reflected polynomial 0xEDB88320)."""
+    out = []
+    for byte in range(256):
+        for _ in range(8):
+            byte = byte >> 1 ^ (0xEDB88320 if byte & 1 else 0)
+        out.append(byte)
+    return out
+
+
+def crc_sql(text: str) -> str:
+    """CRC-32 of a text in DuckDB, which has no function for it: a fold of its bytes over the table."""
+    values = f"[{', '.join(map(str, crc_table()))}]::bigint[]"
+    data = f"list_transform(regexp_extract_all(hex(encode({text})), '..'), lambda b: ('0x' || b)::bigint)"
+    step = f"lambda c, b: xor(c >> 8, list_extract({values}, (xor(c, b) & 255) + 1))"
+    return f"xor(list_reduce(list_concat([4294967295::bigint], {data}), {step}), 4294967295::bigint)"
+
+
 def oracle() -> str:
     def winner(n: int) -> str:
         scores = ", ".join(f"{{'s': -1.0 / ln((h48(k || ':{i}') + 0.5) / 281474976710656.0), 'i': -{i}}}" for i in range(n))
@@ -96,7 +111,10 @@ def oracle() -> str:
         return sql
 
     return inlined(f"""
-WITH d AS (SELECT doc_id, coalesce(doc_id::varchar, '#' || md5(md5(coalesce(text, '')))) AS k, octet_length(encode(coalesce(text, ''))) + 1 AS size FROM documents),
+WITH d AS (SELECT doc_id, coalesce(doc_id::varchar, '#' || md5(md5(coalesce(text, '')))) AS k, (octet_length(encode(coalesce(text, ''))) + 1)::bigint AS size, {crc_sql("coalesce(text, '')")} AS crc FROM documents),
 m AS (SELECT greatest(1, ceil(sqrt(count(*) / 8.0)))::bigint AS buckets FROM d),
-s AS (SELECT doc_id, k, size::bigint AS size, {winner(8)} AS shard, {winner(9)} AS grown_shard, h48(k) % buckets AS bucket FROM d, m)
-SELECT doc_id, size, 'key' AS law, shard, row_number() OVER (PARTITION BY shard ORDER BY bucket, k) - 1 AS slot, grown_shard FROM s""")
+s AS (SELECT doc_id, k, crc, size, {winner(8)} AS shard, {winner(9)} AS grown_shard, h48(k || ':' || crc::varchar) % buckets AS bucket FROM d, m)
+SELECT doc_id, size, crc AS text_crc32, 'key' AS law, shard, row_number() OVER (PARTITION BY shard ORDER BY bucket, k) - 1 AS slot, grown_shard FROM s""")
+
+
+ORACLE = oracle()
