@@ -15,7 +15,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import hash48, table, without, word_count
+from .common import hash48, inner_names, table, without, word_count
 
 MOST_READS = 3
 #: Sources are planned on the driver, a few numbers for each; more than this raises an error.
@@ -71,38 +71,42 @@ def take_words(
     share: float | None = 1.0,
     most: float = MOST_READS,
     seed: str = "mix",
+    spare: Column | None = None,
 ) -> DataFrame:
-    """``docs`` with ``size``, ``source_size``, ``target`` and ``taken`` (words taken, repeats counted; these names are replaced).
+    """``docs`` with ``size``, ``source_size``, ``target`` and ``taken`` (words taken, repeats counted) at the end; columns of
+    these names are replaced, no others.
 
-    Null sources are one source, last in order; null ids and repeated ids are ordered as equals, by size; documents
-    without words take nothing; an empty table stays empty. Every run gives the same counts.
+    Null sources are one source, last in order. Null ids go by ``spare`` (a digest of the text; without it by size alone),
+    repeated ids by size: equals are ordered together. Documents without words take nothing; an empty table stays empty.
+    Every run gives the same counts.
     """
-    docs = without(docs, "source_size", "target", "taken").withColumn("size", size.cast("bigint"))
-    sources = plan_sources(docs, F.col("size"), source_col, weight, share, most)
-    plan = docs.sparkSession.createDataFrame(sources, "_source string, _rows bigint, source_size bigint, target double")
-    plan = plan.withColumn("_reads", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0))
-    plan = plan.withColumn("_rest", F.round(F.col("target") - F.col("_reads") * F.col("source_size")).cast("bigint"))
-    plan = F.broadcast(plan.withColumn("_ranges", F.ceil(F.sqrt(F.col("_rows")))))
-    key = hash48(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))))
+    docs = docs.withColumn("size", size.cast("bigint"))
+    names = [c for c in without(docs, "size", "source_size", "target", "taken").columns]
+    own = inner_names(docs, "_source", "_rows", "_reads", "_rest", "_ranges", "_key", "_range", "_from", "_at", "_first")
+    source, rows, reads, rest, ranges, key, range_, from_, at, first = own
+    c = F.col
+    docs = without(docs, "source_size", "target", "taken")
+    sources = plan_sources(docs, c("size"), source_col, weight, share, most)
+    plan = docs.sparkSession.createDataFrame(sources, f"{source} string, {rows} bigint, source_size bigint, target double")
+    plan = plan.withColumn(reads, F.when(c("source_size") > 0, F.floor(c("target") / c("source_size"))).otherwise(0))
+    plan = plan.withColumn(rest, F.round(c("target") - c(reads) * c("source_size")).cast("bigint"))
+    plan = F.broadcast(plan.withColumn(ranges, F.ceil(F.sqrt(c(rows)))))
+    told = F.coalesce(c(f"`{id_col}`").cast("string"), F.lit("") if spare is None else F.concat(F.lit("#"), spare))
+    order = hash48(F.concat(F.lit(f"{seed}:"), told, F.lit(":"), c("size").cast("string")))
     keyed = (
-        docs.join(plan, F.col(source_col).cast("string").eqNullSafe(F.col("_source")))
-        .withColumn("_key", key)
-        .withColumn("_range", F.floor(F.col("_key") / F.lit(_SPAN) * F.col("_ranges")).cast("bigint"))
-    )
-    by_source = Window.partitionBy("_source").orderBy("_range")
-    firsts = (
-        keyed.groupBy("_source", "_range")
-        .agg(F.sum("size").alias("_n"))
-        .select(F.col("_source").alias("_from"), F.col("_range").alias("_at"), (F.sum("_n").over(by_source) - F.col("_n")).alias("_first"))
-    )
-    inside = Window.partitionBy("_source", "_range").orderBy("_key", id_col, "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    before = F.col("_first") + F.sum("size").over(inside) - F.col("size")
-    rest = F.greatest(F.lit(0), F.least(F.col("size"), F.col("_rest") - before))
-    return (
-        keyed.join(firsts, F.col("_source").eqNullSafe(F.col("_from")) & (F.col("_range") == F.col("_at")))
-        .withColumn("taken", (F.col("_reads") * F.col("size") + rest).cast("bigint"))
-        .drop("_source", "_rows", "_reads", "_rest", "_ranges", "_key", "_range", "_from", "_at", "_first")
+        docs.join(plan, c(f"`{source_col}`").cast("string").eqNullSafe(c(source)))
+        .withColumn(key, order)
+        .withColumn(range_, F.floor(c(key) / F.lit(_SPAN) * c(ranges)).cast("bigint"))
     )
+    by_source = Window.partitionBy(source).orderBy(range_)
+    firsts = keyed.groupBy(source, range_).agg(F.sum("size").alias("n"))
+    firsts = firsts.select(c(source).alias(from_), c(range_).alias(at), (F.sum("n").over(by_source) - c("n")).alias(first))
+    inside = Window.partitionBy(source, range_).orderBy(key, id_col, "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    before = c(first) + F.sum("size").over(inside) - c("size")
+    more = F.greatest(F.lit(0), F.least(c("size"), c(rest) - before))
+    joined = keyed.join(firsts, c(source).eqNullSafe(c(from_)) & (c(range_) == c(at)))
+    taken = (c(reads) * c("size") + more).cast("bigint").alias("taken")
+    return joined.select(*(f"`{n}`" for n in names), "size", "source_size", "target", taken)
 
 
 def mix(docs: DataFrame, text_col: str = "text", **options) -> DataFrame:
@@ -112,16 +116,22 @@ def mix(docs: DataFrame, text_col: str = "text", **options) -> DataFrame:
     null texts and others without a word take nothing from any target: each stays once, as it is.
     """
     names = docs.columns
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    taken = take_words(docs, word_count(F.col(text_col)), **options)
+    own = [f"_column_{k}" for k in range(len(names))]  # so that no name of theirs meets one of ours
+    text, source, id_ = (own[[n.lower() for n in names].index(c.lower())] for c in (text_col, options.pop("source_col", "source"), options.pop("id_col", "doc_id")))
+    told = docs.select(*(F.col(f"`{c}`").alias(o) for c, o in zip(names, own, strict=True)))
+    spare = F.md5(F.coalesce(F.col(text).cast("string"), F.lit("")))
+    taken = take_words(told, word_count(F.col(text)), id_, source, spare=spare, **options)
     reads = F.col("taken") / F.greatest(F.col("size"), F.lit(1))
     part = F.col("taken") - F.floor(reads) * F.col("size")
-    copies = taken.filter((F.col("taken") > 0) | (F.col("size") == 0)).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.ceil(reads).cast("int")))))
-    cut = (F.col("_copy") > F.floor(reads)) & (part > 0)
-    out = copies.withColumn(text_col, F.when(cut, _head_words(text, part)).otherwise(F.col(text_col)))
+    times = F.greatest(F.lit(1), F.ceil(reads).cast("int"))
+    copies = taken.filter((F.col("taken") > 0) | (F.col("size") == 0)).withColumn("copy", F.explode(F.sequence(F.lit(1), times)))
+    cut = (F.col("copy") > F.floor(reads)) & (part > 0)
+    out = {o: F.col(o) for o in own}
+    out[text] = F.when(cut, _head_words(F.col(text), part)).otherwise(F.col(text))
     if "n_chars" in names:
-        out = out.withColumn("n_chars", F.when(cut, F.length(text_col)).otherwise(F.col("n_chars")).cast("bigint"))
-    return out.select(names)
+        count = own[names.index("n_chars")]
+        out[count] = F.when(cut, F.length(out[text])).otherwise(F.col(count)).cast("bigint")
+    return copies.select(*(out[o].alias(c) for c, o in zip(names, own, strict=True)))
 
 
 def _head_words(text: Column, n: Column) -> Column:
@@ -132,12 +142,13 @@ def _head_words(text: Column, n: Column) -> Column:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Contract digest of mixing all documents: weights 1, 2, 3 repeating over the sources, all words, 3 readings at most."""
-    small = table(spark, sf_dir, "documents").select("doc_id", "source", word_count(F.col("text")).alias("size"))
-    return take_words(small, F.col("size")).select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
+    spare = F.when(F.col("doc_id").isNull(), F.md5(F.coalesce(F.col("text"), F.lit("")))).alias("spare")
+    small = table(spark, sf_dir, "documents").select("doc_id", "source", word_count(F.col("text")).alias("size"), spare)
+    return take_words(small, F.col("size"), spare=F.col("spare")).select("doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken")
 
 
 ORACLE = r"""
-WITH RECURSIVE d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::bigint AS size FROM documents),
+WITH RECURSIVE d AS (SELECT doc_id, source, coalesce(doc_id::varchar, '#' || md5(coalesce(text, ''))) AS told, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::bigint AS size FROM documents),
 s AS (SELECT source, count(*) AS n, sum(size)::bigint AS source_size, ((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1)::double AS w FROM d GROUP BY source),
 o AS (SELECT *, row_number() OVER (ORDER BY 3.0 * source_size / w, source NULLS LAST) AS k FROM s WHERE source_size > 0),
 f AS (
@@ -148,6 +159,6 @@ p AS (SELECT s.source, s.source_size, coalesce(f.target, 0) AS target FROM s LEF
 q AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size) ELSE 0 END AS reads FROM p),
 t AS (
   SELECT d.doc_id, d.size, q.source_size, q.target, q.reads, round(q.target - q.reads * q.source_size)::bigint AS rest,
-    sum(d.size) OVER (PARTITION BY d.source ORDER BY ('0x' || substr(md5('mix:' || coalesce(doc_id::varchar, '')), 1, 12))::bigint, doc_id, d.size ROWS UNBOUNDED PRECEDING) - d.size AS before
+    sum(d.size) OVER (PARTITION BY d.source ORDER BY ('0x' || substr(md5('mix:' || told || ':' || d.size::varchar), 1, 12))::bigint, doc_id, d.size ROWS UNBOUNDED PRECEDING) - d.size AS before
   FROM d JOIN q ON d.source IS NOT DISTINCT FROM q.source)
 SELECT doc_id, size, source_size, round(target, 6) AS target, (reads * size + greatest(0, least(size, rest - before)))::bigint AS taken FROM t"""
