@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import durable, table, without
+from .common import durable, inner_names, table, without
 
 WINDOW = 3
 
@@ -56,16 +56,17 @@ def drop_repeated_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str
             F.array_distinct(F.flatten(F.transform("_pos", lambda p: F.array(*(p + k for k in range(WINDOW)))))).alias("_covered"),
         )
     )
-    lines = F.split(F.col(text_col), "\n")
-    kept = F.transform(F.array_except(F.sequence(F.lit(1), F.size("_lines")), F.col("_covered")), lambda i: F.element_at("_lines", i))
-    docs = without(docs, "n_lines", "n_removed").withColumn("_hash", F.xxhash64(text_col))
+    docs = without(docs, "n_lines", "n_removed")
+    hash_, of, of_hash, gone, lines = inner_names(docs, "_hash", "_of", "_of_hash", "_covered", "_lines")
+    covered = covered.toDF(of, of_hash, gone)
+    on = F.col(id_col).eqNullSafe(F.col(of)) & (F.col(hash_) == F.col(of_hash))
+    joined = docs.withColumn(hash_, F.xxhash64(text_col)).join(covered.hint("shuffle_hash"), on, "left").withColumn(lines, F.split(F.col(text_col), "\n"))
+    kept = F.transform(F.array_except(F.sequence(F.lit(1), F.size(lines)), F.col(gone)), lambda i: F.element_at(lines, i))
     return (
-        docs.join(covered.hint("shuffle_hash"), F.col(id_col).eqNullSafe(F.col("_of")) & (F.col("_hash") == F.col("_of_hash")), "left")
-        .withColumn("_lines", lines)
-        .withColumn("n_lines", F.when(F.col(text_col).isNull(), 0).otherwise(F.size("_lines")).cast("bigint"))
-        .withColumn("n_removed", F.when(F.col("_covered").isNull(), F.lit(0)).otherwise(F.size("_covered")).cast("bigint"))
-        .withColumn(text_col, F.when(F.col("_covered").isNull(), F.col(text_col)).otherwise(F.array_join(kept, "\n")))
-        .drop("_hash", "_of", "_of_hash", "_covered", "_lines")
+        joined.withColumn("n_lines", F.when(F.col(text_col).isNull(), 0).otherwise(F.size(lines)).cast("bigint"))
+        .withColumn("n_removed", F.when(F.col(gone).isNull(), F.lit(0)).otherwise(F.size(gone)).cast("bigint"))
+        .withColumn(text_col, F.when(F.col(gone).isNull(), F.col(text_col)).otherwise(F.array_join(kept, "\n")))
+        .drop(hash_, of, of_hash, gone, lines)
     )
 
 

@@ -144,3 +144,36 @@ def test_mixing_keeps_texts_without_words(spark):
     mixed = mixing.mix(docs, weight=mixing.tempered_weight(0.8), share=None).collect()
     assert {tuple(r) for r in mixed} >= set(rows)
     assert [sum(r["doc_id"] == k for r in mixed) for k in (2, 3, 4, 5)] == [1, 1, 1, 1]
+
+
+def test_names_of_the_callers_columns_stay(spark):
+    """Columns named like inner ones pass through with their values."""
+    names = ["_key", "_bucket", "_first", "_crc", "_source", "_rows", "_range", "_at", "_hash", "_of", "_lines", "_covered", "n", "copy"]
+    docs = spark.createDataFrame([(k, f"w{k} x\ny\nz", "s") for k in range(12)], "doc_id bigint, text string, source string")
+    docs = docs.select("*", *(F.lit(f"kept {n}").alias(n) for n in names))
+    for out in (sharding.assign_shards(docs), mixing.take_words(docs, mixing.word_count(F.col("text"))), mixing.mix(docs), line_dedup.drop_repeated_windows(docs)):
+        assert set(docs.columns) <= set(out.columns)
+        rows = out.collect()
+        assert rows and all(r[n] == f"kept {n}" for r in rows for n in names)
+
+
+def test_one_id_or_none_for_most_rows(spark):
+    """Rows of one id, or of none, are spread over buckets and ranges by their texts."""
+    rows = [(None if k % 2 else 7, f"text {k} " + "w " * (k % 50), "s") for k in range(4000)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    slots = sharding.assign_shards(docs, (1.0,)).select("slot").collect()
+    assert sorted(r["slot"] for r in slots) == list(range(4000))
+    taken = mixing.take_words(docs, mixing.word_count(F.col("text")), spare=F.md5("text")).collect()
+    assert sum(r["taken"] for r in taken) == sum(r["size"] for r in taken) == taken[0]["target"]
+
+
+def test_very_long_texts(spark):
+    long = "\n".join(f"line {k} of many" for k in range(60_000))
+    docs = spark.createDataFrame([(1, long, "s"), (2, long, "s"), (3, "word " * 300_000, "t")], "doc_id bigint, text string, source string")
+    lines = {r["doc_id"]: (r["n_lines"], r["n_removed"]) for r in line_dedup.drop_repeated_windows(docs).collect()}
+    assert lines == {1: (60_000, 0), 2: (60_000, 60_000), 3: (1, 0)}
+    words = Counter()
+    for r in mixing.mix(docs).collect():
+        words[r["source"]] += len(r["text"].split())
+    total = 2 * 240_000 + 300_000
+    assert sum(words.values()) == total and abs(words["s"] - total / 3) <= 1
