@@ -55,11 +55,11 @@ def test_field_adds_what_the_patterns_lose(spark, sf):
 
 def test_message_passing_is_exact_on_trees():
     rng = np.random.default_rng(0)
-    field = personal_data.Field(rng.normal(size=(personal_data.SHAPES + 1, 5)), rng.normal(size=(5, 5)), rng.normal(size=(5, 5)))
-    doc = personal_data.Document([], [(0, 1, 0, 1)] * 4, [1, 5, 9, 2], [0] * 4, [False] * 4, [(0, 1), (1, 2)], [(1, 3)])
-    bits = (np.array(doc.shapes)[:, None] >> np.arange(personal_data.SHAPES)) & 1
-    own = np.hstack([bits, np.ones((4, 1))]) @ field.shape
-    table = np.zeros((5,) * 4)
+    size = len(personal_data.LABELS)
+    field = personal_data.Field(rng.normal(size=(personal_data.SHAPES + 1, size)), rng.normal(size=(size, size)), rng.normal(size=(size, size)))
+    doc = personal_data.Document([], [], [(0, 1, 0, 1)] * 4, [1, 5, 9, 2], [0] * 4, [False] * 4, [(0, 1), (1, 2)], [(1, 3)])
+    own = field.own(doc.shapes)
+    table = np.zeros((size,) * 4)
     for idx in np.ndindex(*table.shape):
         table[idx] = sum(own[k, idx[k]] for k in range(4)) + field.chain[idx[0], idx[1]] + field.chain[idx[1], idx[2]] + field.skip[idx[1], idx[3]]
     p = np.exp(table - table.max())
@@ -68,6 +68,63 @@ def test_message_passing_is_exact_on_trees():
     assert field.beliefs(doc) == pytest.approx(want, abs=2e-3)
 
 
+def test_training_is_the_maximum_of_the_pseudo_likelihood():
+    """Slopes of the penalised pseudo-likelihood, by differences, vanish at what training finds."""
+    rng = random.Random(3)
+    size = len(personal_data.LABELS)
+    rows = [(rng.randrange(size), rng.randrange(1 << 6), rng.randrange(-1, size), rng.randrange(-1, size), *(rng.randrange(3) for _ in range(size)), rng.randrange(1, 9)) for _ in range(60)]
+    f = personal_data.fitted(rows)
+
+    def value(shape, chain, skip):
+        field, total = personal_data.Field(shape, chain, skip), 0.0
+        for y, s, before, after, *repeats, n in rows:
+            z = field.own([s])[0] + (chain[before] if before >= 0 else 0) + (chain[:, after] if after >= 0 else 0) + np.array(repeats) @ skip
+            total += n * (z[y] - z.max() - np.log(np.exp(z - z.max()).sum()))
+        upper = np.triu_indices(size)
+        return total - personal_data.PRIOR / 2 * ((shape**2).sum() + (chain**2).sum() + ((skip - personal_data.AGREE * np.eye(size))[upper] ** 2).sum())
+
+    for which in range(3):
+        for _ in range(6):
+            i, j = rng.randrange(size), rng.randrange(size)
+            ends = []
+            for h in (1e-4, -1e-4):
+                parts = [f.shape.copy(), f.chain.copy(), f.skip.copy()]
+                parts[which][i, j] += h
+                if which == 2 and i != j:
+                    parts[which][j, i] += h
+                ends.append(value(*parts))
+            assert abs(ends[0] - ends[1]) / 2e-4 < 1e-2
+
+
+def test_labels_reach_all_repeats(spark, sf):
+    """One prefixed number and a hundred bare repeats of it; one named key and a repeat; numbers that are none stay out."""
+    field = personal_data.train(spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet"))
+    key = "9c8b45435718dcc700c184a7e303cdc64c6a8f7f"
+    bare = " and ".join(["5553296"] * 100)
+    texts = ["first " + bare + " but +1 (269) 555-3296 is it", f'token = "{key}" again {key} end', "On 2024-05-06 at 12:30 we saw 1234567 of 42 (7) v2.0.1, 3. and 4.0.", "555-3296 alone, 4524132264652870 no card"]
+    rows = [r for r in personal_data.find_personal_data(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), field).sort("doc_id").collect()]
+    assert rows[0]["n_phone"] == 1 and rows[0]["n_added"] == 100
+    assert rows[1]["secrets"] == f"secret:9:49,secret:57:97" and rows[1]["spans"] == "" and rows[1]["n_found"] == 2
+    assert rows[2]["n_found"] == 0 and rows[3]["n_found"] == 0
+
+
+def test_planted_personal_data_is_found(spark, sf):
+    """Every document with a pattern's span or a named key counts as found, no other with a digit does."""
+    docs = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet")
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    planted = {k for k, t in texts.items() if brute_spans(t) or re.search(r'(?i)token = "[0-9a-f]{40}"', t)}
+    found = {r["doc_id"]: r for r in personal_data.find_personal_data(docs).collect()}
+    caught = {k for k, r in found.items() if r["n_found"]}
+    assert planted <= caught and len(caught - planted) <= 0.01 * len(texts)
+
+
+def test_personal_data_of_odd_rows(spark):
+    docs = spark.createDataFrame([(None, "a.b@c.example.com"), (None, "a.b@c.example.com"), (1, None), (2, "7" * 300_000 + " " + "12 " * 100_000)], "doc_id bigint, text string").withColumn("spans", F.lit("clash")).withColumn("n_email", F.lit(9))
+    rows = personal_data.find_personal_data(docs).collect()
+    assert sorted(r["n_email"] for r in rows) == [0, 0, 1, 1] and [r["spans"] for r in rows if r["doc_id"] is None] == ["email:0:17"] * 2
+    assert personal_data.find_personal_data(docs.limit(0)).count() == 0
+
+
 def _words(rng, n):
     return " ".join("".join(rng.choices("etaoinshrdlu", k=rng.randint(2, 9))) for _ in range(n))
 
