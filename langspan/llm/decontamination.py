@@ -2,13 +2,16 @@
 
 Words are runs of ASCII letters, digits and non-ASCII bytes, lower-cased, so that case and punctuation do not hide a
 leak. A window has as many words as the item it is held against (the whole text if that is shorter). Its SimHash sums
-the signed bits of its five-word shingles, weighted like in the check. Two fingerprints within RADIUS of each other
-differ by at most RADIUS // 4 bits in one of four 16-bit blocks, so a table of every block value within that distance
-of an item's finds them all. What it finds is decided by weighted Jaccard of the shingle multisets; a shingle weighs
-ln(1 + items / items that have it), counted once over the whole benchmark. Only windows that share a shingle with some
-item are fingerprinted: any other has similarity 0. Texts never move: the items, in blocks of bounded size, go to the
-documents, and with them the weights of all shingles that several items have (any other weighs as one that a single item
-has), so that neither fingerprints nor similarities depend on the blocks.
+the signed bits of its five-word shingles. A shingle weighs ln(1 + items / items that have it), counted once over the
+whole benchmark; its bits count by the square root of that, so that the angle between two sums follows their weighted
+overlap. Two fingerprints within RADIUS of each other differ by at most RADIUS // 5 bits in one of five blocks, so a
+table of every block value within that distance of an item's finds them all. What it finds is decided by weighted
+Jaccard of the shingle multisets. Only windows that share a shingle with some item are fingerprinted: any other has
+similarity 0.
+
+Texts never move and are read once: the items, in blocks of bounded size, go to the documents, and with them a filter of
+all items' shingles and the weights of those that several items have (any other weighs as one that a single item has), so
+that neither fingerprints nor similarities depend on the blocks. A worker holds one block of items at a time.
 """
 
 from __future__ import annotations
@@ -29,9 +32,12 @@ from .common import table
 WORDS = 5
 THRESHOLD = 0.8
 RADIUS = 19
-BLOCKS, BITS = 4, 16
-#: Items and bytes of items that are held against all documents at once; more items make more passes.
-ITEMS, ITEM_BYTES = 2000, 8 << 20
+#: Widths of the blocks of a fingerprint.
+BITS = (13, 13, 13, 13, 12)
+#: Items and bytes of items in a block (about 8 KB of tables an item); more items make more blocks for every batch of texts.
+ITEMS, ITEM_BYTES = 4000, 8 << 20
+#: Bits of the filter over all items' shingles; where it fills up it lets more rows through, never fewer.
+FILTER = 1 << 23
 #: Windows fingerprinted at a time.
 AT_ONCE = 4096
 _SHIFTS = np.arange(64, dtype=np.uint64)
@@ -49,6 +55,11 @@ def _signs(shingles: np.ndarray) -> np.ndarray:
     return ((shingles[:, None] >> _SHIFTS) & np.uint64(1)).astype(np.float32) * 2 - 1
 
 
+def _pull(shingles: np.ndarray, weight: Weights) -> np.ndarray:
+    """What each shingle adds to the sums of the bits."""
+    return _signs(shingles) * np.sqrt(weight(shingles))[:, None]
+
+
 def _fingerprint(sums: np.ndarray) -> np.ndarray:
     return ((np.round(sums, 6) > 0).astype(np.uint64) << _SHIFTS).sum(axis=1, dtype=np.uint64)
 
@@ -111,19 +122,22 @@ class Items:
         self.holders, self.first_holder = pairs["i"].astype(np.int64), np.r_[at, len(pairs)].astype(np.int64)
         self.weight = Weights(len(keep), self.shingles, count) if weights is None else weights
         self.multisets = [dict(zip(*(x.tolist() for x in np.unique(r, return_counts=True)), strict=True)) for r in runs]
-        self.prints = np.array([_fingerprint((_signs(r) * self.weight(r)[:, None]).sum(axis=0)[None])[0] for r in runs], np.uint64)
+        self.prints = np.array([_fingerprint(_pull(r, self.weight).sum(axis=0)[None])[0] for r in runs], np.uint64)
         self.filter = np.zeros(1 << 20, bool)
         self.filter[self.shingles & np.uint64((1 << 20) - 1)] = True
-        masks = np.array([sum(1 << b for b in c) for k in range(RADIUS // BLOCKS + 1) for c in combinations(range(BITS), k)], np.int64)
+        # sizes of the items that hold a shingle, like holders
+        sized = np.unique(np.rec.fromarrays([np.repeat(np.arange(len(count)), count), self.sizes[self.holders]], names="s,n"))
+        self.held_sizes, self.first_size = sized["n"].astype(np.int64), np.searchsorted(sized["s"], np.arange(len(count) + 1))
         self.tables = []
-        for b in range(BLOCKS):
+        for b, width in enumerate(BITS):
+            masks = np.array([sum(1 << i for i in c) for k in range(RADIUS // len(BITS) + 1) for c in combinations(range(width), k)], np.int64)
             values = (self.block(self.prints, b)[:, None] ^ masks[None, :]).ravel()
             order = np.argsort(values, kind="stable")
-            self.tables.append((np.searchsorted(values[order], np.arange((1 << BITS) + 1)), (order // len(masks)).astype(np.int32)))
+            self.tables.append((np.searchsorted(values[order], np.arange((1 << width) + 1)), (order // len(masks)).astype(np.int32)))
 
     @staticmethod
     def block(prints: np.ndarray, b: int) -> np.ndarray:
-        return ((prints >> np.uint64(b * BITS)) & np.uint64((1 << BITS) - 1)).astype(np.int64)
+        return ((prints >> np.uint64(sum(BITS[:b]))) & np.uint64((1 << BITS[b]) - 1)).astype(np.int64)
 
     def find(self, shingles: np.ndarray) -> np.ndarray:
         """Index of each shingle among the items', -1 for others."""
@@ -177,22 +191,15 @@ class Items:
     def in_row(self, shingles: np.ndarray, n_words: int) -> list[tuple[int, int, int, int, float]]:
         known = self.find(shingles)
         hits = np.flatnonzero(known >= 0)
-        starts_by_size: dict[int, set[int]] = {}
-        for p, s in zip(hits.tolist(), known[hits].tolist(), strict=True):
-            for item in self.holders[self.first_holder[s] : self.first_holder[s + 1]].tolist():
-                size = int(self.sizes[item])
-                last = max(0, n_words - size)
-                starts_by_size.setdefault(size, set()).update(range(max(0, p - size + WORDS), min(p, last) + 1))
         found: dict[int, list[tuple[int, int, int, float]]] = {}
-        for size, chosen in sorted(starts_by_size.items()):
-            starts = np.array(sorted(chosen))
+        for size, starts in self.starts(hits, known[hits], n_words):
             length = min(size, n_words) - WORDS + 1
             for part in np.split(starts, np.flatnonzero(np.diff(starts) > length) + 1):
                 for a in range(0, len(part), AT_ONCE):
                     some = part[a : a + AT_ONCE]
                     region = shingles[some[0] : some[-1] + length]
                     sums = np.zeros((len(region) + 1, 64), np.float64)
-                    np.cumsum(_signs(region) * self.weight(region)[:, None], axis=0, out=sums[1:])
+                    np.cumsum(_pull(region, self.weight), axis=0, out=sums[1:])
                     at = some - some[0]
                     for w, item, distance in self.within(_fingerprint(sums[at + length] - sums[at]), size):
                         start = int(some[w])
@@ -213,17 +220,20 @@ class Items:
             out.append((int(self.ids[item]), *best))
         return sorted(out, key=lambda x: (x[1], x[0]))
 
-    def in_column(self, column: pa.Array) -> Iterator[tuple[int, list[tuple[int, int, int, int, float]]]]:
-        """(row, leaks) of the rows of a text column that have any."""
-        if not len(self.ids):
-            return
-        for first, words, bounds in _hashes(column):
-            shingles = kernels.shingles(words, WORDS)
-            hits = np.flatnonzero(self.find(shingles) >= 0)
-            for row in np.unique(np.searchsorted(bounds, hits, "right") - 1).tolist():
-                a, b = bounds[row], bounds[row + 1]
-                if b - a >= WORDS and (leaks := self.in_row(shingles[a : b - WORDS + 1], int(b - a))):
-                    yield first + row, leaks
+    def starts(self, hits: np.ndarray, shingles: np.ndarray, n_words: int) -> Iterator[tuple[int, np.ndarray]]:
+        """(size, first words) of all windows that hold a hit which an item of that size has; in time linear in the hits
+        of each size and the windows. hits: ascending places of shingles."""
+        counts = self.first_size[shingles + 1] - self.first_size[shingles]
+        at = np.repeat(self.first_size[shingles] - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
+        sizes, places = self.held_sizes[at], np.repeat(hits, counts)
+        for size in np.unique(sizes).tolist():
+            p = places[sizes == size]
+            low, high = np.maximum(0, p - size + WORDS), np.minimum(p, max(0, n_words - size))
+            low, high = low[low <= high], high[low <= high]
+            begins = np.flatnonzero(np.r_[True, low[1:] > high[:-1] + 1])[: len(low)]
+            if len(begins):
+                spans = zip(low[begins].tolist(), high[np.r_[begins[1:] - 1, len(high) - 1]].tolist(), strict=True)
+                yield size, np.concatenate([np.arange(a, b + 1) for a, b in spans])
 
 
 def item_blocks(benchmark: DataFrame, weights: Weights, id_col: str = "item_id", text_col: str = "text") -> Iterator[Items]:
@@ -240,52 +250,70 @@ def item_blocks(benchmark: DataFrame, weights: Weights, id_col: str = "item_id",
         yield Items(ids, texts, weights)
 
 
+class Benchmark:
+    """All of a benchmark on its way to the documents: a filter, weights and blocks of items as broadcasts."""
+
+    def __init__(self, benchmark: DataFrame):
+        ship(benchmark.sparkSession)
+        context = benchmark.sparkSession.sparkContext
+        weights, bits, self.blocks = benchmark_weights(benchmark), np.zeros(FILTER, bool), []
+        for items in item_blocks(benchmark, weights):
+            bits[(items.shingles & np.uint64(FILTER - 1)).astype(np.int64)] = True
+            self.blocks.append(context.broadcast(items))
+        self.common = context.broadcast((weights, np.packbits(bits, bitorder="little")))
+
+    def leaks(self, column: pa.Array) -> Iterator[tuple[int, list[tuple[int, int, int, int, float]]]]:
+        """(row, leaks) of a text column, each block's in turn; a block leaves memory before the next one comes."""
+        weights, bits = self.common.value
+        kept = []
+        for first, words, bounds in _hashes(column):
+            shingles = kernels.shingles(words, WORDS)
+            spot = (shingles & np.uint64(FILTER - 1)).astype(np.int64)
+            hits = np.flatnonzero((bits[spot >> 3] >> (spot & 7).astype(np.uint8)) & 1)
+            for row in np.unique(np.searchsorted(bounds, hits, "right") - 1).tolist():
+                a, b = int(bounds[row]), int(bounds[row + 1])
+                if b - a >= WORDS:
+                    kept.append((first + row, shingles[a : b - WORDS + 1].copy(), b - a))
+        for block in self.blocks if kept else ():
+            items = block.value.under(weights)
+            for row, shingles, n_words in kept:
+                if found := items.in_row(shingles, n_words):
+                    yield row, found
+            if len(self.blocks) > 1 and hasattr(block, "_value"):
+                del block._value  # it is read again from the worker's disk for the next batch
+
+
 def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each leak: doc_id, item_id, first_word, n_words, distance, similarity.
+    """One row for each leak: doc_id, item_id, first_word, n_words, distance, similarity; documents are read once.
 
     Null or empty texts have no leaks; repeated rows each report theirs; a null item id reads -1; without items or
     documents there are no rows.
     """
-    spark = docs.sparkSession
-    ship(spark)
-    schema = "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, distance bigint, similarity double"
-    told = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    out = spark.createDataFrame([], schema)
-    weights = benchmark_weights(benchmark)
-    common = spark.sparkContext.broadcast(weights)
-    for items in item_blocks(benchmark, weights):
-        shared = spark.sparkContext.broadcast(items)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            items = shared.value.under(common.value)
-            for batch in batches:
-                ids = batch.column("doc_id").to_pylist()
-                rows = [(ids[row], *leak) for row, leaks in items.in_column(batch.column("text")) for leak in leaks]
-                columns = list(zip(*rows, strict=True)) or [()] * 6
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if k == 5 else pa.int64()) for k, c in enumerate(columns)], ["doc_id", "item_id", "first_word", "n_words", "distance", "similarity"])
-
-        out = out.union(told.mapInArrow(run, schema))
-    return out
+    told = docs.select(F.col(f"`{id_col}`").cast("bigint").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
+    items = Benchmark(benchmark)
+    names = ["doc_id", "item_id", "first_word", "n_words", "distance", "similarity"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column("doc_id").to_pylist()
+            rows = [(ids[row], *leak) for row, leaks in items.leaks(batch.column("text")) for leak in leaks]
+            columns = list(zip(*rows, strict=True)) or [()] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if k == 5 else pa.int64()) for k, c in enumerate(columns)], names)
+
+    return told.mapInArrow(run, "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, distance bigint, similarity double")
 
 
 def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text") -> DataFrame:
-    """``docs`` without the rows that hold a leak; all columns and other rows as they are."""
-    spark = docs.sparkSession
-    ship(spark)
-    weights = benchmark_weights(benchmark)
-    common = spark.sparkContext.broadcast(weights)
-    for items in item_blocks(benchmark, weights):
-        shared = spark.sparkContext.broadcast(items)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            items = shared.value.under(common.value)
-            for batch in batches:
-                keep = np.ones(batch.num_rows, bool)
-                keep[[row for row, _ in items.in_column(batch.column(text_col))]] = False
-                yield batch.filter(pa.array(keep))
-
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+    """``docs`` without the rows that hold a leak; all columns, whatever their names, and other rows as they are."""
+    items, at = Benchmark(benchmark), docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            keep[[row for row, _ in items.leaks(batch.column(at).cast(pa.string()))]] = False
+            yield batch.filter(pa.array(keep))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
