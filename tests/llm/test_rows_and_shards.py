@@ -110,27 +110,51 @@ def test_preference_pairs(spark):
 
 
 def test_audit_finds_what_was_spoilt(spark):
+    """Records changed, lost and added in some of 20 files; those behind them move; the rest is never reported."""
     rng = random.Random(2)
-    primary = [(k * 3, f"d{k}") for k in range(500)]
+    primary = {(f, f"r{k:04d}"): (f"d{f}.{k}", rng.randint(1, 50)) for f in range(20) for k in range(rng.choice([0, 1, 60, 100]))}
     replica = dict(primary)
-    altered, lost = rng.sample(range(250), 5), rng.sample(range(250, 500), 4)
-    for k in altered:
-        replica[k * 3] = "bad"
-    for k in lost:
-        del replica[k * 3]
-    replica[7] = "new"
-    frame = lambda rows: spark.createDataFrame(rows, "address bigint, digest string")
-    got = {r["address"]: r["status"] for r in warc.audit(frame(primary), frame(list(replica.items()))).collect()}
-    assert got == {**{k * 3: "altered" for k in altered}, **{k * 3: "missing" for k in lost}, 7: "extra"}
-    assert warc.audit(frame(primary), frame(primary)).count() == 0
+    for key in rng.sample(sorted(primary), 6):
+        replica[key] = ("bad", primary[key][1])
+    for key in rng.sample(sorted(replica), 2):
+        del replica[key]
+    replica[3, "r0001x"] = ("new", 7)
+    replica[77, "alone"] = ("new", 7)
+    first, at = sorted(primary)[0], {}
+    replica[first] = (None, primary[first][1])
+
+    def laid(records):
+        out, ends = [], Counter()
+        for (f, rid), (digest, length) in sorted(records.items()):
+            out.append((f, ends[f], rid, digest))
+            ends[f] += length
+        return out
+
+    a, b = laid(primary), laid(replica)
+    frame = lambda rows: spark.createDataFrame(rows, "file bigint, offset bigint, rid string, digest string")
+    place = lambda rows: {(f, rid): (o, d, sum(x[0] == f for x in rows[:k])) for k, (f, o, rid, d) in enumerate(rows)}
+    was, now, want = place(a), place(b), {}
+    for key in was.keys() | now.keys():
+        if key not in now or key not in was:
+            want[key] = "missing" if key in was else "extra"
+        elif was[key] != now[key]:
+            want[key] = "altered" if was[key][1] != now[key][1] else "moved"
+    got = {(r["file"], r["rid"]): r["status"] for r in warc.audit(frame(a), frame(b)).collect()}
+    assert got == want and set(want.values()) == {"altered", "moved", "missing", "extra"}
+    assert warc.audit(frame(a), frame(a)).count() == 0
     assert warc.audit(frame([]), frame([])).count() == 0
-    assert warc.audit(frame(primary[:3]), frame([])).count() == 3
+    assert warc.audit(frame(a[:3]), frame([])).count() == 3
+
+
+def _laid(pages, per_file=10):
+    text = warc.record(warc.page_key(), F.col("url"), F.col("html"))
+    told = pages.select("page_id", "html", text.alias("record"), F.octet_length(text).cast("bigint").alias("length"), warc.record_id(warc.page_key(), F.sha2(text, 256)).alias("rid"))
+    return warc.lay_out(told.withColumn("file", warc.file_of(F.col("rid"), told.count(), per_file)))
 
 
 def test_archive_round_trip(spark, sf):
     pages = spark.read.parquet(f"{sf}/pages.parquet").limit(30).union(spark.createDataFrame([(None, None, None)], "page_id bigint, url string, html string"))
-    text = warc.record(warc.page_key(), F.col("url"), F.col("html"))
-    laid = warc.lay_out(pages.select("page_id", "html", warc.page_key().alias("key"), text.alias("record"), F.octet_length(text).cast("bigint").alias("length"), F.sha2(text, 256).alias("digest")), per_file=10)
+    laid = _laid(pages)
     files = warc.archive_bytes(laid).select(F.col("file").cast("string").alias("path"), "content")
     back = {(int(r["path"]), r["offset"]): r for r in warc.read_records(files).collect()}
     want = {(r["file"], r["offset"]): r for r in laid.collect()}
@@ -138,6 +162,28 @@ def test_archive_round_trip(spark, sf):
     assert all(back[k]["length"] == want[k]["length"] and back[k]["content"].decode() == (want[k]["html"] or "") for k in want)
 
 
+def test_audit_of_files(spark, sf):
+    """A byte of a file is changed: one record of it is altered."""
+    files = [(f"primary/{r['file']}.warc", bytes(r["content"])) for r in warc.archive_bytes(_laid(spark.read.parquet(f"{sf}/pages.parquet").limit(40))).collect()]
+    frame = lambda rows: spark.createDataFrame(rows, "path string, content binary")
+    copy = [(p.replace("primary", "replica"), c) for p, c in files]
+    assert warc.audit_files(frame(files), frame(copy)).count() == 0
+    at = copy[0][1].index(b"<body") + 2
+    copy[0] = (copy[0][0], copy[0][1][:at] + b"#" + copy[0][1][at + 1 :])
+    rows = warc.audit_files(frame(files), frame(copy)).collect()
+    assert [r["status"] for r in rows] == ["altered"]
+
+
+def test_pages_of_odd_rows(spark, tmp_path):
+    """Null ids, urls and texts; repeated pages are one record with copies; one id with several contents."""
+    rows = [(1, "u", "a"), (1, "u", "a"), (1, "u", "b"), (None, None, None), (None, None, None), (None, "v", "x" * 200_000), (2, None, "")]
+    spark.createDataFrame(rows, "page_id bigint, url string, html string").withColumn("rid", F.lit("clash")).write.parquet(f"{tmp_path}/pages.parquet")
+    got = warc.query(spark, str(tmp_path)).filter("status <> 'extra'").collect()
+    assert sorted(r["copies"] for r in got) == [1, 1, 1, 2, 2]
+    spark.createDataFrame([], "page_id bigint, url string, html string").write.parquet(f"{tmp_path}/none/pages.parquet")
+    assert warc.query(spark, f"{tmp_path}/none").count() == 0
+
+
 def test_mixing_keeps_texts_without_words(spark):
     rows = [(1, "a", "one two three"), (2, "a", ""), (3, "b", None), (4, "b", " \t\n"), (5, "empty", ""), (6, "b", "four five")]
     docs = spark.createDataFrame(rows, "doc_id bigint, source string, text string")
