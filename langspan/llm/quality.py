@@ -240,21 +240,28 @@ def _strength(rates: DataFrame, parent: Column) -> float:
     r = rates.filter("n > 1").agg(
         F.count(F.lit(1)).alias("k"),
         F.sum("n").alias("n"),
-        F.sum(F.col("n") * F.pow(F.col("s") / F.col("n") - parent, 2)).alias("spread"),
-        F.avg(parent * (1 - parent)).alias("chance"),
+        F.sum(_exact(F.col("n") * F.pow(F.col("s") / F.col("n") - parent, 2))).alias("spread"),
+        F.sum(_exact(parent * (1 - parent))).alias("chance"),
     ).first()
     if not r["k"] or not r["chance"]:
         return 1e6
-    between = (r["spread"] - r["k"] * r["chance"]) / r["n"]
-    return float(np.clip(r["chance"] / between - 1, 1.0, 1e6)) if between > 0 else 1e6
+    spread, chance = float(r["spread"]), float(r["chance"]) / r["k"]
+    between = (spread - r["k"] * chance) / r["n"]
+    return float(np.clip(chance / between - 1, 1.0, 1e6)) if between > 0 else 1e6
+
+
+def _exact(x: Column) -> Column:
+    """A number whose sum does not depend on the order of the rows, so that reruns judge alike."""
+    return x.cast("decimal(28,12)")
 
 
 def site_rates(evidence: DataFrame) -> tuple[DataFrame, float]:
     """(host, path, path_n, path_s, path_prior, strength) of every path, and the global rate; evidence: host, path, evidence."""
-    paths = durable(evidence.groupBy("host", "path").agg(F.count(F.lit(1)).alias("n"), F.sum("evidence").alias("s")))
+    paths = durable(evidence.groupBy("host", "path").agg(F.count(F.lit(1)).alias("n"), F.sum(_exact(F.col("evidence"))).alias("s")))
     total = paths.agg(F.sum("n").alias("n"), F.sum("s").alias("s")).first()
-    rate = float(np.clip((total["s"] + 0.5) / (total["n"] + 1), 1e-6, 1 - 1e-6)) if total["n"] else 0.5
-    hosts = paths.groupBy("host").agg(F.sum("n").alias("n"), F.sum("s").alias("s"))
+    paths = paths.withColumn("s", F.col("s").cast("double"))
+    rate = float(np.clip((float(total["s"] or 0) + 0.5) / (total["n"] + 1), 1e-6, 1 - 1e-6)) if total["n"] else 0.5
+    hosts = paths.groupBy("host").agg(F.sum("n").alias("n"), F.sum(_exact(F.col("s"))).cast("double").alias("s"))
     strong = _strength(hosts, F.lit(rate))
     hosts = hosts.select(F.col("host").alias("_host"), ((F.col("s") + strong * rate) / (F.col("n") + strong)).alias("host_posterior"))
     paths = paths.join(hosts, F.col("host").eqNullSafe(F.col("_host"))).drop("_host")

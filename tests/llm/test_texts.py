@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 import re
 from collections import Counter
@@ -291,3 +292,44 @@ def test_rates_shrink_to_the_parent(spark):
     sites, rate = quality.site_rates(spark.createDataFrame(rows, "host string, path string, evidence double"))
     host = {r["path"]: r["host_posterior"] for r in sites.collect()}
     assert host["b/x"] < rate < host["a/x"] and rate < host["c/x"] < host["a/x"]
+
+
+def test_posteriors_equal_brute_force(spark):
+    """Sparse and heavy sites by URL: rates, strengths and posteriors as the definition has them."""
+    rng = random.Random(17)
+    sizes = [200, 90, *[1] * 40, *[3] * 15]
+    urls = [f"https://user@h{h}.example.org:80/{rng.choice('abc')}/x?q" for h, n in enumerate(sizes) for _ in range(n)] + [None, "no url"]
+    rows = [(u, round(rng.random() ** (1 + (hash_of(u) % 5)), 6), False) for u in urls]
+    host, path = quality.url_sites(F.col("url"))
+    told = spark.createDataFrame(rows, "url string, evidence double, _beyond boolean").withColumn("host", host).withColumn("path", path)
+    sites, rate = quality.site_rates(told.select("host", "path", "evidence"))
+    got = quality.judge(told, sites, rate).collect()
+    by_path, by_host = {}, {}
+    for r in got:
+        by_path.setdefault((r["host"], r["path"]), []).append(r["evidence"])
+        by_host.setdefault(r["host"], []).append(r["evidence"])
+    n = len(rows)
+    want = (sum(r[1] for r in rows) + 0.5) / (n + 1)
+    assert rate == pytest.approx(want)
+
+    def strength(groups):
+        some = [(len(x), sum(x) / len(x), p) for x, p in groups if len(x) > 1]
+        chance = sum(p * (1 - p) for _, _, p in some) / len(some)
+        between = (sum(k * (m - p) ** 2 for k, m, p in some) - len(some) * chance) / sum(k for k, _, _ in some)
+        return min(1e6, max(1.0, chance / between - 1)) if between > 0 else 1e6
+
+    strong = strength([(x, want) for x in by_host.values()])
+    posterior = {h: (sum(x) + strong * want) / (len(x) + strong) for h, x in by_host.items()}
+    own = strength([(x, posterior[h]) for (h, _), x in by_path.items()])
+    logit = lambda p: math.log(max(1e-6, min(1 - 1e-6, p)) / (1 - max(1e-6, min(1 - 1e-6, p))))
+    assert len({r["host"] for r in got}) > 50
+    for r in got:
+        x = by_path[r["host"], r["path"]]
+        others = (sum(x) - r["evidence"] + own * posterior[r["host"]]) / (len(x) - 1 + own)
+        p = 1 / (1 + math.exp(-(logit(r["evidence"]) + logit(others) - logit(want))))
+        assert r["host_posterior"] == pytest.approx(posterior[r["host"]], abs=1e-6) and r["posterior"] == pytest.approx(p, abs=1e-5)
+        assert r["keep"] == (p >= quality.KEEP) or abs(p - quality.KEEP) < 1e-5
+
+
+def hash_of(url):
+    return int(hashlib.md5((url or "").split("/")[2].encode() if url and "//" in url else b"").hexdigest(), 16)
