@@ -2,14 +2,17 @@
 
 1. *Sets.* A kernel turns every text into its set of shingle hashes. Documents with equal sets become one node.
 2. *Screen.* In hash order, two sets that link share at least ``l`` of their first ``n - ceil(t*n) + l`` shingles. With a
-   long prefix (``l`` grows with ``n``) most sets find too few shingles that any other set has, and leave.
+   long prefix (``l`` grows with ``n``) most sets find too few shingles that any other set has, and leave. Shingles that
+   very many sets have are found in a sample first and then need no grouping.
 3. *Prefixes.* What is left is ordered by document frequency, rare first. Each set picks its own ``l`` from 1 to 4: one
    more prefix shingle costs its posting list, but every partner must then share one more, so the estimated cost is
    ``sum(df) * (1 + VERIFY / l)`` over the prefix. Two sets must share min(l, l') of their shingles at that length.
-4. *Stars.* Each prefix shingle compares its members with one hub only. A group of near copies, however large,
-   collapses here at a cost that is linear in it.
-5. *Rest.* Shingles whose members are still in different components are compared member by member in blocks of
-   bounded size; pairs of one component are skipped, the others need their shared prefix shingles, then the sets decide.
+4. *Stars.* Each prefix shingle has one hub. A member and a hub that meet in min(l, l') shingles are verified. A group of
+   near copies, however large, collapses here at a cost that is linear in it.
+5. *Rest.* Shingles whose members are still in different components are compared member by member in blocks of bounded
+   bytes; pairs of one component are skipped, the others need min(l, l') shared prefix shingles, then the sets decide.
+
+Joins on shingles take those with very many members (at most HEAVY of them) by broadcast, so that none falls to one task.
 
 Every pair that links ends in one component: it is seen in 4, or in 5, or was joined by others before. Nodes and
 shingles are 64-bit hashes: two different ones coincide with a chance of about N**2 / 2**65.
@@ -28,12 +31,17 @@ from pyspark.sql import functions as F
 from langspan.shipping import ship
 
 from . import kernels
-from .common import durable, table
+from .common import durable, inner_names, table
 from .components import components
 
-BLOCK = 512
+#: Sets of a block, and shingles in all of them together (one set at least): a worker holds two blocks.
+BLOCK, BLOCK_SHINGLES = 512, 1 << 21
 LENGTHS = 4
 VERIFY = 8
+#: A shingle with more members than MEMBERS is heavy; the HEAVY heaviest are broadcast (about 50 bytes each), others are dealt.
+MEMBERS, HEAVY = 200, 50_000
+#: One of so many rows is looked at for heavy shingles of the screen.
+SAMPLED = 16
 #: Bits of the filter that keeps most texts out of the second shuffle: at most 2 ** 17 broadcast rows.
 BITMAP = 1 << 23
 
@@ -188,54 +196,57 @@ def linked_sets(docs: DataFrame, rule: Rule, id_col: str, text_col: str) -> tupl
     described = durable(told.mapInArrow(_describe(rule), "id bigint, text_hash bigint, n bigint, node bigint, screen array<bigint>"))
 
     # 2: a shingle of the screen counts if another node has it there too
-    shingle = Window.partitionBy("t")
-    found = described.select("node", "n", F.explode("screen").alias("t")).withColumn("both", F.min("node").over(shingle) != F.max("node").over(shingle))
+    found = described.select("node", "n", F.explode("screen").alias("t"))
+    some = found.filter(F.pmod(F.xxhash64("node", "t"), F.lit(SAMPLED)) == 0).groupBy("t").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("a"), F.max("node").alias("b"))
+    known = durable(some.filter(f"c >= {MEMBERS // SAMPLED} AND a <> b").orderBy(F.desc("c"), "t").limit(HEAVY).select("t"))
+    flagged = found.join(F.broadcast(known.withColumnRenamed("t", "sure")), F.col("t") == F.col("sure"), "left")
+    shingle = Window.partitionBy(F.when(F.col("sure").isNotNull(), F.xxhash64("node", "t")).otherwise(F.col("t")))
+    shared = flagged.withColumn("both", F.col("sure").isNotNull() | (F.min("node").over(shingle) != F.max("node").over(shingle))).filter("both")
     enough = 1 + F.floor(rule.longer * rule.least_sql(F.col("n")))
-    alive = found.filter("both").groupBy("node").agg(F.count(F.lit(1)).alias("hits"), F.max("n").alias("n")).filter(F.col("hits") >= enough)
+    alive = shared.groupBy("node").agg(F.count(F.lit(1)).alias("hits"), F.max("n").alias("n")).filter(F.col("hits") >= enough)
     holder = described.filter("n > 0").groupBy("node").agg(F.min(F.struct("id", "text_hash")).alias("row"))
     alive = durable(alive.join(holder, "node").select("node", F.col("row.id").alias("_id"), F.col("row.text_hash").alias("_hash")))
-    sets = _likely(told, alive).join(alive, F.col("id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash"))).select("node", "text")
+    same_row = F.col("id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash"))
+    sets = _likely(told, alive).join(alive, same_row).select("node", "text")
     sets = durable(sets.mapInArrow(_whole_sets(rule), "node bigint, tokens array<bigint>"))
 
-    # 3: shingles of at least two of these sets, rare first; those of one set only come before them and match nothing
-    each = sets.select("node", F.size("tokens").cast("bigint").alias("n"), F.explode("tokens").alias("t"))
-    frequency = durable(each.groupBy("t").agg(F.count(F.lit(1)).alias("c")).filter("c > 1"))
-    known = each.join(frequency, "t").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("c", "t"))).alias("known"))
-    known = known.withColumn("first", (F.size("known") - rule.least_sql(F.col("n")) + 1).cast("int")).filter("first > 0")
-    reach = lambda k: F.slice("known", F.lit(1), F.col("first") + (k - 1))
-    lists = lambda k: F.aggregate(reach(k), F.lit(0).cast("bigint"), lambda s, x: s + x["c"])
-    cost = F.array_min(F.array(*(F.struct((lists(k) * (1.0 + VERIFY / k)).alias("cost"), F.lit(k).alias("l")) for k in range(1, LENGTHS + 1))))
-    prefixes = known.withColumn("l", F.least(cost["l"], F.greatest(F.lit(1), rule.least_sql(F.col("n")))).cast("int"))
-    prefixes = durable(prefixes.select("node", "n", "l", "first", F.transform(reach(F.col("l")), lambda x: x["t"]).alias("prefix")))
-    postings = prefixes.select("node", "n", F.explode("prefix").alias("t"))
+    prefixes = durable(_prefixes(sets, rule))
+    postings = prefixes.select("node", "n", "l", F.explode("prefix").alias("t"))
 
     # 4: every member of a shingle against its hub
-    hubs = postings.groupBy("t").agg(F.min(F.struct("node", "n")).alias("hub"), F.count(F.lit(1)).alias("members")).filter("members > 1")
+    hubs = postings.groupBy("t").agg(F.min(F.struct("node", "n", "l")).alias("hub"), F.count(F.lit(1)).alias("members")).filter("members > 1")
     hubs = durable(hubs)
+    heavy = durable(hubs.filter(f"members > {MEMBERS}").orderBy(F.desc("members"), "t").limit(HEAVY).select("t"))
     near = (F.least("n", "hub.n") * rule.den) >= (F.greatest("n", "hub.n") * rule.num)
-    spokes = postings.join(hubs, "t").filter((F.col("node") != F.col("hub.node")) & near).select(F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n"), "node", "n").distinct()
-    spokes = durable(spokes)
-    blocks = spokes.groupBy("hub", "hub_n").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
-    no_prefix = [F.lit(1).alias("l"), F.lit(1).alias("first"), F.array().cast("array<bigint>").alias("prefix"), F.lit(False).alias("by_prefix")]
-    members = spokes.join(blocks.drop("hub_n"), "hub").select("hub", F.pmod(F.xxhash64("node"), "blocks").cast("int").alias("block"), "node", "n", F.col("node").alias("comp"), F.lit(1).alias("side"), *no_prefix)
-    centres = blocks.select("hub", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("hub").alias("node"), F.col("hub_n").alias("n"), F.col("hub").alias("comp"), F.lit(0).alias("side"), *no_prefix)
+    met = _by_shingle(postings, hubs.select("t", "hub"), heavy).filter((F.col("node") != F.col("hub.node")) & near)
+    met = met.groupBy(F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n"), F.col("hub.l").alias("hub_l"), "node", "n", "l").agg(F.count(F.lit(1)).alias("shared"))
+    spokes = durable(met.filter(F.col("shared") >= F.least("l", "hub_l")).select("hub", "hub_n", "node", "n"))
+    blocks = spokes.groupBy("hub", "hub_n").agg(_block_count("n"))
+    side = lambda k: [F.lit(k).alias("side"), F.lit(1).alias("l"), F.lit(1).alias("first"), F.array().cast("array<bigint>").alias("prefix"), F.lit(False).alias("by_prefix")]
+    members = spokes.join(blocks.drop("hub_n"), "hub")
+    members = members.select("hub", F.pmod(F.xxhash64("node"), "blocks").cast("int").alias("block"), "node", "n", F.col("node").alias("comp"), *side(1))
+    centres = blocks.select("hub", "hub_n", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
+    centres = centres.select("hub", "block", F.col("hub").alias("node"), F.col("hub_n").alias("n"), F.col("hub").alias("comp"), *side(0))
     links = durable(_compared(members.unionByName(centres), sets, ["hub", "block"], rule))
 
-    # 5: shingles of at least three members that are not in one component yet
-    joined = postings.join(components(links), "node", "left").select("t", "node", F.coalesce("root", "node").alias("comp"))
-    open_ = joined.groupBy("t").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count(F.lit(1)).alias("members")).filter("members > 2 and a <> b")
-    rest = durable(joined.join(open_.select("t"), "t"))
+    # 5: shingles of at least three members that are not in one component yet (a pair that meets in shingles of its own
+    # alone has one hub for all of them and was verified above)
+    joined = postings.drop("l").join(components(links), "node", "left").select("t", "node", "n", F.coalesce("root", "node").alias("comp"))
+    open_ = joined.groupBy("t").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count(F.lit(1)).alias("members")).filter("members > 2 AND a <> b").select("t")
+    rest = durable(_by_shingle(joined, open_, heavy))
     # shingles with common members go to one group: the smallest shingle that any member has
     least = rest.groupBy("node").agg(F.min("t").alias("least"))
     group = rest.join(least, "node").groupBy("t").agg(F.min("least").alias("g"))
-    grouped = durable(rest.join(group, "t").select("g", "node", "comp").distinct())
-    blocks = grouped.groupBy("g").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
-    mine, other = F.pmod(F.xxhash64("node"), "blocks").cast("int"), F.col("other")
+    grouped = durable(_by_shingle(rest, group, heavy).select("g", "node", "n", "comp").distinct())
+    blocks = grouped.groupBy("g").agg(_block_count("n"))
+    mine, other = F.col("mine"), F.col("other")
     tasks = (
-        grouped.join(blocks, "g")
-        .withColumn("mine", mine)
+        grouped.drop("n")
+        .join(blocks, "g")
+        .withColumn("mine", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        .select("g", F.least("mine", other).alias("low"), F.greatest("mine", other).alias("high"), "node", "comp", F.when(F.col("mine") == other, 2).when(F.col("mine") < other, 0).otherwise(1).alias("side"))
+        .withColumn("side", F.when(mine == other, 2).when(mine < other, 0).otherwise(1))
+        .select("g", F.least(mine, other).alias("low"), F.greatest(mine, other).alias("high"), "node", "comp", "side")
         .join(prefixes, "node")
         .withColumn("by_prefix", F.lit(True))
     )
@@ -243,6 +254,42 @@ def linked_sets(docs: DataFrame, rule: Rule, id_col: str, text_col: str) -> tupl
     return described, links.union(more)
 
 
+def _block_count(n: str) -> Column:
+    """Blocks of a group by its members and by the shingles in their sets."""
+    return F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK, F.sum(n) / BLOCK_SHINGLES)).cast("int").alias("blocks")
+
+
+def _by_shingle(rows: DataFrame, facts: DataFrame, heavy: DataFrame) -> DataFrame:
+    """``rows`` (node, t, ...) joined with ``facts`` (one row a shingle) on ``t``. The heavy shingles' facts, HEAVY at most,
+    are broadcast; rows that found theirs take no shingle's place in the other join but are spread by a hash."""
+    few = F.broadcast(heavy)
+    packed = facts.select("t", F.struct(*[c for c in facts.columns if c != "t"], F.lit(1).alias("_one")).alias("f"))
+    many = packed.join(few, "t", "left_semi").select(F.col("t").alias("_many"), F.col("f").alias("_f"))
+    others = packed.join(few, "t", "left_anti").select(F.col("t").alias("_other"), F.col("f").alias("_g"))
+    found = rows.join(F.broadcast(many), F.col("t") == F.col("_many"), "left")
+    found = found.withColumn("_place", F.when(F.col("_many").isNotNull(), F.xxhash64("node", "t")).otherwise(F.col("t")))
+    found = found.join(others, (F.col("_place") == F.col("_other")) & F.col("_many").isNull(), "left")
+    return found.withColumn("_f", F.coalesce("_f", "_g")).filter("_f IS NOT NULL").select(*rows.columns, "_f.*").drop("_one")
+
+
+def _prefixes(sets: DataFrame, rule: Rule) -> DataFrame:
+    """node, n, l, first, prefix: each set's prefix under the global order, at the length that is estimated cheapest.
+
+    Only shingles of at least two sets count, rare first; those of one set come before them and match nothing.
+    """
+    each = sets.select("node", F.size("tokens").cast("bigint").alias("n"), F.explode("tokens").alias("t"))
+    frequency = durable(each.groupBy("t").agg(F.count(F.lit(1)).alias("c")).filter("c > 1"))
+    heavy = durable(frequency.filter(f"c > {MEMBERS}").orderBy(F.desc("c"), "t").limit(HEAVY).select("t"))
+    known = _by_shingle(each, frequency, heavy).groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("c", "t"))).alias("known"))
+    known = known.withColumn("first", (F.size("known") - rule.least_sql(F.col("n")) + 1).cast("int")).filter("first > 0")
+    reach = lambda k: F.slice("known", F.lit(1), F.col("first") + (k - 1))
+    lists = lambda k: F.aggregate(reach(k), F.lit(0).cast("bigint"), lambda s, x: s + x["c"])
+    costs = (F.struct((lists(k) * (1.0 + VERIFY / k)).alias("cost"), F.lit(k).alias("l")) for k in range(1, LENGTHS + 1))
+    length = F.least(F.array_min(F.array(*costs))["l"], F.greatest(F.lit(1), rule.least_sql(F.col("n"))))
+    known = known.withColumn("l", length.cast("int"))
+    return known.select("node", "n", "l", "first", F.transform(reach(F.col("l")), lambda x: x["t"]).alias("prefix"))
+
+
 def cluster(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:  # noqa: B008
     """(doc_id, n_shingles, component_id, text_hash) of every row of ``docs``.
 
@@ -271,7 +318,27 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:  # noqa: B008
-    """``docs`` with only the row of the smallest id of every component (rows without words or id all stay)."""
-    found = cluster(docs, rule, id_col, text_col).filter(F.col("component_id").isNotNull() & (F.col("component_id") != F.col("doc_id")))
-    gone = durable(found.select(F.col("doc_id").alias("_gone")).distinct())
-    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+    """``docs`` with one row of every component: the smallest id's (null ids last), of one id the smallest text hash's.
+
+    Rows are told apart by id and text: a row that shares its id with another text stays unless its own text has a
+    partner; of rows equal in both one stays (any: they may differ in other columns). Rows without words all stay.
+    """
+    described, links = linked_sets(docs, rule, id_col, text_col)
+    rows = described.filter("n > 0").groupBy("node", "id", "text_hash").agg(F.count(F.lit(1)).alias("copies"))
+    rows = rows.join(components(links), "node", "left").select(F.coalesce("root", "node").alias("root"), "id", "text_hash", "copies")
+    rows = durable(rows)
+    # only components of several rows matter; most have one
+    groups = rows.groupBy("root").agg(F.min(F.struct(F.col("id").isNull(), "id", "text_hash", "copies")).alias("stays"), F.sum("copies").alias("all")).filter("all > 1")
+    own = F.col("id").eqNullSafe(F.col("stays.id")) & (F.col("text_hash") == F.col("stays.text_hash"))
+    grouped = rows.join(groups.select("root", "stays"), "root").withColumn("own", own)
+    grouped = durable(grouped.filter("NOT own OR copies > 1").select("id", "text_hash", "own"))
+    key, told = inner_names(docs, "_id", "_hash")
+    keyed = lambda df: df.select(F.col("id").alias(key), F.col("text_hash").alias(told)).distinct()
+    on = F.col(f"`{id_col}`").cast("bigint").eqNullSafe(F.col(key)) & (F.xxhash64(f"`{text_col}`") == F.col(told))
+    kept = docs.join(keyed(grouped.filter("NOT own")), on, "left_anti")
+    repeated = keyed(grouped.filter("own"))
+    if repeated.isEmpty():
+        return kept
+    hashed = kept.withColumn(told, F.xxhash64(f"`{text_col}`"))
+    single = hashed.join(repeated.withColumnRenamed(told, told + "r"), F.col(f"`{id_col}`").cast("bigint").eqNullSafe(F.col(key)) & (F.col(told) == F.col(told + "r")), "left_semi")
+    return kept.join(repeated, on, "left_anti").unionByName(single.dropDuplicates([id_col, told]).drop(told))

@@ -147,9 +147,60 @@ def test_leaks_do_not_depend_on_the_blocks(spark, monkeypatch):
     assert {r["doc_id"] for r in kept.collect()} & {0, 1, 2} == set()
 
 
+def test_items_that_are_nearly_all_shared():
+    """62 shingles that all of 200 items have and one rare one on each side: similar by weight, and candidates."""
+    rng = random.Random(14)
+    word = lambda: "".join(rng.choices("abcdefghij", k=7))
+    missed = 0
+    for _ in range(60):
+        common = [word() for _ in range(66)]
+        texts = [" ".join([word(), *common]) for _ in range(200)]
+        items = decontamination.Items(list(range(200)), texts)
+        window = [word(), *common]
+        _, hashes, _ = next(decontamination._hashes(__import__("pyarrow").array([" ".join(window)])))
+        assert items.similarity(decontamination.kernels.shingles(hashes, decontamination.WORDS), 0) >= decontamination.THRESHOLD
+        missed += not any(i == 0 for _, i, _ in items.within(np_print(items, window), len(window)))
+    assert missed <= 1
+
+
+def test_windows_around_hits_equal_brute_force():
+    rng = random.Random(15)
+    words = "abcdefgh"
+    items = decontamination.Items([1, 2, 3], [" ".join(rng.choices(words, k=k)) for k in (6, 9, 9)])
+    for n in (5, 6, 7, 20, 60):
+        import pyarrow as pa
+
+        _, hashes, _ = next(decontamination._hashes(pa.array([" ".join(rng.choices(words, k=n))])))
+        shingles = decontamination.kernels.shingles(hashes, decontamination.WORDS)
+        known = items.find(shingles)
+        hits = [p for p, k in enumerate(known.tolist()) if k >= 0]
+        want = {}
+        for p in hits:
+            for i in items.holders[items.first_holder[known[p]] : items.first_holder[known[p] + 1]].tolist():
+                size, total = int(items.sizes[i]), len(hashes)
+                want.setdefault(size, set()).update(range(max(0, p - size + decontamination.WORDS), min(p, max(0, total - size)) + 1))
+        import numpy as np
+
+        got = {size: set(s.tolist()) for size, s in items.starts(np.array(hits, np.int64), known[hits], len(hashes))}
+        assert got == {k: v for k, v in want.items() if v}
+
+
+def test_long_text_that_repeats_a_common_passage(spark):
+    """In linear time, and with clashing column names."""
+    rng = random.Random(16)
+    item = ["".join(rng.choices("abcdefgh", k=5)) for _ in range(30)]
+    docs = spark.createDataFrame([(1, " ".join(item[:12] * 5000)), (2, " ".join(item * 300)), (3, None)], "doc_id bigint, text string")
+    docs = docs.selectExpr("doc_id", "text", "'x' AS keep", "'y' AS item_id", "'z' AS row", "'w' AS similarity")
+    benchmark = spark.createDataFrame([(1, " ".join(item)), (None, "one two three four five six")], "item_id bigint, text string")
+    left = decontamination.drop_leaking(docs, benchmark)
+    assert left.columns == docs.columns and {r["doc_id"] for r in left.collect()} == {1, 3}
+    assert decontamination.find_leaks(docs, benchmark).filter("doc_id = 2").count() == 1  # one run of overlapping windows
+    assert decontamination.drop_leaking(docs.limit(0), benchmark).count() == 0
+
+
 def np_print(items, text):
     import pyarrow as pa
 
     _, hashes, _ = next(decontamination._hashes(pa.array([" ".join(text)])))
     s = decontamination.kernels.shingles(hashes, decontamination.WORDS)
-    return decontamination._fingerprint((decontamination._signs(s) * items.weight(s)[:, None]).sum(axis=0)[None])
+    return decontamination._fingerprint(decontamination._pull(s, items.weight).sum(axis=0)[None])
