@@ -20,8 +20,8 @@ from langspan.sources.tables import read
 
 PAIRS = (("en", "es"), ("en", "de"))
 LEXICON, NOISE = 5_000, 0.05
-#: Generated samples that a switch cost is fitted on, and that are tested.
-N_FIT, N_TEST = 100, 200
+#: Hours of generated samples that a switch cost is fitted on, and that are tested, as shares of their pools' hours.
+FIT, TEST = 0.025, 0.4
 
 
 def models_for(pair: tuple[str, str], switch: float) -> list[Recogniser]:
@@ -35,10 +35,11 @@ def _pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     return T.utterances(read(spark, sf_dir, "documents"))
 
 
-def switched_texts(pool: DataFrame, pair: tuple[str, str], n: int, seed: int) -> DataFrame:
+def switched_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
     """sample_id, text, n_langs of generated samples; text alone, no signals."""
     cfg = synth.SynthConfig(weights=tuple((lang, 0.5) for lang in pair), seed=seed)
-    planned = synth.plan(pool, cfg, n)
+    lengths = durable(pool.select("lang", "utt_id", "n_samples"))
+    planned = synth.plan(lengths, cfg, synth.count_for_share(lengths, cfg, share))
     texts = pool.dropDuplicates(["utt_id"]).select(F.col("utt_id").alias("_u"), "text")
     joined = planned.join(texts, F.col("utt_id") == F.col("_u"))
     parts = F.sort_array(F.collect_list(F.struct("slot", "text")))
@@ -57,7 +58,8 @@ def wer_monolingual(spark: SparkSession, sf_dir: str) -> DataFrame:
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
         test = pool.filter((F.col("split") == "test") & F.col("lang").isin(*pair)).dropDuplicates(["text"])
-        heard = recognise(test, models_for(pair, 0.05), rows, "utt_id", noise=NOISE)
+        fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
+        heard = recognise(test, models_for(pair, fitted), rows, "utt_id", noise=NOISE)
         truth = test.select(F.col("utt_id").alias("_u"), "lang")
         one = _rates(heard.join(truth, F.col("utt_id") == F.col("_u")), "-".join(pair), F.col("lang"))
         out = one if out is None else out.union(one)
@@ -70,12 +72,12 @@ def wer_switched(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
-        fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, N_FIT, 7), rows, pair, "sample_id")
+        fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
         blocks = T.page_blocks(read(spark, sf_dir, "pages")).filter(F.length("text") > 0)
         pages = blocks.groupBy("page_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("block", "text"))), lambda b: b["text"]), " ").alias("text"), F.first("page_lang").alias("page_lang"))
         pages = pages.filter(F.col("page_lang").isin(*pair))
         talk = read(spark, sf_dir, "conversations").filter(F.length("text") >= 30).select((F.col("conv_id") * 1000 + F.col("turn")).alias("key"), "text")
-        sets = switched_texts(pool.filter("split = 'test'"), pair, N_TEST, 11).select(F.lit("generated").alias("set"), F.col("sample_id").alias("key"), "text")
+        sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).select(F.lit("generated").alias("set"), F.col("sample_id").alias("key"), "text")
         sets = sets.union(pages.select(F.lit("pages"), "page_id", "text")).union(talk.select(F.lit("conversations"), "key", "text"))
         sets = sets.withColumn("id", F.concat_ws(":", "set", F.col("key").cast("string")))
         heard = recognise(sets.select("id", "text"), models_for(pair, fitted), rows, "id", noise=NOISE)
@@ -90,7 +92,7 @@ def init_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for pair in PAIRS:
         lexicon = lexicon_rows(pool.filter(F.col("lang").isin(*pair)), LEXICON)
-        samples = switched_texts(pool, pair, N_FIT, 7)
+        samples = switched_texts(pool, pair, FIT, 7)
         for init in ("scratch", "mono", "ml"):
             p, rounds = fit_switch(samples, lexicon, pair, "sample_id", init)
             rows.append(("-".join(pair), init, round(p, 6), rounds))
@@ -118,6 +120,7 @@ def stickiness(spark: SparkSession, sf_dir: str) -> DataFrame:
     pool = _pool(spark, sf_dir)
     pair = PAIRS[0]
     rows = lexicon_rows(pool.filter("split = 'train'").filter(F.col("lang").isin(*pair)), LEXICON)
-    mixed = switched_texts(pool.filter("split = 'test'"), pair, N_TEST, 11).filter("n_langs > 1")
-    heard = recognise(mixed, models_for(pair, 0.05), rows, "sample_id", noise=NOISE)
+    mixed = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).filter("n_langs > 1")
+    fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
+    heard = recognise(mixed, models_for(pair, fitted), rows, "sample_id", noise=NOISE)
     return heard.groupBy("model", "tokenizer").agg(F.count(F.lit(1)).alias("n"), F.sum((F.size(F.array_distinct("langs")) <= 1).cast("int")).alias("n_single"))

@@ -2,12 +2,14 @@
 
 All chance is a hash of (seed, sample, draw, purpose), so a plan is the same for any partitioning, on a retry, in batch
 and in a stream. A sample draws a language by its weight, then an utterance of that language's pool, and takes it if
-the sample stays within its maximum; it is finished from its minimum on. What is not finished after all draws is left
-out and can be counted.
+the sample stays within its maximum; it is finished from its minimum on. A sample that is not finished after ``draws``
+draws starts anew with the draws behind them, so that no sample is lost; only where nothing fits at all (``attempts``
+times over) does one stay out.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 from dataclasses import dataclass, replace
 
@@ -35,12 +37,14 @@ class SynthConfig:
     snr_db: float = 10.0
     seed: int = 0
     draws: int = 32
+    attempts: int = 12
     #: Draws are made in waves; only unfinished samples take part in the next.
     waves: tuple[int, ...] = ()
     overflow: str = "skip"
     require_mixed: bool = False
     rate: int = SAMPLE_RATE
-    buckets: int = 64
+    #: Utterances that a task numbers, about.
+    bucket_rows: int = 200_000
 
     def samples(self, seconds: float) -> int:
         return round(seconds * self.rate)
@@ -69,6 +73,11 @@ class SynthConfig:
         """Samples that make so many hours, at the middle of the window."""
         return max(1, round(hours * 3600 / ((self.min_s + self.max_s) / 2)))
 
+    def count_sql(self, share: float, pool: str) -> str:
+        """``count_for_share`` of a relation, as a scalar."""
+        langs = ", ".join(f"'{lang}'" for lang, _, _ in self.shares)
+        return f"(SELECT greatest(1, ceil(coalesce(sum(n_samples), 0) * {float(share)!r} / {(self.low + self.high) / 2!r}))::bigint FROM {pool} WHERE lang IN ({langs}))"
+
     @property
     def shares(self) -> list[tuple[str, float, float]]:
         """(language, from, to) of the unit interval."""
@@ -79,14 +88,23 @@ class SynthConfig:
         return [(lang, a, b if k < len(out) - 1 else 1.0) for k, (lang, a, b) in enumerate(out) if b > a]
 
 
+def count_for_share(pool: DataFrame, cfg: SynthConfig, share: float) -> int:
+    """Samples whose hours are a share of the hours of the pool's languages; at least one."""
+    mine = pool.filter(F.col("lang").isin([lang for lang, _, _ in cfg.shares]))
+    total = mine.select(F.sum(F.col("n_samples").cast("bigint"))).first()[0] or 0
+    return max(1, math.ceil(total * share / ((cfg.low + cfg.high) / 2)))
+
+
 def indexed_pool(pool: DataFrame, cfg: SynthConfig) -> tuple[DataFrame, dict[str, int]]:
-    """(lang, idx, utt_id, n_samples) with idx dense from 0 in each language, and the pools' sizes.
+    """(lang, idx, utt_id, n_samples) with idx dense from 0 in each language by utt_id, and the pools' sizes.
 
-    Numbers come from the counts of hash buckets, which the driver adds up (languages x buckets), and from the order
-    inside a bucket; no task ever sorts a whole language.
+    Numbers come from the counts of ranges of ids, as many as ``bucket_rows`` asks for, which the driver adds up, and from
+    the order inside a range; no task ever sorts a whole language. The pool is read three times: hand in a durable one.
     """
     rows = pool.filter(F.col("lang").isin([lang for lang, _, _ in cfg.shares])).select("lang", "utt_id", "n_samples")
-    rows = rows.withColumn("_bucket", F.pmod("utt_id", F.lit(cfg.buckets)).cast("int"))
+    ends = rows.agg(F.count(F.lit(1)).alias("n"), F.min("utt_id").alias("low"), F.max("utt_id").alias("high")).first()
+    low, width, buckets = ends["low"] or 0, (ends["high"] or 0) - (ends["low"] or 0) + 1, max(1, -(-ends["n"] // cfg.bucket_rows))
+    rows = rows.withColumn("_bucket", F.least(F.floor((F.col("utt_id") - low) / float(width) * buckets), F.lit(buckets - 1)).cast("int"))
     counts = rows.groupBy("lang", "_bucket").agg(F.count(F.lit(1)).alias("n")).orderBy("lang", "_bucket").collect()
     sizes: dict[str, int] = {}
     firsts = []
@@ -141,36 +159,47 @@ def fold(candidates: Column, state: Column, cfg: SynthConfig) -> Column:
     return F.aggregate(candidates, state, step)
 
 
-def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig) -> DataFrame:
-    """sample_id, total, picks of the finished samples among ``samples`` (sample_id)."""
-    index, sizes = indexed_pool(pool, cfg)
-    index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
-    waves = cfg.waves or (cfg.draws,)
+def _filled(samples: DataFrame, index: DataFrame, sizes: dict[str, int], cfg: SynthConfig, first: int, last: int) -> DataFrame:
+    """sample_id, attempt, state of every sample after the draws from first to last - 1 of each attempt, in waves.
+
+    Draws are numbered on from attempt to attempt. Waves only make draws that are still needed."""
+    empty = F.struct(F.lit(cfg.begin + cfg.end).alias("total"), F.array().cast(_PICK).alias("picks"), F.lit(False).alias("dead"))
+    waves = cfg.waves if cfg.waves and (first, last) == (0, 1) else (cfg.draws,)
     if sum(waves) != cfg.draws:
         raise ValueError("waves must add up to the draws")
-    empty = F.struct(F.lit(cfg.begin + cfg.end).alias("total"), F.array().cast(_PICK).alias("picks"), F.lit(False).alias("dead"))
-    going = samples.select("sample_id").withColumn("state", empty)
-    done, at = None, 0
-    for k, wave in enumerate(waves):
-        candidates = drawn(going.select("sample_id"), cfg, sizes, at, at + wave)
-        found = candidates.join(index, (F.col("lang") == F.col("_lang")) & (F.col("idx") == F.col("_idx")))
-        listed = found.groupBy(F.col("sample_id").alias("_of")).agg(F.sort_array(F.collect_list(F.struct("draw", "lang", "utt_id", "n_samples"))).alias("c"))
-        if k:
-            listed = going.join(listed, F.col("sample_id") == F.col("_of")).select("sample_id", "state", "c")
-        else:
-            listed = listed.select(F.col("_of").alias("sample_id"), empty.alias("state"), "c")
-        filled = listed.select("sample_id", fold(F.col("c"), F.col("state"), cfg).alias("state"))
-        if len(waves) > 1:
-            filled = durable(filled)
-        finished = filled.filter((F.col("state.total") >= cfg.low) & ~F.col("state.dead")).select("sample_id", "state.total", "state.picks")
-        done = finished if done is None else done.union(finished)
-        going = filled.filter(F.col("state.total") < cfg.low)
+    going, done, at = samples.select("sample_id").withColumn("state", empty), None, 0
+    for wave in waves:
+        low, high = (at, at + wave) if last == 1 else (first * cfg.draws, last * cfg.draws)
+        found = drawn(going.select("sample_id"), cfg, sizes, low, high).join(index, (F.col("lang") == F.col("_lang")) & (F.col("idx") == F.col("_idx")))
+        listed = found.groupBy(F.col("sample_id").alias("_of"), F.expr(f"draw div {cfg.draws}").cast("int").alias("attempt"))
+        listed = listed.agg(F.sort_array(F.collect_list(F.struct("draw", "lang", "utt_id", "n_samples"))).alias("c"))
+        state = going.join(listed, F.col("sample_id") == F.col("_of")) if at else listed.select(F.col("_of").alias("sample_id"), "attempt", empty.alias("state"), "c")
+        filled = durable(state.select("sample_id", "attempt", fold(F.col("c"), F.col("state"), cfg).alias("state")))
+        done = filled if done is None else done.filter(F.col("state.total") >= cfg.low).union(filled)
+        going = filled.filter(F.col("state.total") < cfg.low).select("sample_id", "state")
         at += wave
-    if cfg.require_mixed:
-        done = done.filter(F.size(F.array_distinct(F.transform("picks", lambda p: p["lang"]))) > 1)
     return done
 
 
+def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig) -> DataFrame:
+    """sample_id, total, picks of ``samples`` (sample_id): each one's first attempt that is finished.
+
+    Most samples need one attempt; all further attempts of the others are made in a second pass over them alone.
+    """
+    index, sizes = indexed_pool(pool, cfg)
+    index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
+    finished = (F.col("state.total") >= cfg.low) & ~F.col("state.dead")
+    if cfg.require_mixed:
+        finished = finished & (F.size(F.array_distinct(F.transform("state.picks", lambda p: p["lang"]))) > 1)
+    done = _filled(samples, index, sizes, cfg, 0, 1).filter(finished).select("sample_id", "state.total", "state.picks")
+    if cfg.attempts < 2:
+        return done
+    left = durable(samples.select("sample_id").join(done.select(F.col("sample_id").alias("_done")), F.col("sample_id") == F.col("_done"), "left_anti"))
+    more = _filled(left, index, sizes, cfg, 1, cfg.attempts).filter(finished)
+    more = more.groupBy("sample_id").agg(F.min_by("state", "attempt").alias("state"))
+    return done.union(more.select("sample_id", "state.total", "state.picks"))
+
+
 def plan(pool: DataFrame, cfg: SynthConfig, n_samples: int) -> DataFrame:
     """sample_id, slot, lang, utt_id, start, n_samples, total of samples 0 to n_samples - 1; starts count from the sample's begin."""
     return slots(plan_samples(pool.sparkSession.range(n_samples).withColumnRenamed("id", "sample_id"), pool, cfg))
@@ -181,26 +210,31 @@ def slots(planned: DataFrame) -> DataFrame:
     return each.select("sample_id", "slot", "p.lang", "p.utt_id", "p.start", "p.n_samples", "total")
 
 
-def plan_sql(cfg: SynthConfig, n_samples: int, pool: str) -> str:
-    """The same plan in SQL, as CTEs ending in ``plan``; ``pool`` is a relation (lang, utt_id, n_samples). Skip overflow only."""
+def plan_sql(cfg: SynthConfig, share: float, pool: str) -> str:
+    """The same plan in SQL, as CTEs ending in ``plan``; ``pool`` is a relation (lang, utt_id, n_samples), ``share`` as for
+    ``count_for_share``. Skip overflow only."""
     case = " ".join(f"WHEN u >= {a!r} AND u < {b!r} THEN '{lang}'" for lang, a, b in cfg.shares)
     draw = lambda what: hash48_sql(f"'{cfg.seed}:' || s.id::varchar || ':' || d.k::varchar || ':{what}'")
     langs = ", ".join(f"'{lang}'" for lang, _, _ in cfg.shares)
     return f"""
-idx AS (SELECT lang, utt_id, n_samples, row_number() OVER (PARTITION BY lang ORDER BY utt_id % {cfg.buckets}, utt_id, n_samples) - 1 AS idx FROM {pool} WHERE lang IN ({langs})),
+idx AS (SELECT lang, utt_id, n_samples, row_number() OVER (PARTITION BY lang ORDER BY utt_id, n_samples) - 1 AS idx FROM {pool} WHERE lang IN ({langs})),
 sizes AS (SELECT lang, count(*) AS size FROM idx GROUP BY lang),
-draws AS (SELECT s.id AS sample_id, d.k, {draw("lang")} / {_SPAN!r} AS u, {draw("utt")} AS v FROM range({n_samples}) s(id), range({cfg.draws}) d(k)),
-chosen AS (SELECT sample_id, k, v, CASE {case} END AS lang FROM draws),
-cand AS (SELECT c.sample_id, row_number() OVER (PARTITION BY c.sample_id ORDER BY c.k) AS k, i.lang, i.utt_id, i.n_samples FROM chosen c JOIN sizes z ON z.lang = c.lang JOIN idx i ON i.lang = c.lang AND i.idx = c.v % z.size),
+ids AS (SELECT unnest(range(n)) AS id FROM (SELECT {cfg.count_sql(share, pool)} AS n)),
+draws AS (SELECT s.id AS sample_id, d.k, {draw("lang")} / {_SPAN!r} AS u, {draw("utt")} AS v FROM ids s, range({cfg.draws * cfg.attempts}) d(k)),
+chosen AS (SELECT sample_id, k, k // {cfg.draws} AS a, v, CASE {case} END AS lang FROM draws),
+cand AS (
+  SELECT c.sample_id, c.a, row_number() OVER (PARTITION BY c.sample_id, c.a ORDER BY c.k) AS k, i.lang, i.utt_id, i.n_samples
+  FROM chosen c JOIN sizes z ON z.lang = c.lang JOIN idx i ON i.lang = c.lang AND i.idx = c.v % z.size),
 fill AS (
-  SELECT DISTINCT sample_id, 0::bigint AS k, {cfg.begin + cfg.end}::int AS total, 0::int AS slots, false AS took, NULL::varchar AS lang, NULL::bigint AS utt_id, 0::int AS start, 0::int AS n_samples FROM cand
+  SELECT DISTINCT sample_id, a, 0::bigint AS k, {cfg.begin + cfg.end}::int AS total, 0::int AS slots, false AS took, NULL::varchar AS lang, NULL::bigint AS utt_id, 0::int AS start, 0::int AS n_samples FROM cand
   UNION ALL
-  SELECT sample_id, k, CASE WHEN took THEN total + gap + n ELSE total END, CASE WHEN took THEN slots + 1 ELSE slots END, took, lang, utt_id, (total - {cfg.end} + gap)::int, n FROM (
-    SELECT f.sample_id, c.k, f.total, f.slots, c.lang, c.utt_id, c.n_samples AS n, CASE WHEN f.slots > 0 THEN {cfg.join} ELSE 0 END AS gap,
+  SELECT sample_id, a, k, CASE WHEN took THEN total + gap + n ELSE total END, CASE WHEN took THEN slots + 1 ELSE slots END, took, lang, utt_id, (total - {cfg.end} + gap)::int, n FROM (
+    SELECT f.sample_id, f.a, c.k, f.total, f.slots, c.lang, c.utt_id, c.n_samples AS n, CASE WHEN f.slots > 0 THEN {cfg.join} ELSE 0 END AS gap,
       f.total < {cfg.low} AND f.total + CASE WHEN f.slots > 0 THEN {cfg.join} ELSE 0 END + c.n_samples <= {cfg.high} AS took
-    FROM fill f JOIN cand c ON c.sample_id = f.sample_id AND c.k = f.k + 1)),
-ended AS (SELECT sample_id, max(total) AS total FROM fill GROUP BY sample_id HAVING max(total) >= {cfg.low}),
-plan AS (SELECT f.sample_id, f.slots - 1 AS slot, f.lang, f.utt_id, f.start, f.n_samples, e.total FROM fill f JOIN ended e ON e.sample_id = f.sample_id WHERE f.took)"""
+    FROM fill f JOIN cand c ON c.sample_id = f.sample_id AND c.a = f.a AND c.k = f.k + 1)),
+tries AS (SELECT sample_id, a, max(total) AS total FROM fill GROUP BY sample_id, a HAVING max(total) >= {cfg.low}),
+ended AS (SELECT sample_id, min(a) AS a, arg_min(total, a) AS total FROM tries GROUP BY sample_id),
+plan AS (SELECT f.sample_id, f.slots - 1 AS slot, f.lang, f.utt_id, f.start, f.n_samples, e.total FROM fill f JOIN ended e ON e.sample_id = f.sample_id AND e.a = f.a WHERE f.took)"""
 
 
 def trimmed_lengths(utterances: DataFrame, cfg: SynthConfig) -> DataFrame:
@@ -235,14 +269,37 @@ def render(planned: DataFrame, utterances: DataFrame, cfg: SynthConfig, trim: bo
     return out.select("sample_id", "signal", F.size("signal").alias("n_samples"), "segments", "text")
 
 
+def within_hours(planned: DataFrame, cfg: SynthConfig, hours: float, block: int = 1000) -> DataFrame:
+    """``planned`` (sample_id, total, ...) up to the first sample that fills so many hours, by running sums over blocks of ids."""
+    limit = round(hours * 3600 * cfg.rate)
+    each = planned.select("sample_id", "total").distinct().withColumn("_b", F.expr(f"sample_id div {int(block)}"))
+    sums = each.groupBy("_b").agg(F.sum("total").alias("n"))
+    firsts = sums.select(F.col("_b").alias("_at"), (F.sum("n").over(Window.orderBy("_b")) - F.col("n")).alias("_first"))
+    inside = Window.partitionBy("_b").orderBy("sample_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    before = each.withColumn("_in", F.sum("total").over(inside) - F.col("total")).join(firsts, F.col("_b") == F.col("_at"))
+    kept = before.filter(F.col("_first") + F.col("_in") < limit).select(F.col("sample_id").alias("_kept"))
+    return planned.join(kept, F.col("sample_id") == F.col("_kept"), "left_semi")
+
+
 def generate_offline(pool: DataFrame, cfg: SynthConfig, hours: float, path: str, shard_size: int = 1000) -> int:
-    """Writes about ``hours`` of rendered samples as sharded Parquet; returns how many samples were wanted. pool: also ``signal``."""
+    """Writes rendered samples of ``hours`` (to within one sample) as sharded Parquet; returns how many. pool: also ``signal``.
+
+    As many samples are planned as the hours need at their shortest, and cut by running sums of their lengths.
+    """
     from langspan.sources.tables import write_sharded
 
-    wanted = cfg.count_for(hours)
-    lengths = trimmed_lengths(pool, cfg)
-    write_sharded(render(plan(lengths, cfg, wanted), pool, cfg), path, shard_size)
-    return wanted
+    most = math.ceil(hours * 3600 / cfg.min_s) + 1
+    lengths = durable(trimmed_lengths(pool, cfg).select("lang", "utt_id", "n_samples"))
+    planned = durable(within_hours(plan(lengths, cfg, most), cfg, hours))
+    write_sharded(render(planned, pool, cfg), path, shard_size)
+    return planned.select("sample_id").distinct().count()
+
+
+def storage(planned: DataFrame) -> DataFrame:
+    """mode, n_samples, bytes: what a corpus takes on disk as 32-bit amplitudes, offline and online."""
+    whole = planned.select("sample_id", "total").distinct().agg(F.count(F.lit(1)).alias("n_samples"), (F.coalesce(F.sum("total"), F.lit(0)) * 4).cast("bigint").alias("offline"))
+    modes = F.array(F.struct(F.lit("offline").alias("mode"), F.col("offline").alias("bytes")), F.struct(F.lit("online").alias("mode"), F.lit(0).cast("bigint").alias("bytes")))
+    return whole.select("n_samples", F.inline(modes)).select("mode", "n_samples", "bytes")
 
 
 def plain_config(cfg: SynthConfig) -> SynthConfig:
@@ -287,15 +344,26 @@ def reuse(planned: DataFrame, pool: DataFrame) -> DataFrame:
     return drawn_.join(have, F.col("lang") == F.col("_lang")).select("lang", "drawn", "pool_samples", F.round(F.col("drawn") / F.col("pool_samples"), 6).alias("times"))
 
 
-def sweep(pool: DataFrame, configs: Sequence[tuple[str, SynthConfig]], n_samples: int) -> DataFrame:
+def sweep(pool: DataFrame, configs: Sequence[tuple[str, SynthConfig]], share: float) -> DataFrame:
     """name, lang, n_segments, n_samples, share of every configuration, from plans alone: nothing is stored."""
     out = None
     for name, cfg in configs:
-        one = profile(plan(pool, cfg, n_samples)).withColumn("name", F.lit(name))
+        one = profile(plan(pool, cfg, count_for_share(pool, cfg, share))).withColumn("name", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out.select("name", "lang", "n_segments", "n_samples", "share")
 
 
+def repeats(have: dict[str, float], ratio: Sequence[tuple[str, float]], seed: int = 0) -> Column:
+    """How often each utterance (lang, utt_id) of pools of these sizes is used: floor(r) times and once more by a hash chance."""
+    wanted = [(lang, w) for lang, w in ratio if w > 0 and have.get(lang)]
+    unit = max((have[lang] / w for lang, w in wanted), default=0.0)
+    factor = F.lit(0.0)
+    for lang, w in wanted:
+        factor = F.when(F.col("lang") == lang, unit * w / have[lang]).otherwise(factor)
+    chance = hash48(F.concat_ws(":", F.lit(f"mix:{seed}"), F.col("utt_id").cast("string"))) / _SPAN
+    return (F.floor(factor) + F.when(chance < factor - F.floor(factor), 1).otherwise(0)).cast("int")
+
+
 def mix(pools: DataFrame, ratio: Sequence[tuple[str, float]], by: str = "utterances", seed: int = 0) -> DataFrame:
     """Training set of monolingual pools at a ratio: the pool that is largest for its share is used once, the others repeat.
 
@@ -303,15 +371,7 @@ def mix(pools: DataFrame, ratio: Sequence[tuple[str, float]], by: str = "utteran
     """
     value = F.count(F.lit(1)) if by == "utterances" else F.sum("n_samples")
     have = {r["lang"]: float(r["n"]) for r in pools.groupBy("lang").agg(value.alias("n")).collect()}
-    wanted = [(lang, w) for lang, w in ratio if w > 0 and have.get(lang)]
-    if not wanted:
-        return pools.limit(0).withColumn("copy", F.lit(1))
-    unit = max(have[lang] / w for lang, w in wanted)
-    factor = F.lit(0.0)
-    for lang, w in wanted:
-        factor = F.when(F.col("lang") == lang, unit * w / have[lang]).otherwise(factor)
-    chance = hash48(F.concat_ws(":", F.lit(f"mix:{seed}"), F.col("utt_id").cast("string"))) / _SPAN
-    times = (F.floor(factor) + F.when(chance < factor - F.floor(factor), 1).otherwise(0)).cast("int")
+    times = repeats(have, ratio, seed)
     return pools.withColumn("_times", times).filter("_times > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).drop("_times")
 
 

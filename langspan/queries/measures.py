@@ -7,9 +7,8 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, vocab
-from langspan.plans import synth
 from langspan.queries.base import utts
-from langspan.queries.waves import N_SWEEP, PLAN, _planned, _pool
+from langspan.queries.waves import PLAN, SWEEP, _planned, planned as planned_slots
 from langspan.sources.tables import read
 from langspan.streaming import online
 
@@ -64,7 +63,7 @@ def top5_avg(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def asof_segment(spark: SparkSession, sf_dir: str) -> DataFrame:
     """sample_id, t, slot: the segment that was begun last at every 500th sample (-1 before the first), by one sort instead of a range join."""
-    planned = synth.plan(_pool(spark, sf_dir), PLAN, N_SWEEP)
+    planned = planned_slots(spark, sf_dir, SWEEP)
     starts = planned.select("sample_id", F.col("start").cast("bigint").alias("t"), F.col("slot").cast("bigint").alias("slot"), F.lit(0).alias("asked"))
     times = planned.select("sample_id", "total").distinct().select("sample_id", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("total").cast("bigint"), F.lit(500).cast("bigint"))).alias("t"), F.lit(None).cast("bigint").alias("slot"), F.lit(1).alias("asked"))
     order = Window.partitionBy("sample_id").orderBy("t", "asked").rowsBetween(Window.unboundedPreceding, Window.currentRow)
@@ -172,7 +171,7 @@ ORACLES = {
     "cer": f"WITH {T.UTTERANCES_SQL}, {_PAIRS}, e AS (SELECT lang, levenshtein(ref, coalesce(array_to_string(h, ' '), '')) AS e, length(ref) AS n FROM q WHERE regexp_full_match(ref, '[a-z ]+')) SELECT lang AS grp, sum(e)::bigint AS errors, sum(n)::bigint AS ref_chars, round(100 * sum(e) / sum(n), 6) AS cer FROM e GROUP BY lang",
     "top5_avg": f"""WITH g AS (SELECT id % 3 AS e, (id // 3) % 3 AS run, id // 9 AS c FROM range(72) t(id)), r AS (SELECT 'x' || e::varchar AS experiment, run, c, ({T.hash48_sql("e::varchar || ':' || run::varchar || ':' || c::varchar")} % 1000) / 10.0 AS wer FROM g),
 b AS (SELECT *, row_number() OVER (PARTITION BY experiment, run ORDER BY wer, c) AS k FROM r), a AS (SELECT experiment, run, avg(wer) AS wer FROM b WHERE k <= 5 GROUP BY experiment, run) SELECT experiment, round(avg(wer), 6) AS wer FROM a GROUP BY experiment""",
-    "asof_segment": f"{_planned(PLAN, N_SWEEP)}, tm AS (SELECT sample_id, unnest(range(0, total + 1, 500))::bigint AS t FROM (SELECT DISTINCT sample_id, total FROM plan)) SELECT tm.sample_id, tm.t, coalesce(p.slot, -1)::bigint AS slot FROM tm ASOF LEFT JOIN plan p ON p.sample_id = tm.sample_id AND p.start <= tm.t",
+    "asof_segment": f"{_planned(PLAN, SWEEP)}, tm AS (SELECT sample_id, unnest(range(0, total + 1, 500))::bigint AS t FROM (SELECT DISTINCT sample_id, total FROM plan)) SELECT tm.sample_id, tm.t, coalesce(p.slot, -1)::bigint AS slot FROM tm ASOF LEFT JOIN plan p ON p.sample_id = tm.sample_id AND p.start <= tm.t",
     "order_tokens": f"WITH {_REGIONS} SELECT l_orderkey, count(*) AS n_tokens, sum(token_id)::bigint AS id_sum, arg_min(token_id, pos) AS first_id, arg_max(token_id, pos) AS last_id FROM o GROUP BY l_orderkey",
     "order_lid": f"WITH {_REGIONS}, v AS (SELECT l_orderkey, region, count(*) AS n FROM o GROUP BY ALL) SELECT l_orderkey, region AS pred_lang, n AS n_votes FROM (SELECT *, row_number() OVER (PARTITION BY l_orderkey ORDER BY n DESC, region) AS k FROM v) WHERE k = 1",
     "order_spans": f"WITH {_RUNS} SELECT l_orderkey, span, region, first_pos, last_pos, n FROM sp",

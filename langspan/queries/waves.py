@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from langspan.functions import signal as S
@@ -10,13 +10,16 @@ from langspan.functions import text as T
 from langspan.operators import head, vocab
 from langspan.plans import synth
 from langspan.queries.base import utts
+from langspan.session import durable
 from langspan.sources.tables import read
 
 #: Ten labels of the embeddings as two languages of five tokens.
 TWO = vocab.RangeVocab.allocate([("a", 5), ("b", 5)])
 PAIRS = {"en-es": (("en", 0.5), ("es", 0.5)), "en-de": (("en", 0.5), ("de", 0.5))}
 PLAN = synth.SynthConfig()
-N_PLAN, N_SWEEP, N_RENDER = 2000, 400, 200
+#: Hours planned, as shares of the pool's hours: the training corpus (10 h at sf0.01), sweeps, what is rendered; and the
+#: test sets (10 h a pair at sf0.01, each pool used about four times).
+TRAIN, SWEEP, RENDER, TEST = 0.5, 0.1, 0.1, 4.0
 
 
 def _states(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
@@ -96,21 +99,34 @@ def _pool(spark: SparkSession, sf_dir: str, split: str = "train") -> DataFrame:
     return utts(spark, sf_dir).filter(F.col("split") == split)
 
 
+def _lengths(spark: SparkSession, sf_dir: str, split: str = "train") -> DataFrame:
+    """What planning reads of the pool, made once."""
+    return durable(_pool(spark, sf_dir, split).select("lang", "utt_id", "n_samples"))
+
+
+def _planned_samples(spark: SparkSession, pool: DataFrame, cfg: synth.SynthConfig, share: float) -> DataFrame:
+    return synth.plan_samples(synth.range_of(spark, synth.count_for_share(pool, cfg, share)), pool, cfg)
+
+
+def planned(spark: SparkSession, sf_dir: str, share: float = TRAIN, split: str = "train", cfg: synth.SynthConfig = PLAN) -> DataFrame:
+    return synth.slots(_planned_samples(spark, _lengths(spark, sf_dir, split), cfg, share))
+
+
 def synth_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    planned = synth.plan_samples(synth.range_of(spark, N_PLAN), _pool(spark, sf_dir), PLAN)
+    planned = _planned_samples(spark, _lengths(spark, sf_dir), PLAN, TRAIN)
     return planned.select("sample_id", F.size("picks").cast("bigint").alias("n_segments"), F.col("total").cast("bigint").alias("total"))
 
 
 def synth_plan_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return synth.plan(_pool(spark, sf_dir), PLAN, N_SWEEP)
+    return planned(spark, sf_dir, SWEEP)
 
 
 def synth_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return synth.profile(synth.plan(_pool(spark, sf_dir), PLAN, N_PLAN))
+    return synth.profile(planned(spark, sf_dir))
 
 
 def edge_bias(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return synth.edge_bias(synth.plan(_pool(spark, sf_dir), PLAN, N_PLAN))
+    return synth.edge_bias(planned(spark, sf_dir))
 
 
 def padding_waste(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -124,13 +140,13 @@ def padding_waste_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pool_reuse(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pool = _pool(spark, sf_dir).filter("lang IN ('en', 'es')")
-    return synth.reuse(synth.plan(pool, PLAN, N_PLAN), pool)
+    pool = _lengths(spark, sf_dir).filter("lang IN ('en', 'es')")
+    return synth.reuse(synth.slots(_planned_samples(spark, pool, PLAN, TRAIN)), pool)
 
 
 def synth_switches(spark: SparkSession, sf_dir: str) -> DataFrame:
     """n_langs, n, switches: how mixed the samples are."""
-    seen = synth.sample_profile(synth.plan(_pool(spark, sf_dir), PLAN, N_PLAN))
+    seen = synth.sample_profile(planned(spark, sf_dir))
     return seen.groupBy("n_langs").agg(F.count(F.lit(1)).alias("n"), F.sum("switches").cast("bigint").alias("switches"))
 
 
@@ -144,25 +160,26 @@ _SWEEP = {
 
 
 def sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return synth.sweep(_pool(spark, sf_dir), list(_SWEEP.items()), N_SWEEP)
+    return synth.sweep(_lengths(spark, sf_dir), list(_SWEEP.items()), SWEEP)
 
 
 def synth_test_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Plans of both pairs over the held-out pool: pair, sample_id, n_segments, total."""
-    pool = _pool(spark, sf_dir, "test")
+    pool = _lengths(spark, sf_dir, "test")
     out = None
     for pair, weights in PAIRS.items():
-        one = synth.plan_samples(synth.range_of(spark, N_SWEEP), pool, synth.SynthConfig(weights=weights, seed=1)).select(F.lit(pair).alias("pair"), "sample_id", F.size("picks").cast("bigint").alias("n_segments"), F.col("total").cast("bigint").alias("total"))
+        one = _planned_samples(spark, pool, synth.SynthConfig(weights=weights, seed=1), TEST)
+        one = one.select(F.lit(pair).alias("pair"), "sample_id", F.size("picks").cast("bigint").alias("n_segments"), F.col("total").cast("bigint").alias("total"))
         out = one if out is None else out.union(one)
     return out
 
 
 def _rendered(spark: SparkSession, sf_dir: str, **options) -> DataFrame:
-    pool = _pool(spark, sf_dir)
-    planned = synth.plan(pool, PLAN, N_RENDER)
-    used = planned.select(F.col("utt_id").alias("_used")).distinct()
-    voiced = pool.dropDuplicates(["utt_id"]).join(used, F.col("utt_id") == F.col("_used"), "left_semi").select("utt_id", "text", S.sonify(F.col("text"), F.col("source"), F.col("utt_id")).alias("signal"))
-    return synth.render(planned, voiced, PLAN, **options)
+    drawn = durable(planned(spark, sf_dir, RENDER))
+    used = drawn.select(F.col("utt_id").alias("_used")).distinct()
+    voiced = _pool(spark, sf_dir).join(used, F.col("utt_id") == F.col("_used"), "left_semi").dropDuplicates(["utt_id"])
+    voiced = voiced.select("utt_id", "text", S.sonify(F.col("text"), F.col("source"), F.col("utt_id")).alias("signal"))
+    return synth.render(drawn, voiced, PLAN, **options)
 
 
 def synth_render_len(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -187,22 +204,27 @@ def stitched_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def mix_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     """ratio, lang, n_in, n_out, share of the natural, 1:1 and 2:1 mixtures of English and Spanish."""
-    pool = _pool(spark, sf_dir).filter("lang IN ('en', 'es')")
-    n_in = pool.groupBy(F.col("lang").alias("_l")).agg(F.count(F.lit(1)).alias("n_in"))
-    out = None
-    for name, ratio in (("1:1", (("en", 1.0), ("es", 1.0))), ("2:1", (("en", 2.0), ("es", 1.0)))):
-        mixed = synth.mix(pool, ratio).groupBy("lang").agg(F.count(F.lit(1)).alias("n_out"))
-        total = mixed.agg(F.sum("n_out").alias("t"))
-        one = mixed.join(n_in, F.col("lang") == F.col("_l")).crossJoin(F.broadcast(total)).select(F.lit(name).alias("ratio"), "lang", "n_in", "n_out", F.round(F.col("n_out") / F.col("t"), 6).alias("share"))
-        out = one if out is None else out.union(one)
-    return out
+    pool = _lengths(spark, sf_dir).filter("lang IN ('en', 'es')")
+    have = {r["lang"]: float(r["n"]) for r in pool.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
+    rows = None
+    for name, ratio in (("natural", have.items()), ("1:1", (("en", 1.0), ("es", 1.0))), ("2:1", (("en", 2.0), ("es", 1.0)))):
+        times = synth.repeats(have, list(ratio), seed=0)
+        one = pool.groupBy("lang").agg(F.count(F.lit(1)).alias("n_in"), F.sum(times).cast("bigint").alias("n_out")).withColumn("ratio", F.lit(name))
+        rows = one if rows is None else rows.unionByName(one)
+    share = F.col("n_out") / F.sum("n_out").over(Window.partitionBy("ratio"))
+    return rows.select("ratio", "lang", "n_in", "n_out", F.round(share, 6).alias("share"))
+
+
+def storage_overhead(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes of the training corpus as amplitudes: written offline, and online."""
+    return synth.storage(planned(spark, sf_dir))
 
 
 QUERIES = {
     f.__name__: f
     for f in (
         head_argmax, head_suppressed, head_grown, head_merged, posterior_fusion, ctc_collapse, trim_embeddings, peak_embeddings, concat_embeddings, rms_snr, synth_plan, synth_plan_slots, synth_profile, edge_bias,
-        padding_waste, padding_waste_pool, pool_reuse, synth_switches, sweep, synth_test_plan, synth_render_len, synth_render, stitched_levels, mix_ratio,
+        padding_waste, padding_waste_pool, pool_reuse, synth_switches, sweep, synth_test_plan, synth_render_len, synth_render, stitched_levels, mix_ratio, storage_overhead,
     )
 }
 
@@ -215,7 +237,7 @@ def _argmax(where: str = "true") -> str:
     return f"WITH {_LOGITS} SELECT vec_id, token_id, score FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY score DESC, token_id) AS k FROM z WHERE {where}) WHERE k = 1"
 
 
-def _planned(cfg: synth.SynthConfig, n: int, split: str = "train") -> str:
+def _planned(cfg: synth.SynthConfig, n: float, split: str = "train") -> str:
     return f"WITH RECURSIVE {T.UTTERANCES_SQL}, pool AS (SELECT * FROM utt WHERE split = '{split}'), {synth.plan_sql(cfg, n, 'pool')}"
 
 
@@ -242,18 +264,19 @@ SELECT user_id, count(*) AS n_in, count(*) FILTER (id <> 0 AND id IS DISTINCT FR
     "peak_embeddings": "WITH b AS (SELECT vec_id, embedding AS e, list_max(list_transform(embedding, lambda x: abs(x))) AS top FROM embeddings) SELECT vec_id, round(top::double, 6) AS peak, round(list_sum(list_transform(e, lambda x: abs((x::double / top::double * 0.5)::float::double))), 6) AS sum6 FROM b",
     "concat_embeddings": f"WITH {_TRIM}, s AS (SELECT label, vec_id // 16 AS part, list_transform(e[loud[1]:loud[-1]], lambda x: abs(x::double)) AS s FROM l) SELECT label, part, (sum(len(s)) + 6 + 15 * (count(*) - 1))::bigint AS n_samples, round(sum(list_sum(s)), 6) AS sum6 FROM s GROUP BY label, part",
     "rms_snr": "WITH r AS (SELECT vec_id, sqrt(list_sum(list_transform(embedding, lambda x: x::double * x::double)) / len(embedding)) AS r FROM embeddings) SELECT vec_id, round(r, 6) AS rms6, round(r / pow(10, 0.5), 6) AS noise6 FROM r",
-    "synth_plan": f"{_planned(PLAN, N_PLAN)} SELECT sample_id, count(*) AS n_segments, max(total)::bigint AS total FROM plan GROUP BY sample_id",
-    "synth_plan_slots": f"{_planned(PLAN, N_SWEEP)} SELECT sample_id, slot, lang, utt_id, start, n_samples, total FROM plan",
-    "synth_profile": f"{_planned(PLAN, N_PLAN)} {_PROFILE}",
-    "edge_bias": f"{_planned(PLAN, N_PLAN)}, e AS (SELECT sample_id, arg_min(lang, slot) AS a, arg_max(lang, slot) AS b FROM plan GROUP BY sample_id) SELECT lang, sum(f)::bigint AS n_first, sum(l)::bigint AS n_last FROM (SELECT a AS lang, 1 AS f, 0 AS l FROM e UNION ALL SELECT b, 0, 1 FROM e) GROUP BY lang",
-    "padding_waste": f"{_planned(PLAN, N_PLAN)}, s AS (SELECT DISTINCT sample_id, total FROM plan) SELECT sample_id // 32 AS batch_no, count(*) AS n, round(1 - sum(total) / (count(*) * max(total)), 6) AS waste FROM s GROUP BY 1",
+    "synth_plan": f"{_planned(PLAN, TRAIN)} SELECT sample_id, count(*) AS n_segments, max(total)::bigint AS total FROM plan GROUP BY sample_id",
+    "synth_plan_slots": f"{_planned(PLAN, SWEEP)} SELECT sample_id, slot, lang, utt_id, start, n_samples, total FROM plan",
+    "synth_profile": f"{_planned(PLAN, TRAIN)} {_PROFILE}",
+    "edge_bias": f"{_planned(PLAN, TRAIN)}, e AS (SELECT sample_id, arg_min(lang, slot) AS a, arg_max(lang, slot) AS b FROM plan GROUP BY sample_id) SELECT lang, sum(f)::bigint AS n_first, sum(l)::bigint AS n_last FROM (SELECT a AS lang, 1 AS f, 0 AS l FROM e UNION ALL SELECT b, 0, 1 FROM e) GROUP BY lang",
+    "padding_waste": f"{_planned(PLAN, TRAIN)}, s AS (SELECT DISTINCT sample_id, total FROM plan) SELECT sample_id // 32 AS batch_no, count(*) AS n, round(1 - sum(total) / (count(*) * max(total)), 6) AS waste FROM s GROUP BY 1",
     "padding_waste_pool": f"WITH {T.UTTERANCES_SQL} SELECT doc_id // 32 AS batch_no, count(*) AS n, round(1 - sum(n_samples) / (count(*) * max(n_samples)), 6) AS waste FROM utt WHERE split = 'train' AND lang IN ('en', 'es') GROUP BY 1",
-    "pool_reuse": f"{_planned(PLAN, N_PLAN)}, h AS (SELECT lang, sum(n_samples)::bigint AS pool_samples FROM pool GROUP BY lang), d AS (SELECT lang, sum(n_samples)::bigint AS drawn FROM plan GROUP BY lang) SELECT lang, drawn, pool_samples, round(drawn / pool_samples, 6) AS times FROM d JOIN h USING (lang)",
-    "synth_switches": f"{_planned(PLAN, N_PLAN)}, w AS (SELECT *, CASE WHEN lag(lang) OVER (PARTITION BY sample_id ORDER BY slot) <> lang THEN 1 ELSE 0 END AS sw FROM plan), s AS (SELECT sample_id, count(DISTINCT lang) AS n_langs, sum(sw) AS sw FROM w GROUP BY sample_id) SELECT n_langs, count(*) AS n, sum(sw)::bigint AS switches FROM s GROUP BY n_langs",
-    "sweep": " UNION ALL ".join(f"SELECT '{name}' AS name, lang, n_segments, n_samples, share FROM ({_planned(cfg, N_SWEEP)} {_PROFILE})" for name, cfg in _SWEEP.items()),
+    "pool_reuse": f"{_planned(PLAN, TRAIN)}, h AS (SELECT lang, sum(n_samples)::bigint AS pool_samples FROM pool GROUP BY lang), d AS (SELECT lang, sum(n_samples)::bigint AS drawn FROM plan GROUP BY lang) SELECT lang, drawn, pool_samples, round(drawn / pool_samples, 6) AS times FROM d JOIN h USING (lang)",
+    "synth_switches": f"{_planned(PLAN, TRAIN)}, w AS (SELECT *, CASE WHEN lag(lang) OVER (PARTITION BY sample_id ORDER BY slot) <> lang THEN 1 ELSE 0 END AS sw FROM plan), s AS (SELECT sample_id, count(DISTINCT lang) AS n_langs, sum(sw) AS sw FROM w GROUP BY sample_id) SELECT n_langs, count(*) AS n, sum(sw)::bigint AS switches FROM s GROUP BY n_langs",
+    "sweep": " UNION ALL ".join(f"SELECT '{name}' AS name, lang, n_segments, n_samples, share FROM ({_planned(cfg, SWEEP)} {_PROFILE})" for name, cfg in _SWEEP.items()),
     "synth_test_plan": " UNION ALL ".join(
-        f"SELECT '{pair}' AS pair, * FROM ({_planned(synth.SynthConfig(weights=weights, seed=1), N_SWEEP, 'test')} SELECT sample_id, count(*) AS n_segments, max(total)::bigint AS total FROM plan GROUP BY sample_id)" for pair, weights in PAIRS.items()
+        f"SELECT '{pair}' AS pair, * FROM ({_planned(synth.SynthConfig(weights=weights, seed=1), TEST, 'test')} SELECT sample_id, count(*) AS n_segments, max(total)::bigint AS total FROM plan GROUP BY sample_id)" for pair, weights in PAIRS.items()
     ),
-    "synth_render_len": f"{_planned(PLAN, N_RENDER)} SELECT sample_id, max(total)::bigint AS n_samples, count(*) AS n_segments, 1.0::double AS peak FROM plan GROUP BY sample_id",
-    "mix_ratio": f"{_MIX_POOL} " + " UNION ALL ".join(_MIX.format(name, w, T.hash48_sql("'mix:0:' || utt_id::varchar")) for name, w in (("1:1", "1.0"), ("2:1", "2.0"))),
+    "synth_render_len": f"{_planned(PLAN, RENDER)} SELECT sample_id, max(total)::bigint AS n_samples, count(*) AS n_segments, 1.0::double AS peak FROM plan GROUP BY sample_id",
+    "storage_overhead": f"{_planned(PLAN, TRAIN)}, s AS (SELECT DISTINCT sample_id, total FROM plan), t AS (SELECT count(*) AS n_samples, (sum(total) * 4)::bigint AS b FROM s) SELECT 'offline' AS mode, n_samples, b AS bytes FROM t UNION ALL SELECT 'online', n_samples, 0::bigint FROM t",
+    "mix_ratio": f"{_MIX_POOL} SELECT 'natural' AS ratio, lang, count(*) AS n_in, count(*) AS n_out, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM pool GROUP BY lang UNION ALL " + " UNION ALL ".join(_MIX.format(name, w, T.hash48_sql("'mix:0:' || utt_id::varchar")) for name, w in (("1:1", "1.0"), ("2:1", "2.0"))),
 }
