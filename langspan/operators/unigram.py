@@ -113,7 +113,8 @@ def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, long
     """lang, local_id, piece, score: ``size`` ids for each language, 0 the unknown piece; by score, then piece.
 
     Words rarer than ``min_count`` are left out of training. ``log`` collects (lang, pieces, log likelihood) of each pass.
-    A language with fewer seeds than ids keeps what it has.
+    A language with fewer seeds than ids keeps what it has. Letters are never pruned for longer pieces, but where they alone
+    are more than the ids, the rarest go (and read as unknown), so that training ends on any alphabet.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -121,6 +122,10 @@ def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, long
     pieces: dict[str, dict[str, float]] = {}
     for r in seeds(counts, seed_size, longest).collect():
         pieces.setdefault(r["lang"], {})[r["piece"]] = float(r["n"])
+    for lang, have in pieces.items():
+        letters = sorted((p for p in have if len(p) == 1), key=lambda p: (p != MARK, -have[p], p))
+        for p in letters[size - 1 :]:
+            del have[p]
     pieces = {lang: _normal(p) for lang, p in pieces.items()}
     while True:
         for k in range(rounds):

@@ -33,9 +33,6 @@ def online_from_ids(ids: DataFrame, pool: DataFrame, cfg: SynthConfig, deliver:
 def _gathering(cfg: SynthConfig, reservoir: int) -> Callable[[tuple, Iterator[pd.DataFrame], GroupState], Iterator[pd.DataFrame]]:
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         (shard,) = key
-        if state.hasTimedOut:
-            state.remove()
-            return
         open_ = json.loads(state.get[0]) if state.exists else {"made": 0, "draw": 0, "total": cfg.begin + cfg.end, "picks": [], "wait": {}}
         rows = pd.concat(list(batches)).sort_values("utt_id")
         out = []
@@ -58,7 +55,6 @@ def _gathering(cfg: SynthConfig, reservoir: int) -> Callable[[tuple, Iterator[pd
                     out += [(int(shard), open_["made"], k, *p, open_["total"]) for k, p in enumerate(open_["picks"])]
                     open_ |= {"made": open_["made"] + 1, "total": cfg.begin + cfg.end, "picks": []}
         state.update((json.dumps(open_),))
-        state.setTimeoutDuration(600_000)
         yield pd.DataFrame(out, columns=["shard", "made", "slot", "lang", "utt_id", "start", "n_samples", "total"])
 
     return run
@@ -67,15 +63,16 @@ def _gathering(cfg: SynthConfig, reservoir: int) -> Callable[[tuple, Iterator[pd
 def online_from_arrivals(utterances: DataFrame, cfg: SynthConfig, shards: int = 8, reservoir: int = 16) -> DataFrame:
     """shard, made, slot, lang, utt_id, start, n_samples, total from a stream of utterances (lang, utt_id, n_samples).
 
-    Each shard keeps one open sample and a few waiting utterances of each language; an idle shard's state goes after ten
-    minutes. Samples keep the window, the silences and the weights; which utterances meet depends on arrival.
+    Each shard keeps one open sample and at most ``reservoir`` waiting utterances of each language, so that state is bounded
+    by shards and languages and needs no timeout (one by processing time would also keep an ``availableNow`` run from
+    ever ending). Samples keep the window, the silences and the weights; which utterances meet depends on arrival.
     """
     ship(utterances.sparkSession)
     keyed = utterances.select(F.pmod(F.xxhash64("utt_id"), F.lit(shards)).cast("bigint").alias("shard"), "lang", "utt_id", "n_samples")
     return keyed.groupBy("shard").applyInPandasWithState(
         _gathering(cfg, reservoir),
         "shard bigint, made bigint, slot bigint, lang string, utt_id bigint, start bigint, n_samples bigint, total bigint",
-        "open string", "append", GroupStateTimeout.ProcessingTimeTimeout,
+        "open string", "append", GroupStateTimeout.NoTimeout,
     )
 
 
@@ -85,15 +82,16 @@ def event_tokens(events: DataFrame, lang_case: str) -> DataFrame:
     return parsed.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", (F.expr(lang_case) + F.col("k")).alias("token_id"), F.col("event_type").alias("lang"))
 
 
-def windowed_languages(tokens: DataFrame, length: str = "1 day", slide: str | None = None, lateness: str = "1 hour") -> DataFrame:
-    """window_start, lang, n over event time; late rows beyond the watermark are dropped (streams only)."""
-    windowed = tokens.withWatermark("ts", lateness) if tokens.isStreaming else tokens
+def windowed_languages(tokens: DataFrame, length: str = "1 day", slide: str | None = None, lateness: str | None = "1 hour") -> DataFrame:
+    """window_start, lang, n over event time; late rows beyond the watermark are dropped (streams only). ``lateness`` None:
+    the stream has a watermark already (like one of ``without_repeats``)."""
+    windowed = tokens.withWatermark("ts", lateness) if tokens.isStreaming and lateness else tokens
     return windowed.groupBy(F.window("ts", length, slide or length).alias("w"), "lang").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("window_start"), "lang", "n")
 
 
-def session_languages(tokens: DataFrame, gap: str = "6 hours", lateness: str = "1 hour") -> DataFrame:
-    """user_id, session_start, lang, n: tokens of each language in each of a user's sessions."""
-    windowed = tokens.withWatermark("ts", lateness) if tokens.isStreaming else tokens
+def session_languages(tokens: DataFrame, gap: str = "6 hours", lateness: str | None = "1 hour") -> DataFrame:
+    """user_id, session_start, lang, n: tokens of each language in each of a user's sessions; ``lateness`` as above."""
+    windowed = tokens.withWatermark("ts", lateness) if tokens.isStreaming and lateness else tokens
     return windowed.groupBy("user_id", F.session_window("ts", gap).alias("w"), "lang").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("session_start"), "lang", "n")
 
 

@@ -139,7 +139,7 @@ def test_event_stream_equals_batch(spark, sf, tmp_path):
     events.union(events.limit(50)).repartition(1).write.parquet(str(tmp_path / "e"))
     case = "CASE event_type WHEN 'x' THEN 0 ELSE 128 END"
     stream = online.without_repeats(online.event_tokens(online.stream_table(spark, str(tmp_path / "e"), events.schema), case))
-    q = online.windowed_languages(stream).writeStream.format("memory").queryName("win").outputMode("complete").option("checkpointLocation", str(tmp_path / "cp3")).trigger(availableNow=True).start()
+    q = online.windowed_languages(stream, lateness=None).writeStream.format("memory").queryName("win").outputMode("complete").option("checkpointLocation", str(tmp_path / "cp3")).trigger(availableNow=True).start()
     q.awaitTermination()
     batch = online.windowed_languages(online.event_tokens(events, case))
     assert sorted(map(tuple, spark.table("win").collect())) == sorted(map(tuple, batch.collect()))

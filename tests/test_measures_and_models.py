@@ -81,6 +81,17 @@ def test_unigram_training(spark, sf):
     assert {r["id"]: r["token_ids"][0] >= 1024 for r in mixed} == {1: False, 2: True}
 
 
+def test_unigram_training_ends_on_any_alphabet(spark):
+    """More letters than ids: the rarest go."""
+    letters = [chr(0x4E00 + k) for k in range(90)]
+    monkey = [(k, "xx", " ".join("".join(letters[(k + j) % 90] for j in range(3)) for _ in range(4))) for k in range(90)]
+    docs = spark.createDataFrame(monkey, "doc_id bigint, lang string, text string")
+    latin = spark.createDataFrame([(1000 + k, "yy", " ".join(f"{a}{b}" for a in "abcdefghijklmn" for b in "opqrstuvwxyz")) for k in range(4)], docs.schema)
+    toks = unigram.train_unigram(docs.union(latin), size=16, seed_size=40).collect()
+    sizes = {lang: sum(r["lang"] == lang for r in toks) for lang in {r["lang"] for r in toks}}
+    assert sizes and all(n <= 16 for n in sizes.values())
+
+
 def test_lexicon_paths_equal_brute_force(spark):
     rng = random.Random(2)
     arcs = [(1, p, lang, rng.random() * 5) for p in range(5) for lang in ("a", "b", "c")]
