@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from langspan.queries import corpus, languages, measures, studies, waves
+from langspan.queries import corpus, languages, measures, studies, switched, waves
 
-_MODULES = (corpus, languages, waves, measures, studies)
+_MODULES = (corpus, languages, waves, switched, measures, studies)
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: f for m in _MODULES for k, f in m.QUERIES.items()}
 ORACLES: dict[str, str] = {k: s for m in _MODULES for k, s in m.ORACLES.items()}

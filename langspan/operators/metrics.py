@@ -24,9 +24,15 @@ def _as_letters(text_words: Column, known: Column) -> Column:
 
 def word_errors(ref: Column, hyp: Column) -> Column:
     """Least substitutions, deletions and insertions between the words of two texts: Spark's own distance on one code
-    point a word, inside generated code. Up to 55,040 distinct words a pair."""
+    point a word, inside generated code. A pair of more than MOST_WORDS distinct words raises an error (``edit_ops`` takes
+    any) instead of a wrong count."""
     both = F.struct(words(ref).alias("r"), words(hyp).alias("h"))
-    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: F.levenshtein(_as_letters(b["r"], known), _as_letters(b["h"], known))))
+    too_many = F.raise_error(F.lit(f"a pair has more than {MOST_WORDS} distinct words: use edit_ops")).cast("int")
+
+    def distance(b: Column, known: Column) -> Column:
+        return F.when(F.size(known) > MOST_WORDS, too_many).otherwise(F.levenshtein(_as_letters(b["r"], known), _as_letters(b["h"], known)))
+
+    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: distance(b, known)))
 
 
 def wer(pairs: DataFrame, by: Sequence[str] = (), ref: str = "ref", hyp: str = "hyp") -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from langspan.functions import text as T
+from langspan.functions.binding import let
 from langspan.operators import lid, metrics, vocab
 from langspan.queries.base import utts
 from langspan.queries.waves import PLAN, SWEEP, _planned, planned as planned_slots
@@ -20,7 +21,7 @@ def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Utterances and a spoilt copy: every tenth word gone, every tenth replaced."""
     pool = utts(spark, sf_dir).withColumn("w", T.words(F.col("text")))
     fate = lambda i: T.hash48(F.concat_ws(":", F.col("utt_id").cast("string"), i.cast("string"))) % 10
-    heard = F.transform("w", lambda w, i: F.when(fate(i) == 0, "").when(fate(i) == 1, "zz").otherwise(w))
+    heard = F.transform("w", lambda w, i: let(fate(i), lambda f: F.when(f == 0, "").when(f == 1, "zz").otherwise(w)))
     return pool.select("utt_id", "lang", F.col("text").alias("ref"), F.array_join(F.filter(heard, lambda w: w != ""), " ").alias("hyp"))
 
 
