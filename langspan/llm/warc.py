@@ -44,9 +44,9 @@ def lay_out(records: DataFrame) -> DataFrame:
     return records.withColumn("offset", F.sum("length").over(order) - F.col("length"))
 
 
-def file_of(rid: Column, records: int, per_file: int = PER_FILE) -> Column:
+def file_of(rid: Column, records: int, per_file: int | None = None) -> Column:
     """One of as many files as hold about ``per_file`` records each."""
-    return (hash48(F.concat(F.lit("file:"), rid)) % max(1, -(-records // per_file))).cast("bigint")
+    return (hash48(F.concat(F.lit("file:"), rid)) % max(1, -(-records // (per_file or PER_FILE)))).cast("bigint")
 
 
 def tree(leaves: DataFrame, levels: int) -> list[DataFrame]:
@@ -141,7 +141,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     home = file_of(F.col("rid"), first.count())
     primary = durable(lay_out(first.withColumn("file", home)))
     copy = hashed_records(pages.filter(fate != 1), spoilt).union(hashed_records(pages.filter(fate == 3), suffix="+"))
-    replica = lay_out(copy.withColumn("file", file_of(F.rtrim(F.lit("+"), F.col("rid")), first.count())))
+    replica = lay_out(copy.withColumn("file", file_of(F.rtrim(F.col("rid"), F.lit("+")), first.count())))
     names = ["file", "offset", "rid", "digest"]
     found = audit(primary.select(names), replica.select(names)).select("rid", F.col("file").alias("_file"), "status", "replica_offset")
     out = primary.join(found, "rid", "full")

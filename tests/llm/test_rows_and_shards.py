@@ -223,3 +223,12 @@ def test_very_long_texts(spark):
         words[r["source"]] += len(r["text"].split())
     total = 2 * 240_000 + 300_000
     assert sum(words.values()) == total and abs(words["s"] - total / 3) <= 1
+
+
+def test_audit_over_many_files(spark, sf, monkeypatch):
+    """The query on files of five records equals its SQL on such files."""
+    monkeypatch.setattr(warc, "PER_FILE", 5)
+    same(spark, sf, warc.query, warc.ORACLE.replace("1000.0", "5.0"))
+    rows = warc.query(spark, sf).groupBy("status").count().collect()
+    counts = {r["status"]: r["count"] for r in rows}
+    assert counts["intact"] > 10 and counts.get("extra", 0) <= 2
