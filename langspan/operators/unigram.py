@@ -7,7 +7,7 @@ the current pieces (at most ``seed`` a language, hence broadcast).
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -77,6 +77,15 @@ def seeds(counts: DataFrame, size: int, longest: int) -> DataFrame:
     return letters.select("lang", "piece", "n").union(long.select("lang", "piece", F.col("_n").alias("n")))
 
 
+def pair_counts(docs: DataFrame, keys: Sequence[str] = ("lang",)) -> DataFrame:
+    """Counts of adjacent words as ``first▁second`` (a lone word: itself): what pieces that cross words are learnt from."""
+    told = docs.select(*keys, words(F.col("text")).alias("_w"))
+    after = F.slice("_w", F.lit(2), F.greatest(F.size("_w") - 1, F.lit(0)))
+    joined = F.filter(F.zip_with("_w", after, lambda a, b: F.concat(a, F.lit(MARK), b)), lambda p: p.isNotNull())
+    each = told.select(*keys, F.explode(F.when(F.size("_w") > 1, joined).otherwise(F.col("_w"))).alias("piece"))
+    return each.groupBy(*keys, "piece").agg(F.count(F.lit(1)).alias("n"))
+
+
 def _pass(counts: DataFrame, pieces: dict[str, dict[str, float]], longest: int, losses: bool) -> dict[str, dict[str, tuple[float, float]]]:
     """lang -> piece -> (expected count, likelihood lost without it); and under "" the log likelihood."""
     spark = counts.sparkSession
@@ -109,16 +118,17 @@ def _pass(counts: DataFrame, pieces: dict[str, dict[str, float]], longest: int,
     return out
 
 
-def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, longest: int = 8, shrink: float = 0.6, rounds: int = 2, min_count: int = 2, log: list | None = None) -> DataFrame:
+def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, longest: int = 8, shrink: float = 0.6, rounds: int = 2, min_count: int = 2, log: list | None = None, across: bool = False) -> DataFrame:
     """lang, local_id, piece, score: ``size`` ids for each language, 0 the unknown piece; by score, then piece.
 
     Words rarer than ``min_count`` are left out of training. ``log`` collects (lang, pieces, log likelihood) of each pass.
     A language with fewer seeds than ids keeps what it has. Letters are never pruned for longer pieces, but where they alone
-    are more than the ids, the rarest go (and read as unknown), so that training ends on any alphabet.
+    are more than the ids, the rarest go (and read as unknown), so that training ends on any alphabet. ``across``: pieces may
+    cross words, learnt from adjacent pairs of them.
     """
     spark = docs.sparkSession
     ship(spark)
-    counts = durable(word_counts(docs).filter(F.col("n") >= min_count))
+    counts = durable((pair_counts if across else word_counts)(docs).filter(F.col("n") >= min_count))
     pieces: dict[str, dict[str, float]] = {}
     for r in seeds(counts, seed_size, longest).collect():
         pieces.setdefault(r["lang"], {})[r["piece"]] = float(r["n"])
@@ -236,3 +246,50 @@ def decode_mixed(texts: DataFrame, tokenizers: DataFrame, key: str, offsets: dic
 
     told = texts.select(F.col(key).alias("key"), words(F.col(text_col)).alias("w"))
     return told.mapInArrow(run, f"key {dict(told.dtypes)['key']}, token_ids array<int>").withColumnRenamed("key", key)
+
+
+def straddles(ends: Sequence[int], pieces: Sequence[str]) -> int:
+    """How many of the places ``ends`` (letters from the start) lie inside a piece; an unknown piece is one letter."""
+    starts, at = {0}, 0
+    for p in pieces:
+        at += 1 if p == UNK else len(p)
+        starts.add(at)
+    return sum(e not in starts for e in ends)
+
+
+def encode_switched(samples: DataFrame, tokenizers: DataFrame, pooled: str | None = None) -> DataFrame:
+    """sample_id, n_tokens, n_switches, n_straddled of samples (sample_id, segments: slot, lang, text) as subwords.
+
+    Without ``pooled`` every segment goes by its own language's tokenizer; with it the whole sample goes by the tokenizer of
+    that name. A switch is straddled where one piece holds letters of both sides. Segments without words are passed over;
+    null segments give zeros.
+    """
+    spark = samples.sparkSession
+    ship(spark)
+    models: dict[str, dict[str, float]] = {}
+    for r in tokenizers.filter(F.col("piece") != UNK).collect():
+        models.setdefault(r["lang"], {})[r["piece"]] = r["score"]
+    shared = spark.sparkContext.broadcast({lang: (have, max(map(len, have), default=1)) for lang, have in models.items()})
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        none: tuple[dict[str, float], int] = ({}, 1)
+        for b in batches:
+            told = []
+            for segments in b.column("segments").to_pylist():
+                parts = [(s["lang"], "".join(MARK + w for w in s["w"])) for s in segments or [] if s["w"]]
+                ends, at = [], 0
+                for (lang, text), (after, _) in zip(parts, parts[1:]):
+                    at += len(text)
+                    if lang != after:
+                        ends.append(at)
+                if pooled is None:
+                    pieces = [p for lang, text in parts for p in viterbi(text, *shared.value.get(lang, none))[1]]
+                else:
+                    pieces = viterbi("".join(text for _, text in parts), *shared.value.get(pooled, none))[1]
+                told.append((len(pieces), len(ends), straddles(ends, pieces)))
+            columns = [pa.array([t[c] for t in told], pa.int64()) for c in range(3)]
+            yield pa.RecordBatch.from_arrays([b.column("sample_id"), *columns], ["sample_id", "n_tokens", "n_switches", "n_straddled"])
+
+    ordered = F.transform(F.sort_array("segments"), lambda s: F.struct(s["lang"].alias("lang"), words(s["text"]).alias("w")))
+    kind = dict(samples.dtypes)["sample_id"]
+    return samples.select("sample_id", ordered.alias("segments")).mapInArrow(run, f"sample_id {kind}, n_tokens bigint, n_switches bigint, n_straddled bigint")

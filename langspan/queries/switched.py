@@ -6,16 +6,16 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from langspan.functions import text as T
-from langspan.operators import lid, metrics, vocab
+from langspan.operators import lid, metrics, unigram, vocab
 from langspan.queries.base import BEST_SQL, OFFSET_SQL, VOCAB, VOCAB_SQL, tokenizers
-from langspan.queries.waves import PLAN, SWEEP, _planned, _pool, planned
+from langspan.queries.waves import PLAN, SWEEP, TEST, TRAIN, _planned, _pool, planned
 from langspan.session import durable
 
 
-def _segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _segments(spark: SparkSession, sf_dir: str, split: str = "train", share: float = SWEEP) -> DataFrame:
     """sample_id, slot, lang, text of generated samples."""
-    drawn = planned(spark, sf_dir, SWEEP).select("sample_id", "slot", "lang", F.col("utt_id").alias("_utt"))
-    texts = _pool(spark, sf_dir).dropDuplicates(["utt_id"]).select("utt_id", "text")
+    drawn = planned(spark, sf_dir, share, split).select("sample_id", "slot", "lang", F.col("utt_id").alias("_utt"))
+    texts = _pool(spark, sf_dir, split).dropDuplicates(["utt_id"]).select("utt_id", "text")
     return drawn.join(texts, F.col("_utt") == F.col("utt_id")).select("sample_id", "slot", "lang", "text")
 
 
@@ -53,7 +53,35 @@ def switched_boundaries(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.boundary_f1(lid.runs(words, F.col("guess"), "sample_id"), lid.runs(words, F.col("lang"), "sample_id"), "sample_id")
 
 
-QUERIES = {f.__name__: f for f in (encode_switched, token_lid_switched, switched_boundaries)}
+def straddling_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """tokenizer, n_pieces, n_across, n_tokens, n_switches, n_straddled of held-out generated samples.
+
+    ``agg_switched``: one tokenizer over generated samples, its pieces free to cross words; ``agg_apart``: the same over the same
+    segments, each by itself, so that no pair of words crosses a switch; ``con``: a tokenizer for each language, every
+    segment by its own. ``n_across`` pieces hold letters of two words; ``n_straddled`` switches lie inside a piece. No SQL
+    twin: trained by iteration.
+    """
+    segments = durable(_segments(spark, sf_dir, share=TRAIN))
+    held = F.sort_array(F.collect_list(F.struct("slot", "lang", "text"))).alias("segments")
+    tests = durable(_segments(spark, sf_dir, "test", TEST).groupBy("sample_id").agg(held))
+    whole = segments.groupBy("sample_id").agg(held).select(F.array_join(F.transform("segments", lambda s: s["text"]), " ").alias("text"))
+    both = {"size": 2 * vocab.BLOCK, "seed_size": 4000, "across": True}
+    all_of = F.lit("all").alias("lang")
+    trained = {
+        "agg_switched": (unigram.train_unigram(whole.select(all_of, "text"), **both), "all"),
+        "agg_apart": (unigram.train_unigram(segments.select(all_of, "text"), **both), "all"),
+        "con": (unigram.train_unigram(segments), None),
+    }
+    out = None
+    for name, (pieces, pooled) in trained.items():
+        told = unigram.encode_switched(tests, pieces, pooled).agg(*(F.coalesce(F.sum(c), F.lit(0)).cast("bigint").alias(c) for c in ("n_tokens", "n_switches", "n_straddled")))
+        size = pieces.agg(F.count(F.lit(1)).alias("n_pieces"), F.count(F.when(F.instr("piece", unigram.MARK) > 1, 1).when(F.col("piece").rlike(f"{unigram.MARK}.+{unigram.MARK}"), 1)).alias("n_across"))
+        one = size.crossJoin(told).select(F.lit(name).alias("tokenizer"), "*")
+        out = one if out is None else out.union(one)
+    return out
+
+
+QUERIES = {f.__name__: f for f in (encode_switched, token_lid_switched, switched_boundaries, straddling_pieces)}
 
 _WORDS = f"""{_planned(PLAN, SWEEP)},
 sw AS (SELECT p.sample_id, p.slot, p.lang AS truth, {T.WORDS_SQL.format('u.text')} AS ws FROM plan p JOIN pool u ON u.utt_id = p.utt_id),

@@ -166,3 +166,24 @@ def test_studies_use_the_tokenizers_of_the_vocabulary(spark, sf, monkeypatch):
     for query in (studies.unigram_vocab, studies.unigram_encode, studies.decode_mixed_lid):
         query(spark, sf)
     assert asked == [((), {})] * 3  # the production parameters: 1,024 pieces, 3,000 seeds, two rounds
+
+
+def test_pieces_across_switches(spark):
+    """Pieces of a tokenizer over switched text may straddle switches, those of tokenizers by segment never do."""
+    assert unigram.straddles([3, 5], ["▁ab", "▁c▁d"]) == 1 and unigram.straddles([1], ["<unk>", "b"]) == 0
+    assert unigram.straddles([], []) == 0
+    kind = "sample_id long, segments array<struct<slot int, lang string, text string>>"
+    rows = [(k, [(1, "es", "la casa"), (0, "en", "red one")]) for k in range(30)] + [(98, []), (99, None), (97, [(0, "en", "red"), (1, "es", None), (2, "en", "one")])]
+    samples = spark.createDataFrame(rows, kind)
+    whole = samples.filter("sample_id < 30").select(F.lit("all").alias("lang"), F.lit("red one la casa").alias("text"))
+    pairs = {r["piece"]: r["n"] for r in unigram.pair_counts(whole.union(spark.createDataFrame([("all", "one"), ("all", ""), ("all", None)], "lang string, text string"))).collect()}
+    assert pairs == {"red▁one": 30, "one▁la": 30, "la▁casa": 30, "one": 1}
+    pooled = unigram.train_unigram(whole, size=40, seed_size=60, across=True)
+    assert any("▁" in r["piece"][1:] for r in pooled.collect())
+    own = unigram.train_unigram(samples.select(F.explode("segments").alias("s")).select("s.lang", "s.text"), size=40, seed_size=60)
+    assert not any("▁" in r["piece"][1:] for r in own.collect())
+    by = {r["sample_id"]: r for r in unigram.encode_switched(samples, own).collect()}
+    assert all(by[k]["n_straddled"] == 0 and by[k]["n_switches"] == 1 for k in range(30))
+    assert [tuple(by[k])[1:] for k in (98, 99)] == [(0, 0, 0)] * 2 and by[97]["n_switches"] == 0
+    forced = spark.createDataFrame([("all", 0, "<unk>", 0.0), ("all", 1, "e▁l", -0.1), ("all", 2, "<x>", -9.0)], "lang string, local_id int, piece string, score double")
+    assert {r["n_straddled"] for r in unigram.encode_switched(samples.filter("sample_id < 30"), forced, "all").collect()} == {1}
