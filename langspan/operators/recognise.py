@@ -2,8 +2,8 @@
 
 Words are heard with letters changed by a seeded hash. A model looks each heard word up in its lexicons (the word itself,
 or words at most one edit away, by symmetric deletes), and picks the cheapest path of words and languages. Models differ
-only in their lexicons and in what a switch of language costs: one lexicon (monolingual), two and no switching (bilingual
-without switched data), two and a switch cost fitted on generated samples (switched). Figures from it compare orderings,
+only in their lexicons and in what a switch of language costs: one lexicon (monolingual), two and a cost fitted on texts of
+one language each (bilingual without switched data), two and a cost fitted on generated samples (switched). Figures from it compare orderings,
 never values, with published ones.
 """
 
@@ -22,6 +22,7 @@ from langspan.functions.text import words
 from langspan.operators.vocab import ranked, word_counts
 from langspan.shipping import ship
 
+#: ``NEVER`` is for models of one language, which have nothing to switch to.
 UNKNOWN, EDIT, NEVER = -16.0, 5.0, 1e9
 
 
@@ -148,27 +149,30 @@ def recognise(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[tup
     return told.mapInArrow(run, f"model string, tokenizer string, key {dict(told.dtypes)['key']}, ref string, hyp string, langs array<string>").withColumnRenamed("key", key)
 
 
-#: Where fitting starts: switch probabilities of an untrained model, a model of one language, and one of two.
-STARTS = {"scratch": 0.5, "mono": 1e-4, "ml": 0.05}
+def fit_switch(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tuple[str, ...], key: str, start: float | None = None, tolerance: float = 0.01, most: int = 30) -> tuple[float, int]:
+    """Switch probability between words by hard expectation-maximisation, and the rounds until it moved by less than
+    ``tolerance`` of itself. ``start`` is that of a fitted model; without it every language is as likely as any other.
 
-
-def fit_switch(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tuple[str, ...], key: str, init: str = "ml", tolerance: float = 1e-3, most: int = 20) -> tuple[float, int]:
-    """Switch probability between words of generated samples by hard expectation-maximisation, and the rounds it took."""
-    p = STARTS[init]
+    Half a switch is added to what is counted, so that texts without switches give a small probability and not zero.
+    """
+    p = start or 1 - 1 / max(2, len(langs))
     for k in range(1, most + 1):
-        model = Recogniser("cs", "con", langs, -math.log(p / (1 - p)))
-        path = recognise(samples, [model], rows, key)
+        path = recognise(samples, [Recogniser("fit", "con", langs, cost_of(p))], rows, key)
         pairs = F.when(F.size("langs") > 1, F.size("langs") - 1).otherwise(0)
         moved = F.size(F.filter(F.sequence(F.lit(1), F.greatest(pairs, F.lit(1))), lambda i: (i <= pairs) & (F.get("langs", i) != F.get("langs", i - 1))))
         r = path.agg(F.sum(moved).alias("s"), F.sum(pairs).alias("n")).first()
-        fresh = ((r["s"] or 0) + 0.5) / ((r["n"] or 0) + 1)
-        fresh = min(0.5, max(1e-4, fresh))
-        if abs(fresh - p) < tolerance:
+        fresh = min(0.5, ((r["s"] or 0) + 0.5) / ((r["n"] or 0) + 1))
+        if abs(math.log(fresh / p)) < tolerance:
             return fresh, k
         p = fresh
     return p, most
 
 
+def cost_of(p: float) -> float:
+    """Cost of a switch that has probability ``p``, against staying."""
+    return -math.log(p / (1 - p))
+
+
 def lexicon_paths(arcs: DataFrame, key: str, langs: Sequence[str], switch_cost: float) -> DataFrame:
     """key, cost: the shortest path over explicit arcs (key, pos, lang, cost), one language at each position; a switch adds
     ``switch_cost``. A fold over the positions inside the row."""

@@ -6,14 +6,12 @@ Result rows are tidy: experiment, model, tokenizer, eval_set, n, errors, ref_wor
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import metrics
-from langspan.operators.recognise import NEVER, Recogniser, fit_switch, lexicon_rows, recognise
+from langspan.operators.recognise import NEVER, Recogniser, cost_of, fit_switch, lexicon_rows, recognise
 from langspan.plans import synth
 from langspan.session import durable
 from langspan.sources.tables import read
@@ -24,26 +22,51 @@ LEXICON, NOISE = 5_000, 0.05
 FIT, TEST = 0.025, 0.4
 
 
-def models_for(pair: tuple[str, str], switch: float) -> list[Recogniser]:
-    """Two monolingual models; bilingual and switched ones with the pooled and the partitioned vocabulary."""
-    cost = -math.log(switch / (1 - switch))
+def models_for(pair: tuple[str, str], apart: float, switched: float) -> list[Recogniser]:
+    """Two monolingual models; bilingual and switched ones with the pooled and the partitioned vocabulary, by the switch
+    probabilities fitted on texts of one language each and on generated samples. ``ml_never`` may not switch, by definition."""
     mono = [Recogniser(f"mono_{lang}", "mono", (lang,)) for lang in pair]
-    return mono + [Recogniser(name, tok, pair, c) for name, c in (("ml", NEVER), ("cs", cost)) for tok in ("agg", "con")]
+    return mono + [Recogniser(name, tok, pair, cost_of(p)) for name, p in (("ml", apart), ("cs", switched)) for tok in ("agg", "con")] + [Recogniser("ml_never", "con", pair, NEVER)]
 
 
 def _pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     return T.utterances(read(spark, sf_dir, "documents"))
 
 
-def switched_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
-    """sample_id, text, n_langs of generated samples; text alone, no signals."""
+def drawn_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
+    """sample_id, slot, lang, text of generated samples; text alone, no signals."""
     cfg = synth.SynthConfig(weights=tuple((lang, 0.5) for lang in pair), seed=seed)
     lengths = durable(pool.select("lang", "utt_id", "n_samples"))
     planned = synth.plan(lengths, cfg, synth.count_for_share(lengths, cfg, share))
     texts = pool.dropDuplicates(["utt_id"]).select(F.col("utt_id").alias("_u"), "text")
-    joined = planned.join(texts, F.col("utt_id") == F.col("_u"))
+    return durable(planned.join(texts, F.col("utt_id") == F.col("_u")).select("sample_id", "slot", "lang", "text"))
+
+
+def joined(drawn: DataFrame) -> DataFrame:
+    """sample_id, text, n_langs: the samples as a whole."""
     parts = F.sort_array(F.collect_list(F.struct("slot", "text")))
-    return durable(joined.groupBy("sample_id").agg(F.array_join(F.transform(parts, lambda p: p["text"]), " ").alias("text"), F.countDistinct("lang").alias("n_langs")))
+    return drawn.groupBy("sample_id").agg(F.array_join(F.transform(parts, lambda p: p["text"]), " ").alias("text"), F.countDistinct("lang").alias("n_langs"))
+
+
+def switched_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
+    return durable(joined(drawn_texts(pool, pair, share, seed)))
+
+
+def fitted_starts(drawn: DataFrame, lexicon: list[tuple[str, str, int]], pair: tuple[str, str]) -> dict[str, float | None]:
+    """Switch probabilities that fitting may start from: none, of a model fitted on either language's segments of the samples,
+    and of one fitted on the segments of both. No segment holds a switch."""
+    apart = drawn.select(F.concat_ws(":", "sample_id", "slot").alias("id"), "lang", "text")
+    starts: dict[str, float | None] = {"scratch": None}
+    for lang in pair:
+        starts[f"mono:{lang}"] = fit_switch(apart.filter(F.col("lang") == lang), lexicon, (lang,), "id")[0]
+    return starts | {"ml": fit_switch(apart, lexicon, pair, "id")[0]}
+
+
+def fitted_models(pool: DataFrame, lexicon: list[tuple[str, str, int]], pair: tuple[str, str]) -> list[Recogniser]:
+    """``models_for`` a pair: the bilingual one fitted on segments, the switched one from there on the samples."""
+    drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
+    apart, _ = fit_switch(drawn.select(F.concat_ws(":", "sample_id", "slot").alias("id"), "text"), lexicon, pair, "id")
+    return models_for(pair, apart, fit_switch(durable(joined(drawn)), lexicon, pair, "sample_id", apart)[0])
 
 
 def _rates(heard: DataFrame, experiment: str, eval_set: F.Column) -> DataFrame:
@@ -58,8 +81,7 @@ def wer_monolingual(spark: SparkSession, sf_dir: str) -> DataFrame:
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
         test = pool.filter((F.col("split") == "test") & F.col("lang").isin(*pair)).dropDuplicates(["text"])
-        fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
-        heard = recognise(test, models_for(pair, fitted), rows, "utt_id", noise=NOISE)
+        heard = recognise(test, fitted_models(pool, rows, pair), rows, "utt_id", noise=NOISE)
         truth = test.select(F.col("utt_id").alias("_u"), "lang")
         one = _rates(heard.join(truth, F.col("utt_id") == F.col("_u")), "-".join(pair), F.col("lang"))
         out = one if out is None else out.union(one)
@@ -72,7 +94,6 @@ def wer_switched(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
-        fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
         blocks = T.page_blocks(read(spark, sf_dir, "pages")).filter(F.length("text") > 0)
         pages = blocks.groupBy("page_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("block", "text"))), lambda b: b["text"]), " ").alias("text"), F.first("page_lang").alias("page_lang"))
         pages = pages.filter(F.col("page_lang").isin(*pair))
@@ -80,23 +101,31 @@ def wer_switched(spark: SparkSession, sf_dir: str) -> DataFrame:
         sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).select(F.lit("generated").alias("set"), F.col("sample_id").alias("key"), "text")
         sets = sets.union(pages.select(F.lit("pages"), "page_id", "text")).union(talk.select(F.lit("conversations"), "key", "text"))
         sets = sets.withColumn("id", F.concat_ws(":", "set", F.col("key").cast("string")))
-        heard = recognise(sets.select("id", "text"), models_for(pair, fitted), rows, "id", noise=NOISE)
+        heard = recognise(sets.select("id", "text"), fitted_models(pool, rows, pair), rows, "id", noise=NOISE)
         one = _rates(heard, "-".join(pair), F.substring_index("id", ":", 1))
         out = one if out is None else out.union(one)
     return out
 
 
 def init_study(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """experiment, init, switch, rounds: fitting the switch probability from scratch, from one language, from two."""
-    pool = _pool(spark, sf_dir).filter("split = 'train'")
-    rows = []
+    """experiment, init, start, switch, rounds, errors, ref_words, wer: switched models fitted from no model, from one of either
+    language and from one of both, which were themselves fitted before; rates are over held-out generated samples."""
+    pool = _pool(spark, sf_dir)
+    out = None
     for pair in PAIRS:
-        lexicon = lexicon_rows(pool.filter(F.col("lang").isin(*pair)), LEXICON)
-        samples = switched_texts(pool, pair, FIT, 7)
-        for init in ("scratch", "mono", "ml"):
-            p, rounds = fit_switch(samples, lexicon, pair, "sample_id", init)
-            rows.append(("-".join(pair), init, round(p, 6), rounds))
-    return spark.createDataFrame(rows, "experiment string, init string, switch double, rounds int")
+        lexicon = lexicon_rows(pool.filter("split = 'train'").filter(F.col("lang").isin(*pair)), LEXICON)
+        drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
+        samples, rows, models = durable(joined(drawn)), [], []
+        for init, start in fitted_starts(drawn, lexicon, pair).items():
+            p, rounds = fit_switch(samples, lexicon, pair, "sample_id", start)
+            rows.append(("-".join(pair), init, None if start is None else round(start, 9), round(p, 6), rounds))
+            models.append(Recogniser(init, "con", pair, cost_of(p)))
+        held = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11)
+        rated = metrics.wer(recognise(held, models, lexicon, "sample_id", noise=NOISE), ["model"]).withColumnRenamed("model", "_model")
+        told = spark.createDataFrame(rows, "experiment string, init string, start double, switch double, rounds int")
+        one = told.join(F.broadcast(rated), F.col("init") == F.col("_model")).select(*told.columns, "errors", "ref_words", "wer")
+        out = one if out is None else out.union(one)
+    return out
 
 
 def ratio_study(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -121,6 +150,5 @@ def stickiness(spark: SparkSession, sf_dir: str) -> DataFrame:
     pair = PAIRS[0]
     rows = lexicon_rows(pool.filter("split = 'train'").filter(F.col("lang").isin(*pair)), LEXICON)
     mixed = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).filter("n_langs > 1")
-    fitted, _ = fit_switch(switched_texts(pool.filter("split = 'train'"), pair, FIT, 7), rows, pair, "sample_id")
-    heard = recognise(mixed, models_for(pair, fitted), rows, "sample_id", noise=NOISE)
+    heard = recognise(mixed, fitted_models(pool, rows, pair), rows, "sample_id", noise=NOISE)
     return heard.groupBy("model", "tokenizer").agg(F.count(F.lit(1)).alias("n"), F.sum((F.size(F.array_distinct("langs")) <= 1).cast("int")).alias("n_single"))

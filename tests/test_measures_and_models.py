@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
+from langspan.plans import experiments
 from langspan.queries import measures, studies
 
 
@@ -187,3 +188,17 @@ def test_pieces_across_switches(spark):
     assert [tuple(by[k])[1:] for k in (98, 99)] == [(0, 0, 0)] * 2 and by[97]["n_switches"] == 0
     forced = spark.createDataFrame([("all", 0, "<unk>", 0.0), ("all", 1, "e▁l", -0.1), ("all", 2, "<x>", -9.0)], "lang string, local_id int, piece string, score double")
     assert {r["n_straddled"] for r in unigram.encode_switched(samples.filter("sample_id < 30"), forced, "all").collect()} == {1}
+
+
+def test_switch_probabilities_are_fitted(spark):
+    """Starts come from fitting texts without switches; from each of them fitting ends at the same place."""
+    lexicon = [("a", w, 9) for w in ("red", "green", "blue")] + [("b", w, 9) for w in ("uno", "dos", "tres")]
+    drawn = spark.createDataFrame([(k, j, "ab"[j % 2], text) for k in range(20) for j, text in enumerate(("red green blue red", "uno dos tres", "green green"))], "sample_id long, slot int, lang string, text string")
+    starts = experiments.fitted_starts(drawn, lexicon, ("a", "b"))
+    assert starts["scratch"] is None and set(starts) == {"scratch", "mono:a", "mono:b", "ml"}
+    assert starts["mono:a"] == pytest.approx(0.5 / (20 * 4 + 1)) and starts["mono:b"] == pytest.approx(0.5 / (20 * 2 + 1))
+    assert starts["ml"] == pytest.approx(0.5 / (20 * 6 + 1))
+    samples = experiments.joined(drawn)
+    ends = {name: recognise.fit_switch(samples, lexicon, ("a", "b"), "sample_id", start) for name, start in starts.items()}
+    assert all(p == pytest.approx(40.5 / (20 * 8 + 1)) for p, _ in ends.values())
+    assert samples.first()["n_langs"] == 2 and all(r["text"] == "red green blue red uno dos tres green green" for r in samples.collect())
