@@ -29,6 +29,16 @@ def words(text: Column) -> Column:
 WORDS_SQL = f"list_filter(string_split_regex(lower({{0}}), '{NOT_LETTERS}'), lambda w: w <> '')"
 
 
+#: The letters of ``words`` beyond a-z, and as many signs that no word holds.
+_ACCENTED = "".join(chr(c) for c in range(0xDF, 0x100) if c != 0xF7)
+_SIGNS = "".join(chr(c) for c in range(ord("A"), ord("Z") + 1)) + "0123456789"
+
+
+def one_byte_sql(text: str) -> str:
+    """Normalised text with one byte a letter, as DuckDB's edit distance counts bytes."""
+    return f"translate({text}, '{_ACCENTED}', '{_SIGNS[: len(_ACCENTED)]}')"
+
+
 def normalise(text: Column) -> Column:
     return F.array_join(words(text), " ")
 

@@ -169,10 +169,10 @@ def fertility(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def near_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Frequent English and Spanish words one edit apart, by equi-join on their deletes: word, cand, dist."""
-    short = vocab.train_word(docs(spark, sf_dir), 301).filter(F.col("piece").rlike("^[a-z]+$"))
+    """English and Spanish words of the vocabulary at most one edit apart, by equi-join on their deletes: word, cand, dist."""
+    known = tokenizers(spark, sf_dir)
     cuts = F.concat(F.array("piece"), F.transform(F.sequence(F.lit(1), F.length("piece")), lambda i: F.concat(F.substr("piece", F.lit(1), i - 1), F.substr("piece", i + 1, F.length("piece")))))
-    keyed = short.select("lang", "piece", F.explode(F.array_distinct(cuts)).alias("cut"))
+    keyed = known.select("lang", "piece", F.explode(F.array_distinct(cuts)).alias("cut"))
     a, b = keyed.filter("lang = 'en'").select("cut", F.col("piece").alias("word")), keyed.filter("lang = 'es'").select("cut", F.col("piece").alias("cand"))
     return a.join(b, "cut").select("word", "cand").distinct().withColumn("dist", F.levenshtein("word", "cand").cast("bigint")).filter("dist <= 1")
 
@@ -237,5 +237,7 @@ SELECT page_id, lang AS pred FROM (SELECT *, row_number() OVER (PARTITION BY pag
 k AS (SELECT lang, piece FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY n DESC, piece) AS k FROM wc) WHERE k <= 1023), t AS (SELECT lang, unnest({T.WORDS_SQL.format('text')}) AS piece FROM utt WHERE split = 'test')
 SELECT t.lang, count(*) AS n_tokens, count(*) FILTER (k.piece IS NULL) AS n_oov FROM t LEFT JOIN k ON k.lang = t.lang AND k.piece = t.piece GROUP BY t.lang""",
     "fertility": f"WITH {TOKENS_SQL} SELECT lang, count(*) AS n_tokens, count(*) FILTER (token_id = {OFFSET_SQL.format('lang')}) AS n_unk, round(count(*) FILTER (token_id = {OFFSET_SQL.format('lang')}) / count(*), 6) AS unk_rate FROM tok GROUP BY lang",
-    "near_words": f"WITH {VOCAB_SQL}, s AS (SELECT lang, piece FROM vocab WHERE local_id <= 300 AND regexp_full_match(piece, '[a-z]+')) SELECT a.piece AS word, b.piece AS cand, levenshtein(a.piece, b.piece) AS dist FROM s a, s b WHERE a.lang = 'en' AND b.lang = 'es' AND levenshtein(a.piece, b.piece) <= 1",
+    "near_words": f"""WITH {VOCAB_SQL}, s AS (SELECT lang, piece, {T.one_byte_sql('piece')} AS b FROM vocab),
+d AS (SELECT x.piece AS word, y.piece AS cand, levenshtein(x.b, y.b) AS dist FROM s x, s y WHERE x.lang = 'en' AND y.lang = 'es')
+SELECT word, cand, dist FROM d WHERE dist <= 1""",
 }

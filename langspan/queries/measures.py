@@ -13,9 +13,6 @@ from langspan.queries.waves import PLAN, SWEEP, _planned, planned as planned_slo
 from langspan.sources.tables import read
 from langspan.streaming import online
 
-#: Utterances of the queries that DuckDB can follow; ``wer_words_all``, ``cer_all`` and ``edit_ops`` take every one.
-SHORT = 150
-
 
 def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Utterances and a spoilt copy: every tenth word gone, every tenth replaced."""
@@ -25,27 +22,12 @@ def _pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pool.select("utt_id", "lang", F.col("text").alias("ref"), F.array_join(F.filter(heard, lambda w: w != ""), " ").alias("hyp"))
 
 
-def _short_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _pairs(spark, sf_dir).filter(F.length("ref") <= SHORT)
-
-
 def wer_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Of utterances of at most SHORT characters alone, like its SQL; ``wer_words_all`` takes every one."""
-    return metrics.wer(_short_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
-
-
-def wer_words_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """grp, errors, ref_words, wer over every utterance."""
     return metrics.wer(_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
 
 
 def cer(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Of utterances of at most SHORT characters, all a-z, alone, like its SQL; ``cer_all`` takes every one."""
-    plain = _short_pairs(spark, sf_dir).filter(F.col("ref").rlike("^[a-z ]+$"))
-    return metrics.cer(plain, ["lang"]).withColumnRenamed("lang", "grp")
-
-
-def cer_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """grp, errors, ref_chars, cer over every utterance, by code points."""
     return metrics.cer(_pairs(spark, sf_dir), ["lang"]).withColumnRenamed("lang", "grp")
 
@@ -152,10 +134,10 @@ def event_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return online.windowed_languages(_event_tokens(spark, sf_dir), "1 day", "6 hours").select(_stamp("window_start").alias("window_start"), "lang", "n")
 
 
-QUERIES = {f.__name__: f for f in (wer_words, wer_words_all, cer, cer_all, edit_ops, top5_avg, asof_segment, order_tokens, order_lid, order_spans, region_switch_matrix, event_token_lid, event_sessions, event_windows, event_sliding)}
+QUERIES = {f.__name__: f for f in (wer_words, cer, edit_ops, top5_avg, asof_segment, order_tokens, order_lid, order_spans, region_switch_matrix, event_token_lid, event_sessions, event_windows, event_sliding)}
 
 _FATE = T.hash48_sql("utt_id::varchar || ':' || (i - 1)::varchar")
-_PAIRS = f"""p AS (SELECT utt_id, lang, text AS ref, {T.WORDS_SQL.format('text')} AS w FROM utt WHERE length(text) <= {SHORT}),
+_PAIRS = f"""p AS (SELECT utt_id, lang, text AS ref, {T.WORDS_SQL.format('text')} AS w FROM utt),
 q AS (SELECT utt_id, lang, ref, w, list_filter(list_transform(w, lambda x, i: CASE WHEN {_FATE} % 10 = 0 THEN '' WHEN {_FATE} % 10 = 1 THEN 'zz' ELSE x END), lambda x: x <> '') AS h FROM p)"""
 _LETTERS = "array_to_string(list_transform({0}, lambda x: chr((33 + list_position(k, x))::int)), '')"
 _REGIONS = """s AS (SELECT s_suppkey, r_name, row_number() OVER (ORDER BY r_name, s_suppkey) - 1 AS token_id FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey),
@@ -169,7 +151,9 @@ ev AS (SELECT event_id, ts, user_id, event_type AS lang, o + (props::json->>'k')
 
 ORACLES = {
     "wer_words": f"WITH {T.UTTERANCES_SQL}, {_PAIRS}, k AS (SELECT *, list_sort(list_distinct(list_concat(w, h))) AS k FROM q), e AS (SELECT lang, levenshtein({_LETTERS.format('w')}, {_LETTERS.format('h')}) AS e, len(w) AS n FROM k) SELECT lang AS grp, sum(e)::bigint AS errors, sum(n)::bigint AS ref_words, round(100 * sum(e) / sum(n), 6) AS wer FROM e GROUP BY lang",
-    "cer": f"WITH {T.UTTERANCES_SQL}, {_PAIRS}, e AS (SELECT lang, levenshtein(ref, coalesce(array_to_string(h, ' '), '')) AS e, length(ref) AS n FROM q WHERE regexp_full_match(ref, '[a-z ]+')) SELECT lang AS grp, sum(e)::bigint AS errors, sum(n)::bigint AS ref_chars, round(100 * sum(e) / sum(n), 6) AS cer FROM e GROUP BY lang",
+    "cer": f"""WITH {T.UTTERANCES_SQL}, {_PAIRS},
+e AS (SELECT lang, levenshtein({T.one_byte_sql('ref')}, {T.one_byte_sql("coalesce(array_to_string(h, ' '), '')")}) AS e, length(ref) AS n FROM q)
+SELECT lang AS grp, sum(e)::bigint AS errors, sum(n)::bigint AS ref_chars, round(100 * sum(e) / sum(n), 6) AS cer FROM e GROUP BY lang""",
     "top5_avg": f"""WITH g AS (SELECT id % 3 AS e, (id // 3) % 3 AS run, id // 9 AS c FROM range(72) t(id)), r AS (SELECT 'x' || e::varchar AS experiment, run, c, ({T.hash48_sql("e::varchar || ':' || run::varchar || ':' || c::varchar")} % 1000) / 10.0 AS wer FROM g),
 b AS (SELECT *, row_number() OVER (PARTITION BY experiment, run ORDER BY wer, c) AS k FROM r), a AS (SELECT experiment, run, avg(wer) AS wer FROM b WHERE k <= 5 GROUP BY experiment, run) SELECT experiment, round(avg(wer), 6) AS wer FROM a GROUP BY experiment""",
     "asof_segment": f"{_planned(PLAN, SWEEP)}, tm AS (SELECT sample_id, unnest(range(0, total + 1, 500))::bigint AS t FROM (SELECT DISTINCT sample_id, total FROM plan)) SELECT tm.sample_id, tm.t, coalesce(p.slot, -1)::bigint AS slot FROM tm ASOF LEFT JOIN plan p ON p.sample_id = tm.sample_id AND p.start <= tm.t",
