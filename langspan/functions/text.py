@@ -59,9 +59,13 @@ seg AS (SELECT * FROM (SELECT doc_id, lang, source, i AS pos, trim(s[i + 1]) AS
 
 
 def cleaned(segs: DataFrame) -> DataFrame:
-    """Basic cleaning: letters only, words joined by blanks; sentences under three fifths letters go (junk, tables, numbers)."""
-    text = normalise(F.col("raw"))
-    return segs.withColumn("text", text).filter((F.col("text") != "") & (F.length("text") >= 0.6 * F.length("raw")))
+    """Basic cleaning: letters only, words joined by blanks; sentences under three fifths letters go (junk, tables, numbers).
+
+    The text comes from a generator of one row, below which no filter moves: moved, it would clean each sentence once more
+    for every place that names it.
+    """
+    text = F.explode(F.array(normalise(F.col("raw"))))
+    return segs.select("*", text.alias("text")).filter((F.col("text") != "") & (F.length("text") >= 0.6 * F.length("raw")))
 
 
 def split_of(text: Column) -> Column:

@@ -14,6 +14,8 @@ UNK = "<unk>"
 BLOCK = 1024
 #: Word counts are ranked in so many parts before the parts' heads are ranked together.
 RANK_PARTS = 64
+#: Vocabularies of so many ids become constants of a plan; each language's pieces are spread over so many small maps.
+MOST_IDS, BOOK_SLOTS = 1 << 16, BLOCK
 
 
 @dataclass(frozen=True)
@@ -154,24 +156,80 @@ def tokens_long(texts: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key:
     return joined.select(key, "pos", (F.coalesce("local_id", F.lit(0)) + vocab.offset_of(F.col("lang"))).cast("int").alias("token_id"), "lang")
 
 
-def encode(texts: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key: str, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
-    """key, lang, token_ids: one row for each text with at least one word."""
-    long = tokens_long(texts, tokenizers, vocab, key, lang_col, text_col)
-    return long.groupBy(key, "lang").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "token_id"))), lambda t: t["token_id"]).alias("token_ids"))
+def _quoted(text: str) -> str:
+    return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def encode_segments(samples: DataFrame, tokenizers: DataFrame, vocab: RangeVocab) -> DataFrame:
-    """sample_id, token_ids of switched samples (segments: slot, lang, text): each segment by its own tokenizer, in order;
-    no token crosses a switch."""
-    parts = samples.select("sample_id", F.explode("segments").alias("s")).select("sample_id", "s.slot", "s.lang", F.posexplode(words(F.col("s.text"))).alias("pos", "piece"))
-    known = tokenizers.select(F.col("lang").alias("_lang"), F.col("piece").alias("_piece"), "local_id")
-    joined = parts.join(F.broadcast(known), (F.col("lang") == F.col("_lang")) & (F.col("piece") == F.col("_piece")), "left")
-    joined = joined.withColumn("token_id", (F.coalesce("local_id", F.lit(0)) + vocab.offset_of(F.col("lang"))).cast("int"))
-    return joined.groupBy("sample_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("slot", "pos", "token_id"))), lambda t: t["token_id"]).alias("token_ids"))
+def _checked(vocab: RangeVocab) -> None:
+    if vocab.total > MOST_IDS:
+        raise ValueError(f"{vocab.total} ids are more than the {MOST_IDS} of a constant: use tokens_long and decode_long, which join")
+
+
+def _books(tokenizers: DataFrame, vocab: RangeVocab) -> dict[str, Column]:
+    """For each language a constant array of small maps (piece to token id), a piece's map chosen by its hash.
+
+    Spark reads a map from front to back, so one map of a thousand pieces would cost hundreds of comparisons a word. The
+    vocabulary is collected; its ranges bound it.
+    """
+    _checked(vocab)
+    rows = tokenizers.filter(F.col("lang").isin(*vocab.langs)).groupBy("lang", "piece").agg(F.min("local_id").alias("id")).withColumn("slot", _slot(F.col("piece")))
+    maps: dict[str, list[list[str]]] = {lang: [[] for _ in range(BOOK_SLOTS)] for lang in vocab.langs}
+    for r in sorted(rows.collect()):
+        maps[r["lang"]][r["slot"]].append(f"{_quoted(r['piece'])}, {r['id'] + vocab.range(r['lang'])[0]}")
+    one = lambda entries: f"map({', '.join(entries)})" if entries else "cast(map() AS map<string, int>)"
+    return {lang: F.expr(f"array({', '.join(map(one, slots))})") for lang, slots in maps.items()}
+
+
+def _slot(piece: Column) -> Column:
+    return F.pmod(F.xxhash64(piece), F.lit(BOOK_SLOTS)).cast("int")
+
 
+def ids_in_row(text: Column, lang: Column, books: dict[str, Column], vocab: RangeVocab) -> Column:
+    """The ids of a text's words by its language's tokenizer (its id 0 for unknown words); null for other languages."""
 
-def decode(tokens: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key: str) -> DataFrame:
-    """key, text from key, pos, token_id: each id goes to the tokenizer of its range; unknown ids read as ``<unk>``."""
+    def found(name: str) -> Column:
+        unknown = F.lit(vocab.range(name)[0])
+        return F.transform(words(text), lambda w: F.coalesce(F.element_at(F.get(books[name], _slot(w)), w), unknown))
+
+    out = F.lit(None).cast("array<int>")
+    for name in books:
+        out = F.when(lang == name, found(name)).otherwise(out)
+    return out
+
+
+def encode(texts: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key: str, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
+    """key, lang, token_ids: one row for each row with at least one word and a language of the vocabulary.
+
+    Words are looked up inside the row, so that no token is shuffled, however long a text is.
+    """
+    lang = F.col(lang_col)
+    ids = ids_in_row(F.col(text_col), lang, _books(tokenizers, vocab), vocab)
+    return texts.select(key, lang.alias("lang"), F.explode(F.array(ids)).alias("token_ids")).filter(F.size("token_ids") > 0)
+
+
+def encode_segments(samples: DataFrame, tokenizers: DataFrame, vocab: RangeVocab) -> DataFrame:
+    """sample_id, token_ids of switched samples (segments: slot, lang, text): each segment by its own tokenizer, in order of
+    the slots; no token crosses a switch. Segments in other languages give none; samples without tokens are left out."""
+    books = _books(tokenizers, vocab)
+    part = lambda s: F.coalesce(ids_in_row(s["text"], s["lang"], books, vocab), F.array().cast("array<int>"))
+    ordered = F.sort_array(F.transform("segments", lambda s: F.struct(s["slot"].alias("slot"), s["lang"].alias("lang"), s["text"].alias("text"))))
+    return samples.select("sample_id", F.explode(F.array(F.flatten(F.transform(ordered, part)))).alias("token_ids")).filter(F.size("token_ids") > 0)
+
+
+def decode(encoded: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key: str) -> DataFrame:
+    """key, text from key, token_ids: each id goes to the tokenizer of its range, inside the row; unknown ids read as ``<unk>``."""
+    _checked(vocab)
+    pieces = ["null"] * vocab.total
+    for r in tokenizers.filter(F.col("lang").isin(*vocab.langs)).select("lang", "local_id", "piece").collect():
+        offset, size = vocab.range(r["lang"])
+        if 0 <= r["local_id"] < size:
+            pieces[offset + r["local_id"]] = _quoted(r["piece"])
+    book = F.expr(f"array({', '.join(pieces)})")
+    return encoded.select(key, F.array_join(F.transform("token_ids", lambda t: F.coalesce(F.get(book, t), F.lit(UNK))), " ").alias("text"))
+
+
+def decode_long(tokens: DataFrame, tokenizers: DataFrame, vocab: RangeVocab, key: str) -> DataFrame:
+    """key, text from key, pos, token_id, where tokens are rows of their own: they are brought together by key."""
     lang = vocab.lang_of(F.col("token_id"))
     shifted = tokens.withColumn("_of", lang).withColumn("_id", F.col("token_id") - vocab.offset_of(lang))
     known = tokenizers.select(F.col("lang").alias("_lang"), F.col("local_id").alias("_local"), "piece")

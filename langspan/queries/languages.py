@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, vocab
 from langspan.queries.base import OFFSET_SQL, PAGE_TEXT_SQL, TOKENS_SQL, VOCAB, VOCAB_SQL, doc_tokens, docs, greedy, greedy_sql, page_texts, tokenizers, utts, votes_sql
+from langspan.session import durable
 from langspan.sources.tables import read
 
 
@@ -33,15 +34,19 @@ def range_alloc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def encode_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    tokens = doc_tokens(spark, sf_dir)
-    unk = F.sum((F.col("token_id") == VOCAB.offset_of(F.col("lang"))).cast("int"))
-    return tokens.groupBy("doc_id", "lang").agg(
-        F.count(F.lit(1)).alias("n_tokens"), unk.alias("n_unk"), F.sum("token_id").alias("id_sum"), F.min_by("token_id", "pos").alias("first_id"), F.max_by("token_id", "pos").alias("last_id")
+    ids = F.col("token_ids")
+    encoded = vocab.encode(docs(spark, sf_dir), durable(tokenizers(spark, sf_dir)), VOCAB, "doc_id")
+    unknown = F.filter(ids, lambda t: F.array_contains(F.array(*(F.lit(o) for _, o, _ in VOCAB.entries)), t))
+    total = F.aggregate(ids, F.lit(0).cast("bigint"), lambda s, t: s + t)
+    return encoded.select(
+        "doc_id", "lang", F.size(ids).cast("bigint").alias("n_tokens"), F.size(unknown).cast("bigint").alias("n_unk"), total.alias("id_sum"), F.get(ids, F.lit(0)).alias("first_id"), F.element_at(ids, -1).alias("last_id")
     )
 
 
 def decode_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return vocab.decode(doc_tokens(spark, sf_dir), tokenizers(spark, sf_dir), VOCAB, "doc_id").select("doc_id", F.md5("text").alias("text_md5"))
+    known = durable(tokenizers(spark, sf_dir))
+    encoded = vocab.encode(docs(spark, sf_dir), known, VOCAB, "doc_id")
+    return vocab.decode(encoded, known, VOCAB, "doc_id").select("doc_id", F.md5("text").alias("text_md5"))
 
 
 def lang_of_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:

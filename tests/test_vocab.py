@@ -37,7 +37,29 @@ def test_encoding_round_trip_keeps_languages(spark):
     long = vocab.tokens_long(texts, toks, v, "id")
     ids = {r["id"]: r["token_ids"] for r in vocab.encode(texts, toks, v, "id").collect()}
     assert set(ids) == {1, 2} and all(t < 8 for t in ids[1]) and all(t >= 8 for t in ids[2])
-    assert {r["id"]: r["text"] for r in vocab.decode(long, toks, v, "id").collect()} == {1: "the no the", 2: "no la la"}
+    want = {1: "the no the", 2: "no la la"}
+    assert {r["id"]: r["text"] for r in vocab.decode_long(long, toks, v, "id").collect()} == want
+    assert {r["id"]: r["text"] for r in vocab.decode(vocab.encode(texts, toks, v, "id"), toks, v, "id").collect()} == want
+
+
+def test_encoding_in_the_row_equals_the_join(spark):
+    """Pieces with quotes and backslashes, unknown words, nulls, languages outside the vocabulary, repeated rows, long texts."""
+    pieces = [("en", 1, "a"), ("en", 2, "b"), ("en", 3, "it's"), ("en", 4, "\\n"), ("es", 1, "a"), ("es", 2, "ñu"), ("it", 1, "a")]
+    toks = spark.createDataFrame(pieces, "lang string, local_id int, piece string")
+    v = RangeVocab.allocate([("en", 8), ("es", 8)])
+    rows = [(1, "en", "A b c"), (2, "es", "ñu b A"), (3, "it", "a b"), (4, None, "a"), (5, "en", None), (6, "es", ""), (7, "en", "b a zz " * 5000), (8, "en", "b"), (8, "en", "b")]
+    texts = spark.createDataFrame(rows, "id long, lang string, text string")
+    got = sorted((r["id"], r["token_ids"]) for r in vocab.encode(texts, toks, v, "id").collect())
+    assert got == [(1, [1, 2, 0]), (2, [10, 8, 9]), (7, [2, 1, 0] * 5000), (8, [2]), (8, [2])]
+    joined = vocab.tokens_long(texts.filter("id <> 8 AND lang IN ('en', 'es')"), toks, v, "id")
+    assert {(r["id"], r["pos"], r["token_id"]) for r in joined.collect()} == {(k, i, t) for k, ids in got if k != 8 for i, t in enumerate(ids)}
+    ids = spark.createDataFrame([(1, [3, 4, 10, 0, 7, 99, -1, None]), (2, []), (3, None)], "id long, token_ids array<int>")
+    assert {r["id"]: r["text"] for r in vocab.decode(ids, toks, v, "id").collect()} == {1: "it's \\n ñu <unk> <unk> <unk> <unk> <unk>", 2: "", 3: None}
+    samples = spark.createDataFrame([(1, [(1, "es", "A x"), (0, "en", "b a")]), (2, [(0, "it", "a")]), (3, None)], "sample_id long, segments array<struct<slot int, lang string, text string>>")
+    assert {r["sample_id"]: r["token_ids"] for r in vocab.encode_segments(samples, toks, v).collect()} == {1: [2, 1, 9, 8]}
+    assert vocab.encode(texts.limit(0), toks.limit(0), v, "id").collect() == []
+    with pytest.raises(ValueError):
+        vocab.encode(texts, toks, RangeVocab.allocate([("en", 1 << 17)]), "id")
 
 
 @pytest.mark.parametrize("ids,lang", [([], None), ([5], "en"), ([5, 1030], "en"), ([1030, 1031, 5], "es"), ([2048], None)])
