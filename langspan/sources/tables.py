@@ -21,10 +21,27 @@ SCHEMAS = {
 }
 
 
+#: Tables of texts, whose rows cost far more to work on than to move.
+TEXTS = ("documents", "pages")
+#: A table of texts is dealt out in parts of at least so many bytes, and not at all beyond so many bytes a core.
+PART_BYTES, DEALT_BYTES = 1 << 20, 32 << 20
+
+
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A table as Parquet with its declared schema; tables without one bring their own."""
     reader = spark.read.schema(SCHEMAS[name]) if name in SCHEMAS else spark.read
-    return reader.parquet(f"{sf_dir}/{name}.parquet")
+    table = reader.parquet(f"{sf_dir}/{name}.parquet")
+    return dealt(table) if name in TEXTS else table
+
+
+def dealt(table: DataFrame) -> DataFrame:
+    """The same rows over all cores, where the files are small for the cluster: a file of one row group, which no two tasks can
+    share, would leave all cores but one idle. Larger tables have row groups enough and are left as they lie, so that the
+    shuffle stays below DEALT_BYTES a core; their size is that of the listed files."""
+    size = int(str(table._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    cores = table.sparkSession.sparkContext.defaultParallelism
+    parts = min(cores, size // PART_BYTES)
+    return table.repartition(parts) if parts > 1 and size <= cores * DEALT_BYTES else table
 
 
 def read_manifest(spark: SparkSession, path: str) -> DataFrame:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
 from langspan.plans import experiments
+from langspan.sources import tables
 from langspan.queries import measures, studies
 
 
@@ -202,3 +203,16 @@ def test_switch_probabilities_are_fitted(spark):
     ends = {name: recognise.fit_switch(samples, lexicon, ("a", "b"), "sample_id", start) for name, start in starts.items()}
     assert all(p == pytest.approx(40.5 / (20 * 8 + 1)) for p, _ in ends.values())
     assert samples.first()["n_langs"] == 2 and all(r["text"] == "red green blue red uno dos tres green green" for r in samples.collect())
+
+
+def test_dealing_out_a_small_table_keeps_its_rows(spark, sf, monkeypatch):
+    monkeypatch.setattr(tables, "PART_BYTES", 1 << 60)
+    whole = tables.read(spark, sf, "documents")
+    monkeypatch.setattr(tables, "PART_BYTES", 1 << 10)
+    dealt = tables.read(spark, sf, "documents")
+    assert dealt.rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
+    assert sorted(map(tuple, dealt.collect())) == sorted(map(tuple, whole.collect()))
+    same = [sorted(measures.wer_words(spark, sf).collect())]
+    monkeypatch.setattr(tables, "DEALT_BYTES", 1)
+    assert tables.read(spark, sf, "documents").rdd.getNumPartitions() == whole.rdd.getNumPartitions()
+    assert [sorted(measures.wer_words(spark, sf).collect())] == same
