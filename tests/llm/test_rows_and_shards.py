@@ -68,6 +68,12 @@ def test_mixture_of_odd_rows(spark):
     assert mixing.take_words(docs.limit(0), mixing.word_count(F.col("text"))).count() == 0
 
 
+def test_mixing_query_reads_texts_once(spark, sf):
+    """Sums and selection run over sizes that are kept, without another scan of the documents."""
+    plan = str(mixing.query(spark, sf)._jdf.queryExecution().optimizedPlan())
+    assert "Relation [" not in plan and "RelationV2" not in plan and "text" not in plan
+
+
 def test_mixed_rows_hold_the_words_taken(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     taken = {r["doc_id"]: r["taken"] for r in mixing.take_words(docs, mixing.word_count(F.col("text"))).collect()}
