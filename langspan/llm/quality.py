@@ -119,18 +119,41 @@ def _logistic(z: np.ndarray) -> np.ndarray:
 ROWS = 2048
 
 
-def _fit(x: np.ndarray, y: np.ndarray, ridge: float = 0.1, rounds: int = 25, rows: np.ndarray | None = None) -> np.ndarray:
+class _Rows:
+    """The training matrix: scaled style measures, picked words as bits, an intercept; unpacked ROWS rows at a time."""
+
+    def __init__(self, style: np.ndarray, bits: np.ndarray, words: int):
+        self.style, self.bits, self.words = style.astype(np.float32), bits, words
+
+    def __len__(self) -> int:
+        return len(self.style)
+
+    @property
+    def width(self) -> int:
+        return self.style.shape[1] + self.words + 1
+
+    def blocks(self, rows: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Row numbers and the rows in double precision."""
+        for k in range(0, len(rows), ROWS):
+            some, width = rows[k : k + ROWS], self.style.shape[1]
+            part = np.ones((len(some), self.width))
+            part[:, :width] = self.style[some]
+            if self.words:
+                part[:, width:-1] = np.unpackbits(self.bits[some], axis=1)[:, : self.words]
+            yield some, part
+
+
+def _fit(x: _Rows, y: np.ndarray, ridge: float = 0.1, rounds: int = 25, rows: np.ndarray | None = None) -> np.ndarray:
     """Ridge logistic regression by Newton steps, on some rows or all; the last column is the intercept and is hardly penalised."""
-    w = np.zeros(x.shape[1])
+    w = np.zeros(x.width)
     rows = np.arange(len(x)) if rows is None else rows
-    penalty = np.full(x.shape[1], ridge)
+    penalty = np.full(x.width, ridge)
     penalty[-1] = 1e-6
     for _ in range(rounds):
         slope, curve = -penalty * w, np.diag(penalty)
-        for k in range(0, len(rows), ROWS):
-            part = x[rows[k : k + ROWS]].astype(np.float64)
+        for some, part in x.blocks(rows):
             p = _logistic(part @ w)
-            slope += part.T @ (y[rows[k : k + ROWS]] - p)
+            slope += part.T @ (y[some] - p)
             curve += (part * (p * (1 - p))[:, None]).T @ part
         step = np.linalg.solve(curve, slope)
         w = w + step * min(1.0, 5 / max(1e-9, np.abs(step).max()))
@@ -202,23 +225,23 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                 features += [a.tobytes() + b.tobytes() for a, b in zip(measures.astype(np.float32), present, strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(features, pa.binary()), batch.column("low"), batch.column("toxic")], ["features", "low", "toxic"])
 
-    # about 110 bytes for each of at most LABELLED documents, in an order that no partitioning changes
-    found = sorted((bytes(r["features"]), r["low"], r["toxic"]) for r in sample.mapInArrow(rows, "features binary, low int, toxic int").toLocalIterator())
+    # about 110 bytes for each of at most LABELLED documents, by one job for all partitions, in an order that none of them changes
+    found = sorted((bytes(r["features"]), r["low"], r["toxic"]) for r in sample.mapInArrow(rows, "features binary, low int, toxic int").collect())
     width = len(STYLE)
     if not found:
         return Model(chosen, np.zeros(width), np.ones(width), np.zeros(width + len(chosen) + 1), np.zeros(width + len(chosen) + 1))
     packed = np.frombuffer(b"".join(f for f, _, _ in found), np.uint8).reshape(len(found), -1)
-    style = packed[:, : 4 * width].copy().view(np.float32).astype(np.float64)
-    mean, scale = style.mean(axis=0), style.std(axis=0) + 1e-6
-    x = np.ones((len(found), width + len(chosen) + 1), np.float32)
-    x[:, :width] = (style - mean) / scale
-    if len(chosen):
-        x[:, width:-1] = np.unpackbits(packed[:, 4 * width :], axis=1)[:, : len(chosen)]
     low, toxic = (np.array([f[k] for f in found], float) for k in (1, 2))
     fold = np.array([zlib.crc32(f) % FOLDS for f, _, _ in found])  # equal texts share one
+    del found
+    style = packed[:, : 4 * width].copy().view(np.float32).astype(np.float64)
+    mean, scale = style.mean(axis=0), style.std(axis=0) + 1e-6
+    x = _Rows((style - mean) / scale, packed[:, 4 * width :], len(chosen))
     p = np.zeros(len(x))
     for k in range(FOLDS):
-        p[fold == k] = _logistic(x[fold == k] @ _fit(x, toxic, rows=np.flatnonzero(fold != k)))
+        w = _fit(x, toxic, rows=np.flatnonzero(fold != k))
+        for some, part in x.blocks(np.flatnonzero(fold == k)):
+            p[some] = _logistic(part @ w)
     return Model(chosen, mean, scale, _fit(x, low), _fit(x, toxic), toxic_cut(p, low, toxic))
 
 

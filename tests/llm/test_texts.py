@@ -333,3 +333,19 @@ def test_posteriors_equal_brute_force(spark):
 
 def hash_of(url):
     return int(hashlib.md5((url or "").split("/")[2].encode() if url and "//" in url else b"").hexdigest(), 16)
+
+
+def test_training_on_many_partitions(spark, sf):
+    """The features of the labelled documents come by one job and not by one for each partition; the matrix stays packed."""
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    spark.sparkContext.setJobGroup("training", "")
+    many = quality.train(docs.repartition(48), labels)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("training")) < 30
+    spark.sparkContext.setJobGroup("none", "")
+    few = quality.train(docs.coalesce(1), labels)
+    assert all(np.array_equal(getattr(many, k), getattr(few, k)) for k in ("picked", "mean", "scale", "low", "toxic")) and many.cut == few.cut
+    rng = np.random.default_rng(4)
+    style, words = rng.normal(size=(5000, 3)), rng.integers(0, 2, (5000, 21))
+    x, dense = quality._Rows(style, np.packbits(words.astype(bool), axis=1), 21), np.hstack([style.astype(np.float32), words, np.ones((5000, 1))])
+    some = np.flatnonzero(np.arange(5000) % 3 != 0)
+    assert np.array_equal(np.vstack([part for _, part in x.blocks(some)]), dense[some]) and x.width == 25
