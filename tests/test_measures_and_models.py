@@ -216,3 +216,7 @@ def test_dealing_out_a_small_table_keeps_its_rows(spark, sf, monkeypatch):
     monkeypatch.setattr(tables, "DEALT_BYTES", 1)
     assert tables.read(spark, sf, "documents").rdd.getNumPartitions() == whole.rdd.getNumPartitions()
     assert [sorted(measures.wer_words(spark, sf).collect())] == same
+
+
+def test_averages_of_runs_read_a_table(spark, sf):
+    assert "event_type" in str(measures.top5_avg(spark, sf)._jdf.queryExecution().optimizedPlan())
