@@ -181,12 +181,13 @@ def _filled(samples: DataFrame, index: DataFrame, sizes: dict[str, int], cfg: Sy
     return done
 
 
-def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig) -> DataFrame:
-    """sample_id, total, picks of ``samples`` (sample_id): each one's first attempt that is finished.
+def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig, indexed: tuple[DataFrame, dict[str, int]] | None = None) -> DataFrame:
+    """sample_id, total, picks of ``samples`` (sample_id): each one's first attempt that is finished. ``indexed``: the pool's
+    ``indexed_pool``, if it was made before.
 
     Most samples need one attempt; all further attempts of the others are made in a second pass over them alone.
     """
-    index, sizes = indexed_pool(pool, cfg)
+    index, sizes = indexed or indexed_pool(pool, cfg)
     index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
     finished = (F.col("state.total") >= cfg.low) & ~F.col("state.dead")
     if cfg.require_mixed:
@@ -200,9 +201,9 @@ def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig) -> DataF
     return done.union(more.select("sample_id", "state.total", "state.picks"))
 
 
-def plan(pool: DataFrame, cfg: SynthConfig, n_samples: int) -> DataFrame:
+def plan(pool: DataFrame, cfg: SynthConfig, n_samples: int, indexed: tuple[DataFrame, dict[str, int]] | None = None) -> DataFrame:
     """sample_id, slot, lang, utt_id, start, n_samples, total of samples 0 to n_samples - 1; starts count from the sample's begin."""
-    return slots(plan_samples(pool.sparkSession.range(n_samples).withColumnRenamed("id", "sample_id"), pool, cfg))
+    return slots(plan_samples(pool.sparkSession.range(n_samples).withColumnRenamed("id", "sample_id"), pool, cfg, indexed))
 
 
 def slots(planned: DataFrame) -> DataFrame:
@@ -345,10 +346,17 @@ def reuse(planned: DataFrame, pool: DataFrame) -> DataFrame:
 
 
 def sweep(pool: DataFrame, configs: Sequence[tuple[str, SynthConfig]], share: float) -> DataFrame:
-    """name, lang, n_segments, n_samples, share of every configuration, from plans alone: nothing is stored."""
-    out = None
+    """name, lang, n_segments, n_samples, share of every configuration, from plans alone; the profiles are kept, no plan is.
+
+    Configurations of the same languages share one index of the pool. A profile is done before the next plan begins, so that
+    the driver never holds the plans of all configurations, nor runs them in one query."""
+    out, indexes = None, {}
     for name, cfg in configs:
-        one = profile(plan(pool, cfg, count_for_share(pool, cfg, share))).withColumn("name", F.lit(name))
+        langs = frozenset(lang for lang, _, _ in cfg.shares)
+        if langs not in indexes:
+            index, sizes = indexed_pool(pool, cfg)
+            indexes[langs] = durable(index), sizes
+        one = durable(profile(plan(pool, cfg, count_for_share(pool, cfg, share), indexes[langs]))).withColumn("name", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out.select("name", "lang", "n_segments", "n_samples", "share")
 

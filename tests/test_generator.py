@@ -143,3 +143,16 @@ def test_event_stream_equals_batch(spark, sf, tmp_path):
     q.awaitTermination()
     batch = online.windowed_languages(online.event_tokens(events, case))
     assert sorted(map(tuple, spark.table("win").collect())) == sorted(map(tuple, batch.collect()))
+
+
+def test_sweep_keeps_profiles_alone(spark, pool, monkeypatch):
+    """One index for all configurations of the same languages, and no plan in the query that is left."""
+    made = []
+    index = synth.indexed_pool
+    monkeypatch.setattr(synth, "indexed_pool", lambda p, c: made.append(c) or index(p, c))
+    configs = [("a", synth.SynthConfig()), ("b", synth.SynthConfig(min_s=7.0, max_s=9.0)), ("c", synth.SynthConfig(weights=(("en", 0.5), ("de", 0.5))))]
+    got = synth.sweep(pool, configs, 0.05)
+    assert len(made) == 2
+    assert not {"Join", "Generate", "Aggregate"} & set(str(got._jdf.queryExecution().optimizedPlan()).replace("(", " ").split())
+    apart = [(name, *r) for name, cfg in configs for r in synth.profile(synth.plan(pool, cfg, synth.count_for_share(pool, cfg, 0.05))).collect()]
+    assert sorted(map(tuple, got.collect())) == sorted(apart)
