@@ -14,12 +14,14 @@ import zlib
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from langspan.functions.text import words
 from langspan.operators.vocab import ranked, word_counts
+from langspan.session import durable
 from langspan.shipping import ship
 
 #: ``NEVER`` is for models of one language, which have nothing to switch to.
@@ -149,25 +151,214 @@ def recognise(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[tup
     return told.mapInArrow(run, f"model string, tokenizer string, key {dict(told.dtypes)['key']}, ref string, hyp string, langs array<string>").withColumnRenamed("key", key)
 
 
-def fit_switch(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tuple[str, ...], key: str, start: float | None = None, tolerance: float = 0.01, most: int = 30) -> tuple[float, int]:
-    """Switch probability between words by hard expectation-maximisation, and the rounds until it moved by less than
-    ``tolerance`` of itself. ``start`` is that of a fitted model; without it every language is as likely as any other.
+#: Cells (text, word) of padded tables and words of texts that are worked on at a time.
+CELLS, SLICE = 1 << 20, 100_000
+#: Code points stand for words from here on; the surrogates are passed over.
+FIRST, LAST = 256, 0x10FFFF - 0x800
+
+
+def best_paths(scores: np.ndarray, lengths: np.ndarray, switch_cost: float) -> np.ndarray:
+    """(texts, words): the language numbers that ``best_path`` finds, for many texts at a time. scores: (texts, words,
+    languages), texts by falling length and none empty, languages by name; what lies beyond a text's length is undefined."""
+    n, width, langs = scores.shape
+    path = np.zeros((n, width), np.int8)
+    if langs < 2 or not n:
+        return path
+    live = np.searchsorted(-lengths, -np.arange(width), "left")  # texts of more than k words
+    came, cost = np.zeros((width, n, langs), np.int8), -scores[:, 0]
+    for k in range(1, width):
+        m = live[k]
+        before, fresh = cost[:m], np.empty((m, langs))
+        for to in range(langs):
+            least, at = before[:, to] + 0.0, np.full(m, to, np.int8)
+            for o in range(langs):
+                if o != to:
+                    via = before[:, o] + switch_cost
+                    better = via < least
+                    least, at = np.where(better, via, least), np.where(better, np.int8(o), at)
+            fresh[:, to], came[k, :m, to] = least - scores[:m, k, to], at
+        cost[:m] = fresh
+    path[np.arange(n), lengths - 1] = cost.argmin(axis=1)
+    for k in range(width - 1, 0, -1):
+        m = live[k]
+        path[:m, k - 1] = np.take_along_axis(came[k, :m], path[:m, k, None].astype(np.int64), 1)[:, 0]
+    return path
+
+
+def _tables(lengths: np.ndarray) -> Iterator[np.ndarray]:
+    """Numbers of the texts that have words, by falling length, as many at a time as fill CELLS."""
+    order = np.argsort(-lengths, kind="stable")[: int((lengths > 0).sum())]
+    while len(order):
+        some, order = np.split(order, [max(1, CELLS // int(lengths[order[0]]))])
+        yield some
+
+
+def _padded(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray, some: np.ndarray) -> np.ndarray:
+    """(texts, words) of a flat array, the last of its entries repeated beyond a text's end."""
+    return flat[np.minimum(starts[some, None] + np.arange(lengths[some[0]]), len(flat) - 1)]
+
+
+def _letters(numbers: np.ndarray) -> str:
+    """Words by number as code points."""
+    codes = numbers + FIRST
+    return (codes + np.where(codes >= 0xD800, 0x800, 0)).astype("<u4").tobytes().decode("utf-32-le")
+
+
+class _Hearing:
+    """What a worker keeps of its lexicons' readings."""
+
+    def __init__(self, lexicons: list[Lexicons], noise: float, seed: int):
+        self.lexicons, self.noise, self.seed = lexicons, noise, seed
+        self.memo: list[dict[str, list[tuple[str, str, float]]]] = [{} for _ in lexicons]
+
+    def listen(self, keys: list, texts: list[list[str]]) -> tuple[list[str], np.ndarray]:
+        """Distinct heard words, and the number among them of every word of the texts, one text after the other."""
+        known: dict[str, int] = {}
+        flat = [known.setdefault(heard(w, k, i, self.noise, self.seed), len(known)) for k, ws in zip(keys, texts, strict=True) for i, w in enumerate(ws)]
+        return list(known), np.array(flat, np.int64)
+
+    def readings(self, at: int, sounds: list[str]) -> list[list[tuple[str, str, float]]]:
+        """Each sound's reading in every language of a lexicon, by name."""
+        memo, out = self.memo[at], []
+        for w in sounds:
+            if w not in memo:
+                if len(memo) > 300_000:
+                    memo.clear()
+                memo[w] = self.lexicons[at].candidates(w)
+            out.append(memo[w])
+        return out
 
-    Half a switch is added to what is counted, so that texts without switches give a small probability and not zero.
+
+def _sliced(texts: list[list[str]]) -> Iterator[tuple[int, int]]:
+    """Ranges of texts of SLICE words together at most, or of one text."""
+    first, total = 0, 0
+    for k, ws in enumerate(texts):
+        if k > first and total + len(ws) > SLICE:
+            yield first, k
+            first, total = k, 0
+        total += len(ws)
+    if first < len(texts):
+        yield first, len(texts)
+
+
+def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[tuple[str, str, int]], key: str, by: Sequence[str] = (), text_col: str = "text", noise: float = 0.05, seed: int = 0) -> DataFrame:
+    """by, model, tokenizer, errors, ref_words, wer: ``metrics.wer`` of what ``recognise`` gives, by model.
+
+    Words are heard once for all models, and read once for those of the same lexicons; paths are found for many texts at a
+    time. References and what models make of them leave Python as one code point a word, so that Spark has only the
+    distances to find: one row for each text, no text for each model.
     """
+    spark = texts.sparkSession
+    ship(spark)
+    kinds = list(dict.fromkeys((m.langs, m.tokenizer == "agg") for m in models))
+    of = [kinds.index((m.langs, m.tokenizer == "agg")) for m in models]
+    shared = spark.sparkContext.broadcast([Lexicons.from_counts(rows, langs, pooled) for langs, pooled in kinds])
+
+    def rate(ear: _Hearing, keys: list, ws: list[list[str]]) -> tuple[list[str], list[list[str]]]:
+        sounds, flat = ear.listen(keys, ws)
+        number: dict[str, int] = {}
+        ref = np.array([number.setdefault(w, len(number)) for text in ws for w in text], np.int64)
+        lengths = np.array([len(text) for text in ws], np.int64)
+        starts = np.cumsum(lengths) - lengths
+        read = []
+        for at in range(len(kinds)):
+            found = ear.readings(at, sounds)
+            read.append((np.array([[s for _, _, s in row] for row in found]), np.array([[number.setdefault("qqunknown" if w == "?" else w, len(number)) for _, w, _ in row] for row in found], np.int64)))
+        if len(number) > LAST - FIRST:
+            raise ValueError("a text has too many distinct words")
+        told = [_letters(ref[a : a + n]) for a, n in zip(starts.tolist(), lengths.tolist(), strict=True)]
+        hyps = [[""] * len(models) for _ in ws]
+        for some in _tables(lengths):
+            heard_ = _padded(flat, starts, lengths, some)
+            for at, m in enumerate(models):
+                scores, names = read[of[at]]
+                path = best_paths(scores[heard_], lengths[some], m.switch_cost)
+                said = names[heard_, path]
+                for k, row, n in zip(some.tolist(), said, lengths[some].tolist(), strict=True):
+                    hyps[k][at] = _letters(row[:n])
+        return told, hyps
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ear = _Hearing(shared.value, noise, seed)
+        for b in batches:
+            keys, ws = b.column("key").to_pylist(), [w or [] for w in b.column("w").to_pylist()]
+            told, hyps = [], []
+            for first, end in _sliced(ws):
+                some = rate(ear, keys[first:end], ws[first:end])
+                told += some[0]
+                hyps += some[1]
+            columns = [*(b.column(f"by{k}") for k in range(len(by))), pa.array(told, pa.string()), pa.array(map(len, ws), pa.int32()), pa.array(hyps, pa.list_(pa.string()))]
+            yield pa.RecordBatch.from_arrays(columns, [*(f"by{k}" for k in range(len(by))), "r", "n", "h"])
+
+    asked = texts.select(*(F.col(c).alias(f"by{k}") for k, c in enumerate(by)), F.col(key).alias("key"), words(F.col(text_col)).alias("w"))
+    types = dict(asked.dtypes)
+    said = asked.mapInArrow(run, ", ".join([*(f"by{k} {types[f'by{k}']}" for k in range(len(by))), "r string, n int, h array<string>"]))
+    sums = said.groupBy(*(f"by{k}" for k in range(len(by)))).agg(F.count(F.lit(1)).alias("_n"), F.sum("n").cast("bigint").alias("ref_words"), *(F.sum(F.levenshtein("r", F.get("h", F.lit(k)))).cast("bigint").alias(f"_e{k}") for k in range(len(models))))
+    each = F.array(*(F.struct(F.lit(m.name).alias("model"), F.lit(m.tokenizer).alias("tokenizer"), F.col(f"_e{k}").alias("errors")) for k, m in enumerate(models)))
+    out = sums.filter("_n > 0").select(*(F.col(f"by{k}").alias(c) for k, c in enumerate(by)), "ref_words", F.inline(each))
+    return out.select(*by, "model", "tokenizer", "errors", "ref_words", F.when(F.col("ref_words") > 0, F.round(100 * F.col("errors") / F.col("ref_words"), 6)).alias("wer"))
+
+
+def scored(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tuple[str, ...], key: str, text_col: str = "text", noise: float = 0.05, seed: int = 0) -> DataFrame:
+    """n, scores of every text, made once for all rounds of ``fit_scored``: its words, and their readings' scores in each
+    language (doubles, by name; none for one language, whose path is known)."""
+    told = samples.select(F.col(key).alias("key"), words(F.col(text_col)).alias("w"))
+    if len(langs) < 2:
+        return durable(told.select(F.coalesce(F.size("w"), F.lit(0)).alias("n"), F.lit(None).cast("binary").alias("scores")))
+    spark = samples.sparkSession
+    ship(spark)
+    shared = spark.sparkContext.broadcast([Lexicons.from_counts(rows, langs, False)])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ear = _Hearing(shared.value, noise, seed)
+        for b in batches:
+            ws = [w or [] for w in b.column("w").to_pylist()]
+            sounds, flat = ear.listen(b.column("key").to_pylist(), ws)
+            found = np.array([[s for _, _, s in row] for row in ear.readings(0, sounds)])
+            out, at = [], 0
+            for text in ws:
+                out.append(found[flat[at : at + len(text)]].tobytes() if text else b"")
+                at += len(text)
+            yield pa.RecordBatch.from_arrays([pa.array(map(len, ws), pa.int32()), pa.array(out, pa.binary())], ["n", "scores"])
+
+    return durable(told.mapInArrow(run, "n int, scores binary"))
+
+
+def fit_scored(told: DataFrame, langs: tuple[str, ...], start: float | None = None, tolerance: float = 0.01, most: int = 30) -> tuple[float, int]:
+    """``fit_switch`` on what ``scored`` has made of the texts."""
     p = start or 1 - 1 / max(2, len(langs))
+
+    def counted(switch_cost: float) -> int:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                lengths = b.column("n").to_numpy().astype(np.int64)
+                flat = np.frombuffer(b"".join(b.column("scores").to_pylist()), np.float64).reshape(-1, len(langs))
+                starts, moved = np.cumsum(lengths) - lengths, 0
+                for some in _tables(lengths):
+                    path, n = best_paths(_padded(flat, starts, lengths, some), lengths[some], switch_cost), lengths[some]
+                    moved += int(((path[:, 1:] != path[:, :-1]) & (np.arange(1, path.shape[1]) < n[:, None])).sum())
+                yield pa.RecordBatch.from_arrays([pa.array([moved], pa.int64())], ["s"])
+
+        return told.mapInArrow(run, "s bigint").agg(F.sum("s")).first()[0] or 0
+
+    n = told.agg(F.sum(F.greatest(F.col("n") - 1, F.lit(0)).cast("bigint"))).first()[0] or 0
     for k in range(1, most + 1):
-        path = recognise(samples, [Recogniser("fit", "con", langs, cost_of(p))], rows, key)
-        pairs = F.when(F.size("langs") > 1, F.size("langs") - 1).otherwise(0)
-        moved = F.size(F.filter(F.sequence(F.lit(1), F.greatest(pairs, F.lit(1))), lambda i: (i <= pairs) & (F.get("langs", i) != F.get("langs", i - 1))))
-        r = path.agg(F.sum(moved).alias("s"), F.sum(pairs).alias("n")).first()
-        fresh = min(0.5, ((r["s"] or 0) + 0.5) / ((r["n"] or 0) + 1))
+        fresh = min(0.5, ((counted(cost_of(p)) if len(langs) > 1 else 0) + 0.5) / (n + 1))
         if abs(math.log(fresh / p)) < tolerance:
             return fresh, k
         p = fresh
     return p, most
 
 
+def fit_switch(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tuple[str, ...], key: str, start: float | None = None, tolerance: float = 0.01, most: int = 30) -> tuple[float, int]:
+    """Switch probability between words by hard expectation-maximisation, and the rounds until it moved by less than
+    ``tolerance`` of itself. ``start`` is that of a fitted model; without it every language is as likely as any other.
+
+    Half a switch is added to what is counted, so that texts without switches give a small probability and not zero.
+    """
+    return fit_scored(scored(samples, rows, langs, key), langs, start, tolerance, most)
+
+
 def cost_of(p: float) -> float:
     """Cost of a switch that has probability ``p``, against staying."""
     return -math.log(p / (1 - p))

@@ -10,8 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from langspan.functions import text as T
-from langspan.operators import metrics
-from langspan.operators.recognise import NEVER, Recogniser, cost_of, fit_switch, lexicon_rows, recognise
+from langspan.operators.recognise import NEVER, Recogniser, cost_of, error_rates, fit_scored, fit_switch, lexicon_rows, recognise, scored
 from langspan.plans import synth
 from langspan.session import durable
 from langspan.sources.tables import read
@@ -30,7 +29,9 @@ def models_for(pair: tuple[str, str], apart: float, switched: float) -> list[Rec
 
 
 def _pool(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return T.utterances(read(spark, sf_dir, "documents"))
+    """Training and test utterances of the pairs' languages, cleaned and split once: every study reads them many times."""
+    docs = read(spark, sf_dir, "documents").filter(F.col("lang").isin(sorted({lang for pair in PAIRS for lang in pair})))
+    return durable(T.utterances(docs).filter("split <> 'dev'").select("utt_id", "lang", "text", "n_samples", "split"))
 
 
 def drawn_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
@@ -38,7 +39,10 @@ def drawn_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int)
     cfg = synth.SynthConfig(weights=tuple((lang, 0.5) for lang in pair), seed=seed)
     lengths = durable(pool.select("lang", "utt_id", "n_samples"))
     planned = synth.plan(lengths, cfg, synth.count_for_share(lengths, cfg, share))
-    texts = pool.dropDuplicates(["utt_id"]).select(F.col("utt_id").alias("_u"), "text")
+    planned = durable(planned.select("sample_id", "slot", "lang", "utt_id"))
+    used = planned.select(F.col("utt_id").alias("_used")).distinct()
+    drawn = pool.join(used, F.col("utt_id") == F.col("_used"), "left_semi")  # few of the pool's texts are moved on
+    texts = drawn.dropDuplicates(["utt_id"]).select(F.col("utt_id").alias("_u"), "text")
     return durable(planned.join(texts, F.col("utt_id") == F.col("_u")).select("sample_id", "slot", "lang", "text"))
 
 
@@ -66,11 +70,10 @@ def fitted_models(pool: DataFrame, lexicon: list[tuple[str, str, int]], pair: tu
     """``models_for`` a pair: the bilingual one fitted on segments, the switched one from there on the samples."""
     drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
     apart, _ = fit_switch(drawn.select(F.concat_ws(":", "sample_id", "slot").alias("id"), "text"), lexicon, pair, "id")
-    return models_for(pair, apart, fit_switch(durable(joined(drawn)), lexicon, pair, "sample_id", apart)[0])
+    return models_for(pair, apart, fit_switch(joined(drawn), lexicon, pair, "sample_id", apart)[0])
 
 
-def _rates(heard: DataFrame, experiment: str, eval_set: F.Column) -> DataFrame:
-    rated = metrics.wer(heard.withColumn("eval_set", eval_set), ["model", "tokenizer", "eval_set"])
+def _rates(rated: DataFrame, experiment: str) -> DataFrame:
     return rated.select(F.lit(experiment).alias("experiment"), "model", "tokenizer", "eval_set", "errors", "ref_words", "wer")
 
 
@@ -81,9 +84,7 @@ def wer_monolingual(spark: SparkSession, sf_dir: str) -> DataFrame:
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
         test = pool.filter((F.col("split") == "test") & F.col("lang").isin(*pair)).dropDuplicates(["text"])
-        heard = recognise(test, fitted_models(pool, rows, pair), rows, "utt_id", noise=NOISE)
-        truth = test.select(F.col("utt_id").alias("_u"), "lang")
-        one = _rates(heard.join(truth, F.col("utt_id") == F.col("_u")), "-".join(pair), F.col("lang"))
+        one = _rates(error_rates(test.withColumn("eval_set", F.col("lang")), fitted_models(pool, rows, pair), rows, "utt_id", ["eval_set"], noise=NOISE), "-".join(pair))
         out = one if out is None else out.union(one)
     return out
 
@@ -91,18 +92,18 @@ def wer_monolingual(spark: SparkSession, sf_dir: str) -> DataFrame:
 def wer_switched(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every model on generated samples, on switched pages (blind) and on conversations (no switches)."""
     pool = _pool(spark, sf_dir)
+    blocks = T.page_blocks(read(spark, sf_dir, "pages")).filter(F.length("text") > 0)
+    pages = blocks.groupBy("page_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("block", "text"))), lambda b: b["text"]), " ").alias("text"), F.first("page_lang").alias("page_lang"))
+    pages = durable(pages.filter(F.col("page_lang").isin(sorted({lang for pair in PAIRS for lang in pair}))))
     out = None
     for pair in PAIRS:
         rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
-        blocks = T.page_blocks(read(spark, sf_dir, "pages")).filter(F.length("text") > 0)
-        pages = blocks.groupBy("page_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("block", "text"))), lambda b: b["text"]), " ").alias("text"), F.first("page_lang").alias("page_lang"))
-        pages = pages.filter(F.col("page_lang").isin(*pair))
+        own = pages.filter(F.col("page_lang").isin(*pair))
         talk = read(spark, sf_dir, "conversations").filter(F.length("text") >= 30).select((F.col("conv_id") * 1000 + F.col("turn")).alias("key"), "text")
-        sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).select(F.lit("generated").alias("set"), F.col("sample_id").alias("key"), "text")
-        sets = sets.union(pages.select(F.lit("pages"), "page_id", "text")).union(talk.select(F.lit("conversations"), "key", "text"))
-        sets = sets.withColumn("id", F.concat_ws(":", "set", F.col("key").cast("string")))
-        heard = recognise(sets.select("id", "text"), fitted_models(pool, rows, pair), rows, "id", noise=NOISE)
-        one = _rates(heard, "-".join(pair), F.substring_index("id", ":", 1))
+        sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).select(F.lit("generated").alias("eval_set"), F.col("sample_id").alias("key"), "text")
+        sets = sets.union(own.select(F.lit("pages"), "page_id", "text")).union(talk.select(F.lit("conversations"), "key", "text"))
+        sets = sets.withColumn("id", F.concat_ws(":", "eval_set", F.col("key").cast("string")))
+        one = _rates(error_rates(sets, fitted_models(pool, rows, pair), rows, "id", ["eval_set"], noise=NOISE), "-".join(pair))
         out = one if out is None else out.union(one)
     return out
 
@@ -115,13 +116,13 @@ def init_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     for pair in PAIRS:
         lexicon = lexicon_rows(pool.filter("split = 'train'").filter(F.col("lang").isin(*pair)), LEXICON)
         drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
-        samples, rows, models = durable(joined(drawn)), [], []
+        samples, rows, models = scored(joined(drawn), lexicon, pair, "sample_id"), [], []
         for init, start in fitted_starts(drawn, lexicon, pair).items():
-            p, rounds = fit_switch(samples, lexicon, pair, "sample_id", start)
+            p, rounds = fit_scored(samples, pair, start)
             rows.append(("-".join(pair), init, None if start is None else round(start, 9), round(p, 6), rounds))
             models.append(Recogniser(init, "con", pair, cost_of(p)))
         held = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11)
-        rated = metrics.wer(recognise(held, models, lexicon, "sample_id", noise=NOISE), ["model"]).withColumnRenamed("model", "_model")
+        rated = error_rates(held, models, lexicon, "sample_id", noise=NOISE).withColumnRenamed("model", "_model")
         told = spark.createDataFrame(rows, "experiment string, init string, start double, switch double, rounds int")
         one = told.join(F.broadcast(rated), F.col("init") == F.col("_model")).select(*told.columns, "errors", "ref_words", "wer")
         out = one if out is None else out.union(one)

@@ -2,6 +2,7 @@ import itertools
 import math
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -218,5 +219,39 @@ def test_dealing_out_a_small_table_keeps_its_rows(spark, sf, monkeypatch):
     assert [sorted(measures.wer_words(spark, sf).collect())] == same
 
 
+def test_error_rates_of_models_equal_those_of_their_words(spark, monkeypatch):
+    """Against recognising, writing out and comparing word by word; empty, null, long and cut-up tables among them."""
+    rng = random.Random(8)
+    en, es = (["".join(rng.choices(letters, k=rng.randint(2, 7))) for _ in range(60)] for letters in ("abcdeé", "cdefgñ"))
+    lexicon = [(lang, w, rng.randint(1, 50)) for lang, ws in (("en", en), ("es", es)) for w in dict.fromkeys(ws)]
+    texts = [(k, "xy"[k % 2], " ".join(rng.choices(rng.choice([en, es, en + es, ["qqunknown", "zzzz", en[0]]]), k=rng.choice([0, 1, 2, 9, 30])))) for k in range(80)]
+    texts += [(100, "x", None), (101, "x", " ".join(rng.choices(en + es, k=700))), (102, None, en[1])]
+    table = spark.createDataFrame(texts, "k long, grp string, text string").repartition(3)
+    langs = ("en", "es")
+    models = [recognise.Recogniser("mono", "mono", ("es",)), *(recognise.Recogniser(f"m{c}", tok, langs, c) for c in (0.0, 2.5) for tok in ("agg", "con")), recognise.Recogniser("never", "con", langs)]
+    heard = recognise.recognise(table, models, lexicon, "k", noise=0.2).join(table.select("k", "grp"), "k")
+    want = sorted(map(str, metrics.wer(heard, ["grp", "model", "tokenizer"]).collect()))
+    for cells, some in ((recognise.CELLS, recognise.SLICE), (64, 50)):
+        monkeypatch.setattr(recognise, "CELLS", cells)
+        monkeypatch.setattr(recognise, "SLICE", some)
+        got = recognise.error_rates(table, models, lexicon, "k", ["grp"], noise=0.2).select("grp", "model", "tokenizer", "errors", "ref_words", "wer")
+        assert sorted(map(str, got.collect())) == want
+    assert recognise.error_rates(table.limit(0), models, lexicon, "k").count() == 0
+    scores = np.array([[[rng.choice([-1.0, -2.0, -3.0]) for _ in range(3)] for _ in range(9)] for _ in range(50)])
+    lengths = np.array(sorted((rng.randint(1, 9) for _ in range(50)), reverse=True))
+    for cost in (0.0, 1.0, 1.5):
+        paths = recognise.best_paths(scores, lengths, cost)
+        for row, n, path in zip(scores, lengths, paths, strict=True):
+            assert ["abc"[x] for x in path[:n]] == recognise.best_path([[(lang, "", s) for lang, s in zip("abc", at, strict=True)] for at in row[:n]], cost)[1]
+    path = recognise.recognise(table, [recognise.Recogniser("fit", "con", langs, recognise.cost_of(0.5))], lexicon, "k").collect()
+    s, n = sum(a != b for r in path for a, b in zip(r["langs"], r["langs"][1:])), sum(max(0, len(r["langs"]) - 1) for r in path)
+    assert recognise.fit_switch(table, lexicon, langs, "k", 0.5, most=1)[0] == pytest.approx(min(0.5, (s + 0.5) / (n + 1)), rel=1e-12)
+
+
+def test_studies_clean_texts_once(spark, sf):
+    plan = str(experiments._pool(spark, sf)._jdf.queryExecution().optimizedPlan())
+    assert "Relation" not in plan and "Generate" not in plan
+
+
 def test_averages_of_runs_read_a_table(spark, sf):
     assert "event_type" in str(measures.top5_avg(spark, sf)._jdf.queryExecution().optimizedPlan())
