@@ -1,9 +1,12 @@
 import random
 import re
+import time
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
 
+from langspan import session
 from langspan.llm import components, decontamination, similarity_join
 from langspan.llm.similarity_join import Rule
 
@@ -75,6 +78,20 @@ def test_stars_find_long_chains(spark):
     assert components.components(edges.limit(0)).count() == 0
 
 
+def test_shuffle_files_go_with_their_query(spark):
+    """They do not pile up until the driver needs memory; the kept rows and the session's settings stay."""
+    blocks = spark.sparkContext._jsc.sc().env().blockManager().diskBlockManager()
+    shuffles = lambda: {f.name.split("_")[1] for d in blocks.localDirs() for f in Path(d.getPath()).rglob("shuffle_*.data")}
+    before, set_to = shuffles(), spark.conf.get(session.CLEANED)
+    counted = spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("a")).agg(F.min("id").alias("b"))
+    kept = session.durable(counted)
+    for _ in range(40):  # files go a moment later
+        if left := shuffles() - before:
+            time.sleep(0.1)
+    assert not left and spark.conf.get(session.CLEANED) == set_to
+    assert sorted(map(tuple, kept.collect())) == [(k, k) for k in range(7)] == sorted(map(tuple, counted.collect()))
+
+
 def _leak_rows(spark, docs, items):
     found = decontamination.find_leaks(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame(items, "item_id bigint, text string"))
     return {(r["doc_id"], r["item_id"]): r for r in found.collect()}
