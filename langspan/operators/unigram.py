@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator, Sequence
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -20,6 +21,8 @@ from langspan.shipping import ship
 
 MARK = "▁"
 FLOOR = -20.0
+#: Cells (text, letter) of tables that are worked on at a time, and the most rows of a table in a task of Python.
+CELLS, ROWS = 1 << 18, 100_000
 
 
 def viterbi(word: str, pieces: dict[str, float], longest: int, without: str | None = None) -> tuple[float, list[str]]:
@@ -42,6 +45,67 @@ def viterbi(word: str, pieces: dict[str, float], longest: int, without: str | No
     return best[-1][0], out[::-1]
 
 
+def piece_ends(texts: Sequence[str], pieces: dict[str, float], longest: int) -> Iterator[tuple[list[int], np.ndarray]]:
+    """Where the pieces that ``viterbi`` finds end, for many texts at a time: numbers of texts and a row for each, true at k
+    where a piece ends behind k letters. Every text comes once; sums are made in the order of ``viterbi``."""
+    lengths = np.array([len(t) for t in texts], np.int64)
+    order = np.argsort(-lengths, kind="stable")
+    while len(order):
+        some, order = np.split(order, [max(1, CELLS // (int(lengths[order[0]]) + 1))])
+        yield some.tolist(), _ends([texts[k] for k in some], lengths[some], pieces, longest)
+
+
+def _ends(texts: list[str], lengths: np.ndarray, pieces: dict[str, float], longest: int) -> np.ndarray:
+    """``piece_ends`` of texts by falling length."""
+    width = int(lengths[0])
+    letters = np.frombuffer("".join(t.ljust(width, "\0") for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(texts), width)
+    live = np.searchsorted(-lengths, -np.arange(width + 1), "right")  # texts of k letters at least
+    # a prefix of a piece by number: 0 is the empty one; (prefix, letter) -> the longer prefix
+    number, scores, keys = {"": 0}, [-math.inf], []
+    for piece, p in pieces.items():
+        for k in range(1, len(piece) + 1):
+            if piece[:k] not in number:
+                keys.append((number[piece[: k - 1]] << 32 | ord(piece[k - 1]), len(number)))
+                number[piece[:k]] = len(number)
+                scores.append(-math.inf)
+        scores[number[piece]] = p
+    table = np.array(sorted(keys) or [(-1, 0)], np.int64)
+    score = np.array(scores)
+    likely = np.full((longest + 1, len(texts), width), -math.inf)  # by length, text and start
+    at, alive = np.zeros((len(texts), width), np.int64), np.ones((len(texts), width), bool)
+    for n in range(1, min(longest, width) + 1):
+        at, alive = at[:, : width - n + 1], alive[:, : width - n + 1]
+        row, column = np.nonzero(alive)
+        asked = at[row, column] << 32 | letters[row, column + n - 1]
+        spot = np.minimum(np.searchsorted(table[:, 0], asked), len(table) - 1)
+        hit = table[spot, 0] == asked
+        at, alive = np.zeros_like(at), np.zeros_like(alive)
+        at[row[hit], column[hit]], alive[row[hit], column[hit]] = table[spot[hit], 1], True
+        likely[n, :, : width - n + 1][alive] = score[at[alive]]
+    likely[1][likely[1] == -math.inf] = FLOOR
+    best, step = np.full((len(texts), width + 1), -math.inf), np.ones((len(texts), width + 1), np.int64)
+    best[:, 0] = 0.0
+    for end in range(1, width + 1):
+        m = live[end]
+        for n in range(min(longest, end), 0, -1):
+            found = best[:m, end - n] + likely[n, :m, end - n]
+            better = found > best[:m, end]
+            best[:m, end], step[:m, end] = np.where(better, found, best[:m, end]), np.where(better, n, step[:m, end])
+    out, where = np.zeros((len(texts), width + 1), bool), lengths.copy()
+    rows = np.flatnonzero(where > 0)
+    while len(rows):
+        out[rows, where[rows]] = True
+        where[rows] -= step[rows, where[rows]]
+        rows = rows[where[rows] > 0]
+    return out
+
+
+def dealt_rows(table: DataFrame) -> DataFrame:
+    """A kept table over all cores at least: small in bytes it comes in few parts, but its rows cost Python much time."""
+    parts = max(table.sparkSession.sparkContext.defaultParallelism, -(-table.count() // ROWS))
+    return durable(table.repartition(parts)) if table.rdd.getNumPartitions() < parts else table
+
+
 def _add(a: float, b: float) -> float:
     if a == -math.inf:
         return b
@@ -128,7 +192,7 @@ def train_unigram(docs: DataFrame, size: int = 1024, seed_size: int = 3000, long
     """
     spark = docs.sparkSession
     ship(spark)
-    counts = durable((pair_counts if across else word_counts)(docs).filter(F.col("n") >= min_count))
+    counts = dealt_rows(durable((pair_counts if across else word_counts)(docs).filter(F.col("n") >= min_count)))
     pieces: dict[str, dict[str, float]] = {}
     for r in seeds(counts, seed_size, longest).collect():
         pieces.setdefault(r["lang"], {})[r["piece"]] = float(r["n"])
@@ -274,19 +338,26 @@ def encode_switched(samples: DataFrame, tokenizers: DataFrame, pooled: str | Non
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         none: tuple[dict[str, float], int] = ({}, 1)
         for b in batches:
-            told = []
-            for segments in b.column("segments").to_pylist():
+            asked: dict[str | None, list[tuple[int, str]]] = {}
+            switches: list[list[int]] = []
+            for k, segments in enumerate(b.column("segments").to_pylist()):
                 parts = [(s["lang"], "".join(MARK + w for w in s["w"])) for s in segments or [] if s["w"]]
                 ends, at = [], 0
                 for (lang, text), (after, _) in zip(parts, parts[1:]):
                     at += len(text)
                     if lang != after:
                         ends.append(at)
-                if pooled is None:
-                    pieces = [p for lang, text in parts for p in viterbi(text, *shared.value.get(lang, none))[1]]
-                else:
-                    pieces = viterbi("".join(text for _, text in parts), *shared.value.get(pooled, none))[1]
-                told.append((len(pieces), len(ends), straddles(ends, pieces)))
+                switches.append(ends)
+                for lang, text in parts if pooled is None else [(pooled, "".join(text for _, text in parts))]:
+                    asked.setdefault(lang, []).append((k, text))
+            n_tokens, n_inside = np.zeros(len(b), np.int64), np.zeros(len(b), np.int64)
+            for lang, texts in asked.items():
+                for some, cut in piece_ends([text for _, text in texts], *shared.value.get(lang, none)):
+                    for k, row in zip((texts[i][0] for i in some), cut, strict=True):
+                        n_tokens[k] += row.sum()
+                        if pooled is not None:
+                            n_inside[k] = len(switches[k]) - row[switches[k]].sum()
+            told = list(zip(n_tokens.tolist(), map(len, switches), n_inside.tolist(), strict=True))
             columns = [pa.array([t[c] for t in told], pa.int64()) for c in range(3)]
             yield pa.RecordBatch.from_arrays([b.column("sample_id"), *columns], ["sample_id", "n_tokens", "n_switches", "n_straddled"])
 

@@ -63,7 +63,7 @@ def straddling_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     """
     segments = durable(_segments(spark, sf_dir, share=TRAIN))
     held = F.sort_array(F.collect_list(F.struct("slot", "lang", "text"))).alias("segments")
-    tests = durable(_segments(spark, sf_dir, "test", TEST).groupBy("sample_id").agg(held))
+    tests = unigram.dealt_rows(durable(_segments(spark, sf_dir, "test", TEST).groupBy("sample_id").agg(held)))
     whole = segments.groupBy("sample_id").agg(held).select(F.array_join(F.transform("segments", lambda s: s["text"]), " ").alias("text"))
     both = {"size": 2 * vocab.BLOCK, "seed_size": 4000, "across": True}
     all_of = F.lit("all").alias("lang")

@@ -192,6 +192,28 @@ def test_pieces_across_switches(spark):
     assert {r["n_straddled"] for r in unigram.encode_switched(samples.filter("sample_id < 30"), forced, "all").collect()} == {1}
 
 
+def test_pieces_of_many_texts_equal_those_of_one(monkeypatch):
+    """Ties, letters that no piece covers, empty texts and cut-up tables among them."""
+    rng = random.Random(12)
+    for scores, longest in (([-1.0, -2.0, -3.0], 4), ([-0.3, -1.7, -25.0], 3)):
+        pieces = {"".join(rng.choices("ab▁é", k=rng.randint(1, longest))): rng.choice(scores) for _ in range(40)}
+        texts = ["".join(rng.choices("ab▁éz", k=rng.choice([0, 1, 2, 5, 40]))) for _ in range(300)]
+        for cells in (unigram.CELLS, 90):
+            monkeypatch.setattr(unigram, "CELLS", cells)
+            for have, most in ((pieces, longest), ({}, 1)):
+                got = {k: np.flatnonzero(row).tolist() for some, ends in unigram.piece_ends(texts, have, most) for k, row in zip(some, ends, strict=True)}
+                for k, text in enumerate(texts):
+                    path = unigram.viterbi(text, have, most)[1]
+                    assert got[k] == list(itertools.accumulate(1 if p == unigram.UNK else len(p) for p in path))
+    assert list(unigram.piece_ends([], {}, 1)) == []
+
+
+def test_training_uses_all_cores(spark):
+    words = spark.createDataFrame([(k, "xx", f"w{chr(97 + k % 9)} v{chr(97 + k % 7)}") for k in range(60)], "doc_id bigint, lang string, text string").coalesce(1)
+    counted = unigram.dealt_rows(unigram.durable(unigram.word_counts(words)))
+    assert counted.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism and counted.count() == 16
+
+
 def test_switch_probabilities_are_fitted(spark):
     """Starts come from fitting texts without switches; from each of them fitting ends at the same place."""
     lexicon = [("a", w, 9) for w in ("red", "green", "blue")] + [("b", w, 9) for w in ("uno", "dos", "tres")]
