@@ -35,8 +35,8 @@ class Lexicons:
     scores: dict[str, dict[str, float]]
     deletes: dict[str, list[tuple[str, str]]] = field(default_factory=dict)
 
-    @classmethod
-    def from_counts(cls, rows: Sequence[tuple[str, str, int]], langs: Sequence[str], pooled: bool) -> Lexicons:
+    @staticmethod
+    def scores_of(rows: Sequence[tuple[str, str, int]], langs: Sequence[str], pooled: bool) -> dict[str, dict[str, float]]:
         mine = [(lang, w, n) for lang, w, n in rows if lang in langs]
         totals: dict[str, int] = {}
         pool: dict[str, int] = {}
@@ -47,27 +47,41 @@ class Lexicons:
         scores: dict[str, dict[str, float]] = {lang: {} for lang in langs}
         for lang, w, n in mine:
             scores[lang][w] = math.log(pool[w] / whole) if pooled else math.log(n / totals[lang])
-        out = cls(scores)
-        for lang, have in scores.items():
+        return scores
+
+    @classmethod
+    def from_counts(cls, rows: Sequence[tuple[str, str, int]], langs: Sequence[str], pooled: bool) -> Lexicons:
+        out = cls(cls.scores_of(rows, langs, pooled))
+        for lang, have in out.scores.items():
             for w in have:
                 for d in _deletes(w):
                     out.deletes.setdefault(d, []).append((lang, w))
         return out
 
-    def candidates(self, heard: str) -> list[tuple[str, str, float]]:
-        """(language, word, score) of each language's best reading of a heard word."""
-        best: dict[str, tuple[float, str]] = {lang: (UNKNOWN, heard if len(self.scores) == 0 else "?") for lang in self.scores}
+    def near(self, heard: str) -> dict[tuple[str, str], int]:
+        """Edits of every (language, word) that a heard word may stand for."""
         near = {(lang, heard): 0 for lang, have in self.scores.items() if heard in have}
         if len(heard) > 2:
             for d in _deletes(heard):
                 for lang, w in self.deletes.get(d, ()):
                     if (lang, w) not in near and abs(len(w) - len(heard)) <= 1:
                         near[lang, w] = 1
-        for (lang, w), edits in near.items():
-            score = self.scores[lang][w] - EDIT * edits
+        return near
+
+    def candidates(self, heard: str) -> list[tuple[str, str, float]]:
+        """(language, word, score) of each language's best reading of a heard word."""
+        return best_of(self.near(heard), self.scores)
+
+
+def best_of(near: dict[tuple[str, str], int], scores: dict[str, dict[str, float]]) -> list[tuple[str, str, float]]:
+    """(language, word, score) of the best of ``Lexicons.near`` in each language of ``scores``, by name."""
+    best: dict[str, tuple[float, str]] = {lang: (UNKNOWN, "?") for lang in scores}
+    for (lang, w), edits in near.items():
+        if lang in best:
+            score = scores[lang][w] - EDIT * edits
             if (score, w) > best[lang]:
                 best[lang] = (score, w)
-        return [(lang, w, s) for lang, (s, w) in sorted(best.items())]
+    return [(lang, w, s) for lang, (s, w) in sorted(best.items())]
 
 
 def _deletes(word: str) -> set[str]:
@@ -76,7 +90,17 @@ def _deletes(word: str) -> set[str]:
 
 def heard(word: str, key: object, pos: int, rate: float, seed: int) -> str:
     """A word with one letter changed, for ``rate`` of the words."""
-    h = zlib.crc32(f"{seed}:{key}:{pos}:{word}".encode())
+    return _misheard(word, zlib.crc32(f"{seed}:{key}:{pos}:{word}".encode()), rate)
+
+
+def heard_words(words_: Sequence[str], key: object, rate: float, seed: int) -> list[str]:
+    """``heard`` for all words of a text: what their hashes share is hashed once."""
+    begun, most = zlib.crc32(f"{seed}:{key}:".encode()), rate * 10_000
+    hashes = [zlib.crc32(f"{i}:{w}".encode(), begun) for i, w in enumerate(words_)]
+    return [w if h % 10_000 >= most else _misheard(w, h, rate) for w, h in zip(words_, hashes, strict=True)]
+
+
+def _misheard(word: str, h: int, rate: float) -> str:
     if h % 10_000 >= rate * 10_000 or len(word) < 3:
         return word
     k = (h >> 16) % len(word)
@@ -204,29 +228,45 @@ def _letters(numbers: np.ndarray) -> str:
     return (codes + np.where(codes >= 0xD800, 0x800, 0)).astype("<u4").tobytes().decode("utf-32-le")
 
 
-class _Hearing:
-    """What a worker keeps of its lexicons' readings."""
+#: (languages, pooled): what a model's lexicons are made of.
+Kind = tuple[tuple[str, ...], bool]
 
-    def __init__(self, lexicons: list[Lexicons], noise: float, seed: int):
-        self.lexicons, self.noise, self.seed = lexicons, noise, seed
-        self.memo: list[dict[str, list[tuple[str, str, float]]]] = [{} for _ in lexicons]
+
+class _Hearing:
+    """The lexicons of several kinds of models, and the readings that a worker keeps of them from task to task.
+
+    What a heard word may stand for is looked up once, in the lexicons of all languages, and scored once for all models whose
+    vocabulary is not pooled, since a language's own scores are the same in each of these."""
+
+    def __init__(self, rows: Sequence[tuple[str, str, int]], kinds: Sequence[Kind], noise: float, seed: int):
+        self.whole, self.noise, self.seed = Lexicons.from_counts(rows, sorted({lang for langs, _ in kinds for lang in langs}), False), noise, seed
+        #: Scores by language; those of all languages by themselves come first. Of each kind: its scores, its languages in them.
+        self.scores, self.of = [self.whole.scores], []
+        for langs, pooled in kinds:
+            if pooled:
+                self.scores.append(Lexicons.scores_of(rows, langs, True))
+            names = sorted(self.scores[-1 if pooled else 0])
+            self.of.append((len(self.scores) - 1 if pooled else 0, [names.index(lang) for lang in sorted(langs)]))
+        self.memo: dict[str, list[list[tuple[str, str, float]]]] = {}
 
     def listen(self, keys: list, texts: list[list[str]]) -> tuple[list[str], np.ndarray]:
         """Distinct heard words, and the number among them of every word of the texts, one text after the other."""
         known: dict[str, int] = {}
-        flat = [known.setdefault(heard(w, k, i, self.noise, self.seed), len(known)) for k, ws in zip(keys, texts, strict=True) for i, w in enumerate(ws)]
+        flat = [known.setdefault(w, len(known)) for k, ws in zip(keys, texts, strict=True) for w in heard_words(ws, k, self.noise, self.seed)]
         return list(known), np.array(flat, np.int64)
 
-    def readings(self, at: int, sounds: list[str]) -> list[list[tuple[str, str, float]]]:
-        """Each sound's reading in every language of a lexicon, by name."""
-        memo, out = self.memo[at], []
+    def readings(self, sounds: list[str]) -> list[list[list[tuple[str, str, float]]]]:
+        """Of every kind: each sound's reading in every language, by name."""
+        memo, found = self.memo, []
         for w in sounds:
-            if w not in memo:
+            got = memo.get(w)
+            if got is None:
                 if len(memo) > 300_000:
                     memo.clear()
-                memo[w] = self.lexicons[at].candidates(w)
-            out.append(memo[w])
-        return out
+                near = self.whole.near(w)
+                got = memo[w] = [best_of(near, scores) for scores in self.scores]
+            found.append(got)
+        return [[[row[at][c] for c in columns] for row in found] for at, columns in self.of]
 
 
 def _sliced(texts: list[list[str]]) -> Iterator[tuple[int, int]]:
@@ -252,7 +292,7 @@ def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[t
     ship(spark)
     kinds = list(dict.fromkeys((m.langs, m.tokenizer == "agg") for m in models))
     of = [kinds.index((m.langs, m.tokenizer == "agg")) for m in models]
-    shared = spark.sparkContext.broadcast([Lexicons.from_counts(rows, langs, pooled) for langs, pooled in kinds])
+    shared = spark.sparkContext.broadcast(_Hearing(rows, kinds, noise, seed))
 
     def rate(ear: _Hearing, keys: list, ws: list[list[str]]) -> tuple[list[str], list[list[str]]]:
         sounds, flat = ear.listen(keys, ws)
@@ -261,25 +301,25 @@ def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[t
         lengths = np.array([len(text) for text in ws], np.int64)
         starts = np.cumsum(lengths) - lengths
         read = []
-        for at in range(len(kinds)):
-            found = ear.readings(at, sounds)
+        for found in ear.readings(sounds):
             read.append((np.array([[s for _, _, s in row] for row in found]), np.array([[number.setdefault("qqunknown" if w == "?" else w, len(number)) for _, w, _ in row] for row in found], np.int64)))
         if len(number) > LAST - FIRST:
             raise ValueError("a text has too many distinct words")
-        told = [_letters(ref[a : a + n]) for a, n in zip(starts.tolist(), lengths.tolist(), strict=True)]
+        whole = _letters(ref)
+        told = [whole[a : a + n] for a, n in zip(starts.tolist(), lengths.tolist(), strict=True)]
         hyps = [[""] * len(models) for _ in ws]
         for some in _tables(lengths):
             heard_ = _padded(flat, starts, lengths, some)
             for at, m in enumerate(models):
                 scores, names = read[of[at]]
                 path = best_paths(scores[heard_], lengths[some], m.switch_cost)
-                said = names[heard_, path]
-                for k, row, n in zip(some.tolist(), said, lengths[some].tolist(), strict=True):
-                    hyps[k][at] = _letters(row[:n])
+                said, width = _letters(names[heard_, path].ravel()), path.shape[1]
+                for row, (k, n) in enumerate(zip(some.tolist(), lengths[some].tolist(), strict=True)):
+                    hyps[k][at] = said[row * width : row * width + n]
         return told, hyps
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ear = _Hearing(shared.value, noise, seed)
+        ear = shared.value
         for b in batches:
             keys, ws = b.column("key").to_pylist(), [w or [] for w in b.column("w").to_pylist()]
             told, hyps = [], []
@@ -307,14 +347,14 @@ def scored(samples: DataFrame, rows: Sequence[tuple[str, str, int]], langs: tupl
         return durable(told.select(F.coalesce(F.size("w"), F.lit(0)).alias("n"), F.lit(None).cast("binary").alias("scores")))
     spark = samples.sparkSession
     ship(spark)
-    shared = spark.sparkContext.broadcast([Lexicons.from_counts(rows, langs, False)])
+    shared = spark.sparkContext.broadcast(_Hearing(rows, [(tuple(langs), False)], noise, seed))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ear = _Hearing(shared.value, noise, seed)
+        ear = shared.value
         for b in batches:
             ws = [w or [] for w in b.column("w").to_pylist()]
             sounds, flat = ear.listen(b.column("key").to_pylist(), ws)
-            found = np.array([[s for _, _, s in row] for row in ear.readings(0, sounds)])
+            found = np.array([[s for _, _, s in row] for row in ear.readings(sounds)[0]])
             out, at = [], 0
             for text in ws:
                 out.append(found[flat[at : at + len(text)]].tobytes() if text else b"")

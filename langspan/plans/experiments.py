@@ -19,6 +19,8 @@ PAIRS = (("en", "es"), ("en", "de"))
 LEXICON, NOISE = 5_000, 0.05
 #: Hours of generated samples that a switch cost is fitted on, and that are tested, as shares of their pools' hours.
 FIT, TEST = 0.025, 0.4
+#: Up to so many samples, the ids of their utterances go to all executors and the pool's texts stay where they are.
+BROADCAST = 100_000
 
 
 def models_for(pair: tuple[str, str], apart: float, switched: float) -> list[Recogniser]:
@@ -34,13 +36,30 @@ def _pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     return durable(T.utterances(docs).filter("split <> 'dev'").select("utt_id", "lang", "text", "n_samples", "split"))
 
 
-def drawn_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
-    """sample_id, slot, lang, text of generated samples; text alone, no signals."""
-    cfg = synth.SynthConfig(weights=tuple((lang, 0.5) for lang in pair), seed=seed)
+def _lexicon(pool: DataFrame) -> list[tuple[str, str, int]]:
+    """The words of all languages of the pairs, counted once; models take those of their own."""
+    return lexicon_rows(pool.filter("split = 'train'"), LEXICON)
+
+
+#: Lengths of a pool's utterances, and ``synth.indexed_pool`` of them.
+Numbered = tuple[DataFrame, tuple[DataFrame, dict[str, int]]]
+
+
+def _numbered(pool: DataFrame) -> Numbered:
+    """Made once for the plans of all pairs: an utterance has the same number in each."""
     lengths = durable(pool.select("lang", "utt_id", "n_samples"))
-    planned = synth.plan(lengths, cfg, synth.count_for_share(lengths, cfg, share))
-    planned = durable(planned.select("sample_id", "slot", "lang", "utt_id"))
+    index, sizes = synth.indexed_pool(lengths, synth.SynthConfig(weights=tuple((lang, 1.0) for lang in sorted({lang for pair in PAIRS for lang in pair}))))
+    return lengths, (durable(index), sizes)
+
+
+def drawn_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int, numbered: Numbered | None = None) -> DataFrame:
+    """sample_id, slot, lang, text of generated samples; text alone, no signals. ``numbered``: the pool's, if made before."""
+    cfg = synth.SynthConfig(weights=tuple((lang, 0.5) for lang in pair), seed=seed)
+    lengths, indexed = numbered or _numbered(pool)
+    n = synth.count_for_share(lengths, cfg, share)
+    planned = durable(synth.plan(lengths, cfg, n, indexed).select("sample_id", "slot", "lang", "utt_id"))
     used = planned.select(F.col("utt_id").alias("_used")).distinct()
+    used = F.broadcast(used) if n <= BROADCAST else used
     drawn = pool.join(used, F.col("utt_id") == F.col("_used"), "left_semi")  # few of the pool's texts are moved on
     texts = drawn.dropDuplicates(["utt_id"]).select(F.col("utt_id").alias("_u"), "text")
     return durable(planned.join(texts, F.col("utt_id") == F.col("_u")).select("sample_id", "slot", "lang", "text"))
@@ -52,8 +71,8 @@ def joined(drawn: DataFrame) -> DataFrame:
     return drawn.groupBy("sample_id").agg(F.array_join(F.transform(parts, lambda p: p["text"]), " ").alias("text"), F.countDistinct("lang").alias("n_langs"))
 
 
-def switched_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int) -> DataFrame:
-    return durable(joined(drawn_texts(pool, pair, share, seed)))
+def switched_texts(pool: DataFrame, pair: tuple[str, str], share: float, seed: int, numbered: Numbered | None = None) -> DataFrame:
+    return durable(joined(drawn_texts(pool, pair, share, seed, numbered)))
 
 
 def fitted_starts(drawn: DataFrame, lexicon: list[tuple[str, str, int]], pair: tuple[str, str]) -> dict[str, float | None]:
@@ -66,9 +85,9 @@ def fitted_starts(drawn: DataFrame, lexicon: list[tuple[str, str, int]], pair: t
     return starts | {"ml": fit_switch(apart, lexicon, pair, "id")[0]}
 
 
-def fitted_models(pool: DataFrame, lexicon: list[tuple[str, str, int]], pair: tuple[str, str]) -> list[Recogniser]:
+def fitted_models(pool: DataFrame, lexicon: list[tuple[str, str, int]], pair: tuple[str, str], numbered: Numbered | None = None) -> list[Recogniser]:
     """``models_for`` a pair: the bilingual one fitted on segments, the switched one from there on the samples."""
-    drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
+    drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7, numbered)
     apart, _ = fit_switch(drawn.select(F.concat_ws(":", "sample_id", "slot").alias("id"), "text"), lexicon, pair, "id")
     return models_for(pair, apart, fit_switch(joined(drawn), lexicon, pair, "sample_id", apart)[0])
 
@@ -80,11 +99,10 @@ def _rates(rated: DataFrame, experiment: str) -> DataFrame:
 def wer_monolingual(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every model on each language's held-out utterances."""
     pool = _pool(spark, sf_dir)
-    out = None
+    rows, train, out = _lexicon(pool), _numbered(pool.filter("split = 'train'")), None
     for pair in PAIRS:
-        rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
         test = pool.filter((F.col("split") == "test") & F.col("lang").isin(*pair)).dropDuplicates(["text"])
-        one = _rates(error_rates(test.withColumn("eval_set", F.col("lang")), fitted_models(pool, rows, pair), rows, "utt_id", ["eval_set"], noise=NOISE), "-".join(pair))
+        one = _rates(error_rates(test.withColumn("eval_set", F.col("lang")), fitted_models(pool, rows, pair, train), rows, "utt_id", ["eval_set"], noise=NOISE), "-".join(pair))
         out = one if out is None else out.union(one)
     return out
 
@@ -95,15 +113,15 @@ def wer_switched(spark: SparkSession, sf_dir: str) -> DataFrame:
     blocks = T.page_blocks(read(spark, sf_dir, "pages")).filter(F.length("text") > 0)
     pages = blocks.groupBy("page_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("block", "text"))), lambda b: b["text"]), " ").alias("text"), F.first("page_lang").alias("page_lang"))
     pages = durable(pages.filter(F.col("page_lang").isin(sorted({lang for pair in PAIRS for lang in pair}))))
-    out = None
+    rows, out = _lexicon(pool), None
+    train, test = (_numbered(pool.filter(F.col("split") == split)) for split in ("train", "test"))
     for pair in PAIRS:
-        rows = lexicon_rows(pool.filter(F.col("split") == "train").filter(F.col("lang").isin(*pair)), LEXICON)
         own = pages.filter(F.col("page_lang").isin(*pair))
         talk = read(spark, sf_dir, "conversations").filter(F.length("text") >= 30).select((F.col("conv_id") * 1000 + F.col("turn")).alias("key"), "text")
-        sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11).select(F.lit("generated").alias("eval_set"), F.col("sample_id").alias("key"), "text")
+        sets = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11, test).select(F.lit("generated").alias("eval_set"), F.col("sample_id").alias("key"), "text")
         sets = sets.union(own.select(F.lit("pages"), "page_id", "text")).union(talk.select(F.lit("conversations"), "key", "text"))
         sets = sets.withColumn("id", F.concat_ws(":", "eval_set", F.col("key").cast("string")))
-        one = _rates(error_rates(sets, fitted_models(pool, rows, pair), rows, "id", ["eval_set"], noise=NOISE), "-".join(pair))
+        one = _rates(error_rates(sets, fitted_models(pool, rows, pair, train), rows, "id", ["eval_set"], noise=NOISE), "-".join(pair))
         out = one if out is None else out.union(one)
     return out
 
@@ -112,16 +130,16 @@ def init_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     """experiment, init, start, switch, rounds, errors, ref_words, wer: switched models fitted from no model, from one of either
     language and from one of both, which were themselves fitted before; rates are over held-out generated samples."""
     pool = _pool(spark, sf_dir)
-    out = None
+    lexicon, out = _lexicon(pool), None
+    train, test = (_numbered(pool.filter(F.col("split") == split)) for split in ("train", "test"))
     for pair in PAIRS:
-        lexicon = lexicon_rows(pool.filter("split = 'train'").filter(F.col("lang").isin(*pair)), LEXICON)
-        drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7)
+        drawn = drawn_texts(pool.filter("split = 'train'"), pair, FIT, 7, train)
         samples, rows, models = scored(joined(drawn), lexicon, pair, "sample_id"), [], []
         for init, start in fitted_starts(drawn, lexicon, pair).items():
             p, rounds = fit_scored(samples, pair, start)
             rows.append(("-".join(pair), init, None if start is None else round(start, 9), round(p, 6), rounds))
             models.append(Recogniser(init, "con", pair, cost_of(p)))
-        held = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11)
+        held = switched_texts(pool.filter("split = 'test'"), pair, TEST, 11, test)
         rated = error_rates(held, models, lexicon, "sample_id", noise=NOISE).withColumnRenamed("model", "_model")
         told = spark.createDataFrame(rows, "experiment string, init string, start double, switch double, rounds int")
         one = told.join(F.broadcast(rated), F.col("init") == F.col("_model")).select(*told.columns, "errors", "ref_words", "wer")

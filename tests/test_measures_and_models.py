@@ -1,6 +1,7 @@
 import itertools
 import math
 import random
+import re
 
 import numpy as np
 import pytest
@@ -8,7 +9,7 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
-from langspan.plans import experiments
+from langspan.plans import experiments, synth
 from langspan.sources import tables
 from langspan.queries import measures, studies
 
@@ -277,3 +278,41 @@ def test_studies_clean_texts_once(spark, sf):
 
 def test_averages_of_runs_read_a_table(spark, sf):
     assert "event_type" in str(measures.top5_avg(spark, sf)._jdf.queryExecution().optimizedPlan())
+
+
+def test_listed_letters_are_those_of_the_class(spark):
+    """The class that Spark splits by, letter by letter, is that of the SQL, and no range is left in it to be tried."""
+    assert "-" not in T._LISTED
+    every = "".join(chr(c) for c in range(1, 0x11000) if not 0xD800 <= c < 0xE000)
+    assert re.findall(T._LISTED, every) == re.findall(T.NOT_LETTERS, every)
+    odd = ["", " ", "--", None, "Ünder ÷ the×sea", "naïve ÿ ß\tÀB  c", "a b 1c", "Straße, İstanbul ΑΒ!", "x" * 40]
+    table = spark.createDataFrame([(w,) for w in odd], "text string")
+    got = table.select("text", F.lower("text").alias("low"), T.words(F.col("text")).alias("w"), T.normalise(F.col("text")).alias("n")).collect()
+    for r in got:
+        want = None if r["text"] is None else [w for w in re.split(T.NOT_LETTERS, r["low"]) if w]
+        assert r["w"] == want and r["n"] == (None if want is None else " ".join(want))
+
+
+def test_readings_of_many_models_are_those_of_each_by_itself():
+    rng = random.Random(3)
+    rows = [(lang, w, rng.randint(1, 99)) for lang in ("de", "en", "es") for w in {"".join(rng.choices("abcé", k=rng.randint(1, 5))) for _ in range(80)}]
+    kinds = [(("es",), False), (("es", "en"), True), (("en", "es"), False), (("de",), True), (("en", "de", "es"), True)]
+    ear, sounds = recognise._Hearing(rows, kinds, 0.3, 5), ["".join(rng.choices("abcdé", k=rng.randint(1, 6))) for _ in range(300)]
+    for _ in range(2):
+        for (langs, pooled), got in zip(kinds, ear.readings(sounds), strict=True):
+            one = recognise.Lexicons.from_counts(rows, langs, pooled)
+            assert got == [one.candidates(w) for w in sounds]
+    assert len(ear.memo) == len(set(sounds))
+    for key in (7, "a:1", None):
+        assert recognise.heard_words(sounds, key, 0.3, 5) == [recognise.heard(w, key, i, 0.3, 5) for i, w in enumerate(sounds)]
+
+
+@pytest.mark.parametrize(("query", "splits"), [("wer_monolingual", 1), ("init_study", 2)])
+def test_studies_count_and_number_once_for_all_pairs(spark, sf, monkeypatch, query, splits):
+    done = []
+    for where, name in ((experiments, "lexicon_rows"), (synth, "indexed_pool")):
+        monkeypatch.setattr(where, name, lambda *a, f=getattr(where, name), name=name: done.append(name) or f(*a))
+    monkeypatch.setattr(experiments, "fit_scored", lambda *a: (0.1, 1))
+    monkeypatch.setattr(experiments, "fit_switch", lambda *a: (0.1, 1))
+    getattr(experiments, query)(spark, sf)
+    assert sorted(done) == ["indexed_pool"] * splits + ["lexicon_rows"]
