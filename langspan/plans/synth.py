@@ -196,7 +196,8 @@ def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig, indexed:
     if cfg.attempts < 2:
         return done
     left = durable(samples.select("sample_id").join(done.select(F.col("sample_id").alias("_done")), F.col("sample_id") == F.col("_done"), "left_anti"))
-    more = _filled(left, index, sizes, cfg, 1, cfg.attempts).filter(finished)
+    dealt = left.repartition(pool.sparkSession.sparkContext.defaultParallelism)  # few ids, which lie together, with hundreds of draws each
+    more = _filled(dealt, index, sizes, cfg, 1, cfg.attempts).filter(finished)
     more = more.groupBy("sample_id").agg(F.min_by("state", "attempt").alias("state"))
     return done.union(more.select("sample_id", "state.total", "state.picks"))
 

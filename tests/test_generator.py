@@ -156,3 +156,14 @@ def test_sweep_keeps_profiles_alone(spark, pool, monkeypatch):
     assert not {"Join", "Generate", "Aggregate"} & set(str(got._jdf.queryExecution().optimizedPlan()).replace("(", " ").split())
     apart = [(name, *r) for name, cfg in configs for r in synth.profile(synth.plan(pool, cfg, synth.count_for_share(pool, cfg, 0.05))).collect()]
     assert sorted(map(tuple, got.collect())) == sorted(apart)
+
+
+def test_further_attempts_are_dealt_out(spark, monkeypatch):
+    """Samples that need more attempts are few and lie in one part; their many draws are made by all cores."""
+    cfg = synth.SynthConfig(draws=8, attempts=30, seed=3)
+    pool = spark.createDataFrame([(lang, 1000 * k + j, 300 + 7 * j) for k, lang in enumerate(("en", "es")) for j in range(200)], "lang string, utt_id long, n_samples int")
+    seen = []
+    monkeypatch.setattr(synth, "_filled", lambda samples, *a, f=synth._filled: seen.append((samples.count(), samples.rdd.getNumPartitions())) or f(samples, *a))
+    planned = synth.plan_samples(synth.range_of(spark, 300), pool, cfg)
+    assert planned.count() == planned.select("sample_id").distinct().count() == 300
+    assert len(seen) == 2 and 0 < seen[1][0] < 300 and seen[1][1] == spark.sparkContext.defaultParallelism
