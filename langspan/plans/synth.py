@@ -21,6 +21,8 @@ from langspan.functions.text import SAMPLE_RATE, hash48, hash48_sql
 from langspan.session import durable
 
 _SPAN = float(1 << 48)
+#: Further attempts that all unfinished samples make before the others are made for those that need them.
+SOON = 2
 
 
 @dataclass(frozen=True)
@@ -122,16 +124,31 @@ def _uniform(cfg: SynthConfig, sample: Column, draw: Column, purpose: str) -> Co
 
 
 def drawn(samples: DataFrame, cfg: SynthConfig, sizes: dict[str, int], first: int, last: int) -> DataFrame:
-    """sample_id, draw, lang, idx of draws first to last - 1."""
+    """sample_id, draw, lang, idx of draws first to last - 1.
+
+    The two hashes of a draw come from a generator of one row, below which no filter moves: moved, a filter on the language or
+    the number would hash once more for every place that names them.
+    """
     each = samples.withColumn("draw", F.explode(F.sequence(F.lit(first), F.lit(last - 1))))
-    u = _uniform(cfg, F.col("sample_id"), F.col("draw"), "lang") / _SPAN
+    hashes = F.struct(*(_uniform(cfg, F.col("sample_id"), F.col("draw"), what).alias(name) for what, name in (("lang", "_u"), ("utt", "_v"))))
+    each = each.select("*", F.inline(F.array(hashes))).withColumn("_u", F.col("_u") / _SPAN)
     lang, size = F.lit(None).cast("string"), F.lit(None).cast("bigint")
     for name, low, high in reversed(cfg.shares):
         inside = (F.col("_u") >= low) & (F.col("_u") < high)
         lang = F.when(inside, name).otherwise(lang)
         size = F.when(inside, sizes.get(name, 0)).otherwise(size)
-    each = each.withColumn("_u", u).withColumn("lang", lang).withColumn("_size", size).filter(F.col("_size") > 0)
-    return each.withColumn("idx", _uniform(cfg, F.col("sample_id"), F.col("draw"), "utt") % F.col("_size")).drop("_u", "_size")
+    each = each.withColumn("lang", lang).withColumn("_size", size).filter(F.col("_size") > 0)
+    return each.withColumn("idx", F.col("_v") % F.col("_size")).drop("_u", "_v", "_size")
+
+
+def candidates(samples: DataFrame, index: DataFrame, sizes: dict[str, int], cfg: SynthConfig, first: int, last: int) -> DataFrame:
+    """sample_id, draw, lang, utt_id, n_samples of draws first to last - 1; index: ``_lang``, ``_idx``, utt_id, n_samples.
+
+    Every draw has its utterance, so that an outer join gives what an inner one would. Spark takes a sample's draws to be as
+    small as its id and would broadcast millions of them through the driver; of an outer join it may only broadcast the index.
+    """
+    found = drawn(samples, cfg, sizes, first, last).join(index, (F.col("lang") == F.col("_lang")) & (F.col("idx") == F.col("_idx")), "left")
+    return found.select("sample_id", "draw", "lang", "utt_id", "n_samples")
 
 
 _PICK = "array<struct<lang string, utt_id bigint, start int, n_samples int>>"
@@ -159,20 +176,43 @@ def fold(candidates: Column, state: Column, cfg: SynthConfig) -> Column:
     return F.aggregate(candidates, state, step)
 
 
+def _finished(cfg: SynthConfig) -> Column:
+    """Whether the state of a sample's attempt is one of a sample."""
+    done = (F.col("state.total") >= cfg.low) & ~F.col("state.dead")
+    if cfg.require_mixed:
+        done = done & (F.size(F.array_distinct(F.transform("state.picks", lambda p: p["lang"]))) > 1)
+    return done
+
+
+def _listed(samples: DataFrame, index: DataFrame, sizes: dict[str, int], cfg: SynthConfig, low: int, high: int) -> DataFrame:
+    """_of (the sample), attempt, c: the candidates of draws low to high - 1 in order."""
+    found = candidates(samples, index, sizes, cfg, low, high)
+    listed = found.groupBy(F.col("sample_id").alias("_of"), F.expr(f"draw div {cfg.draws}").cast("int").alias("attempt"))
+    return listed.agg(F.sort_array(F.collect_list(F.struct("draw", "lang", "utt_id", "n_samples"))).alias("c"))
+
+
 def _filled(samples: DataFrame, index: DataFrame, sizes: dict[str, int], cfg: SynthConfig, first: int, last: int) -> DataFrame:
-    """sample_id, attempt, state of every sample after the draws from first to last - 1 of each attempt, in waves.
+    """sample_id, attempt, state of every sample after the draws from first to last - 1 of each attempt; the first attempt in
+    waves, further ones a few (SOON) at first and the others for the samples that those did not finish.
 
     Draws are numbered on from attempt to attempt. Waves only make draws that are still needed."""
     empty = F.struct(F.lit(cfg.begin + cfg.end).alias("total"), F.array().cast(_PICK).alias("picks"), F.lit(False).alias("dead"))
-    waves = cfg.waves if cfg.waves and (first, last) == (0, 1) else (cfg.draws,)
+    if (first, last) != (0, 1):
+        going, done = samples.select("sample_id"), None
+        for low, high in ((first, min(first + SOON, last)), (first + SOON, last)):
+            if low < high:
+                listed = _listed(going, index, sizes, cfg, low * cfg.draws, high * cfg.draws)
+                filled = durable(listed.select(F.col("_of").alias("sample_id"), "attempt", fold(F.col("c"), empty, cfg).alias("state")))
+                done = filled if done is None else done.union(filled)
+                ended = filled.filter(_finished(cfg)).select(F.col("sample_id").alias("_ended")).distinct()
+                going = going.join(ended, F.col("sample_id") == F.col("_ended"), "left_anti")
+        return done
+    waves = cfg.waves or (cfg.draws,)
     if sum(waves) != cfg.draws:
         raise ValueError("waves must add up to the draws")
     going, done, at = samples.select("sample_id").withColumn("state", empty), None, 0
     for wave in waves:
-        low, high = (at, at + wave) if last == 1 else (first * cfg.draws, last * cfg.draws)
-        found = drawn(going.select("sample_id"), cfg, sizes, low, high).join(index, (F.col("lang") == F.col("_lang")) & (F.col("idx") == F.col("_idx")))
-        listed = found.groupBy(F.col("sample_id").alias("_of"), F.expr(f"draw div {cfg.draws}").cast("int").alias("attempt"))
-        listed = listed.agg(F.sort_array(F.collect_list(F.struct("draw", "lang", "utt_id", "n_samples"))).alias("c"))
+        listed = _listed(going.select("sample_id"), index, sizes, cfg, at, at + wave)
         state = going.join(listed, F.col("sample_id") == F.col("_of")) if at else listed.select(F.col("_of").alias("sample_id"), "attempt", empty.alias("state"), "c")
         filled = durable(state.select("sample_id", "attempt", fold(F.col("c"), F.col("state"), cfg).alias("state")))
         done = filled if done is None else done.filter(F.col("state.total") >= cfg.low).union(filled)
@@ -189,9 +229,7 @@ def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig, indexed:
     """
     index, sizes = indexed or indexed_pool(pool, cfg)
     index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
-    finished = (F.col("state.total") >= cfg.low) & ~F.col("state.dead")
-    if cfg.require_mixed:
-        finished = finished & (F.size(F.array_distinct(F.transform("state.picks", lambda p: p["lang"]))) > 1)
+    finished = _finished(cfg)
     done = _filled(samples, index, sizes, cfg, 0, 1).filter(finished).select("sample_id", "state.total", "state.picks")
     if cfg.attempts < 2:
         return done

@@ -167,3 +167,42 @@ def test_further_attempts_are_dealt_out(spark, monkeypatch):
     planned = synth.plan_samples(synth.range_of(spark, 300), pool, cfg)
     assert planned.count() == planned.select("sample_id").distinct().count() == 300
     assert len(seen) == 2 and 0 < seen[1][0] < 300 and seen[1][1] == spark.sparkContext.defaultParallelism
+
+
+def _queries(monkeypatch, make):
+    """Plans of the queries whose results ``make`` keeps."""
+    seen = []
+    with monkeypatch.context() as m:
+        m.setattr(synth, "durable", lambda df, f=synth.durable: seen.append(str(df._jdf.queryExecution().executedPlan())) or f(df))
+        make()
+    return seen
+
+
+def test_draws_are_hashed_once_and_never_broadcast(spark, monkeypatch):
+    """Spark takes the draws of few samples for small; as a broadcast they all pass through the driver."""
+    pool = spark.createDataFrame([(lang, 1000 * k + j, 300 + 7 * j) for k, lang in enumerate(("en", "es")) for j in range(200)], "lang string, utt_id long, n_samples int")
+    drawing = [q for q in _queries(monkeypatch, lambda: synth.plan(pool, synth.SynthConfig(draws=8), 300).count()) if "md5" in q]
+    assert len(drawing) == 3  # the first attempts, a few more, the others
+    for q in drawing:
+        assert q.count("md5(") == 2
+        depth = None
+        for line in q.splitlines():
+            at = len(line) - len(line.lstrip(" :+-*"))
+            depth = at if "BroadcastExchange" in line else None if depth is not None and at <= depth else depth
+            assert depth is None or "Generate" not in line
+
+
+def test_further_attempts_are_made_as_they_are_needed(spark, monkeypatch):
+    """All further attempts of every unfinished sample were drawn before; the plan is that of the first finished attempt."""
+    pool = spark.createDataFrame([(lang, 1000 * k + j, 300 + 7 * j) for k, lang in enumerate(("en", "es")) for j in range(200)], "lang string, utt_id long, n_samples int")
+    cfg, made = synth.SynthConfig(draws=8, attempts=30, seed=3), []
+    monkeypatch.setattr(synth, "drawn", lambda samples, c, sizes, low, high, f=synth.drawn: made.append((samples.count(), low, high)) or f(samples, c, sizes, low, high))
+    got = _rows(synth.plan(pool, cfg, 300))
+    (_, first, last), *more = made
+    assert (first, last) == (0, 8) and [m[1:] for m in more] == [(8, 24), (24, 240)] and more[1][0] < more[0][0] / 2
+    index, sizes = synth.indexed_pool(pool, cfg)
+    index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
+    empty = F.struct(F.lit(cfg.begin + cfg.end).alias("total"), F.array().cast(synth._PICK).alias("picks"), F.lit(False).alias("dead"))
+    every = synth._listed(synth.range_of(spark, 300), index, sizes, cfg, 0, 240).select(F.col("_of").alias("sample_id"), "attempt", synth.fold(F.col("c"), empty, cfg).alias("state"))
+    first_done = every.filter(synth._finished(cfg)).groupBy("sample_id").agg(F.min_by("state", "attempt").alias("state")).select("sample_id", "state.total", "state.picks")
+    assert got == _rows(synth.slots(first_done))
