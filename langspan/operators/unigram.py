@@ -45,59 +45,110 @@ def viterbi(word: str, pieces: dict[str, float], longest: int, without: str | No
     return best[-1][0], out[::-1]
 
 
-def piece_ends(texts: Sequence[str], pieces: dict[str, float], longest: int) -> Iterator[tuple[list[int], np.ndarray]]:
-    """Where the pieces that ``viterbi`` finds end, for many texts at a time: numbers of texts and a row for each, true at k
-    where a piece ends behind k letters. Every text comes once; sums are made in the order of ``viterbi``."""
-    lengths = np.array([len(t) for t in texts], np.int64)
+class Spans:
+    """Where pieces lie in many texts at a time. A prefix of a piece has a number (0 the empty one); (prefix, letter) leads to the
+    longer prefix."""
+
+    def __init__(self, pieces: dict[str, float], longest: int):
+        self.names, self.longest = list(pieces), longest
+        number, own, keys = {"": 0}, [-1], []
+        for at, piece in enumerate(self.names):
+            for k in range(1, len(piece) + 1):
+                if piece[:k] not in number:
+                    keys.append((number[piece[: k - 1]] << 32 | ord(piece[k - 1]), len(number)))
+                    number[piece[:k]] = len(number)
+                    own.append(-1)
+            own[number[piece]] = at
+        self.table, self.own = np.array(sorted(keys) or [(-1, 0)], np.int64), np.array(own)
+        self.score = np.array([*pieces.values(), -math.inf])  # the last is of no piece
+
+    def found(self, texts: list[str], width: int) -> tuple[np.ndarray, np.ndarray]:
+        """(length, text, start): log probabilities of the pieces there, and their numbers; -inf and -1 for none."""
+        letters = np.frombuffer("".join(t.ljust(width, "\0") for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(texts), width)
+        which = np.full((self.longest + 1, len(texts), width), -1, np.int32)
+        at, alive = np.zeros((len(texts), width), np.int64), np.ones((len(texts), width), bool)
+        for n in range(1, min(self.longest, width) + 1):
+            at, alive = at[:, : width - n + 1], alive[:, : width - n + 1]
+            row, column = np.nonzero(alive)
+            asked = at[row, column] << 32 | letters[row, column + n - 1]
+            spot = np.minimum(np.searchsorted(self.table[:, 0], asked), len(self.table) - 1)
+            hit = self.table[spot, 0] == asked
+            at, alive = np.zeros_like(at), np.zeros_like(alive)
+            at[row[hit], column[hit]], alive[row[hit], column[hit]] = self.table[spot[hit], 1], True
+            which[n, :, : width - n + 1][alive] = self.own[at[alive]]
+        return self.score[which], which
+
+
+def _tables(lengths: np.ndarray) -> Iterator[np.ndarray]:
+    """Numbers of all texts, by falling length, as many at a time as fill CELLS."""
     order = np.argsort(-lengths, kind="stable")
     while len(order):
         some, order = np.split(order, [max(1, CELLS // (int(lengths[order[0]]) + 1))])
-        yield some.tolist(), _ends([texts[k] for k in some], lengths[some], pieces, longest)
-
-
-def _ends(texts: list[str], lengths: np.ndarray, pieces: dict[str, float], longest: int) -> np.ndarray:
-    """``piece_ends`` of texts by falling length."""
-    width = int(lengths[0])
-    letters = np.frombuffer("".join(t.ljust(width, "\0") for t in texts).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(texts), width)
-    live = np.searchsorted(-lengths, -np.arange(width + 1), "right")  # texts of k letters at least
-    # a prefix of a piece by number: 0 is the empty one; (prefix, letter) -> the longer prefix
-    number, scores, keys = {"": 0}, [-math.inf], []
-    for piece, p in pieces.items():
-        for k in range(1, len(piece) + 1):
-            if piece[:k] not in number:
-                keys.append((number[piece[: k - 1]] << 32 | ord(piece[k - 1]), len(number)))
-                number[piece[:k]] = len(number)
-                scores.append(-math.inf)
-        scores[number[piece]] = p
-    table = np.array(sorted(keys) or [(-1, 0)], np.int64)
-    score = np.array(scores)
-    likely = np.full((longest + 1, len(texts), width), -math.inf)  # by length, text and start
-    at, alive = np.zeros((len(texts), width), np.int64), np.ones((len(texts), width), bool)
-    for n in range(1, min(longest, width) + 1):
-        at, alive = at[:, : width - n + 1], alive[:, : width - n + 1]
-        row, column = np.nonzero(alive)
-        asked = at[row, column] << 32 | letters[row, column + n - 1]
-        spot = np.minimum(np.searchsorted(table[:, 0], asked), len(table) - 1)
-        hit = table[spot, 0] == asked
-        at, alive = np.zeros_like(at), np.zeros_like(alive)
-        at[row[hit], column[hit]], alive[row[hit], column[hit]] = table[spot[hit], 1], True
-        likely[n, :, : width - n + 1][alive] = score[at[alive]]
-    likely[1][likely[1] == -math.inf] = FLOOR
-    best, step = np.full((len(texts), width + 1), -math.inf), np.ones((len(texts), width + 1), np.int64)
+        yield some
+
+
+def piece_ends(texts: Sequence[str], pieces: dict[str, float], longest: int) -> Iterator[tuple[list[int], np.ndarray]]:
+    """Where the pieces that ``viterbi`` finds end, for many texts at a time: numbers of texts and a row for each, true at k
+    where a piece ends behind k letters. Every text comes once; sums are made in the order of ``viterbi``."""
+    lengths, spans = np.array([len(t) for t in texts], np.int64), Spans(pieces, longest)
+    for some in _tables(lengths):
+        likely, _ = spans.found([texts[k] for k in some], int(lengths[some[0]]))
+        out = np.zeros((len(some), likely.shape[2] + 1), bool)
+        for rows, ends, _ in _cut(likely, lengths[some]):
+            out[rows, ends] = True
+        yield some.tolist(), out
+
+
+def _live(lengths: np.ndarray, width: int) -> np.ndarray:
+    """How many texts, by falling length, have k letters at least."""
+    return np.searchsorted(-lengths, -np.arange(width + 1), "right")
+
+
+def _cut(likely: np.ndarray, lengths: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """The pieces of the likeliest cut of texts by falling length, from the last to the first: numbers of texts, and where a
+    piece of each ends, and its length. A letter that no piece covers costs FLOOR."""
+    longest, (count, width) = likely.shape[0] - 1, likely.shape[1:]
+    live, first = _live(lengths, width), np.where(likely[1] == -math.inf, FLOOR, likely[1])
+    best, step = np.full((count, width + 1), -math.inf), np.ones((count, width + 1), np.int64)
     best[:, 0] = 0.0
     for end in range(1, width + 1):
         m = live[end]
         for n in range(min(longest, end), 0, -1):
-            found = best[:m, end - n] + likely[n, :m, end - n]
+            found = best[:m, end - n] + (likely[n] if n > 1 else first)[:m, end - n]
             better = found > best[:m, end]
             best[:m, end], step[:m, end] = np.where(better, found, best[:m, end]), np.where(better, n, step[:m, end])
-    out, where = np.zeros((len(texts), width + 1), bool), lengths.copy()
+    where = lengths.copy()
     rows = np.flatnonzero(where > 0)
     while len(rows):
-        out[rows, where[rows]] = True
-        where[rows] -= step[rows, where[rows]]
+        ends = where[rows]
+        yield rows, ends, step[rows, ends]
+        where[rows] -= step[rows, ends]
         rows = rows[where[rows] > 0]
-    return out
+
+
+def _shares(likely: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, Iterator[tuple[int, np.ndarray]]]:
+    """``expected`` of texts by falling length: log likelihoods over all cuts, and for each length of pieces the shares of
+    (text, start); sums are made in the order of ``expected``."""
+    longest, (count, width) = likely.shape[0] - 1, likely.shape[1:]
+    live, rows = _live(lengths, width), np.arange(count)
+    fore, back = np.full((count, width + 1), -math.inf), np.full((count, width + 1), -math.inf)
+    fore[:, 0], back[rows, lengths] = 0.0, 0.0
+    for end in range(1, width + 1):
+        m = live[end]
+        for n in range(min(longest, end), 0, -1):
+            fore[:m, end] = np.logaddexp(fore[:m, end], fore[:m, end - n] + likely[n, :m, end - n])
+    for start in range(width - 1, -1, -1):
+        m = live[start + 1]
+        for n in range(1, min(longest, width - start) + 1):
+            back[:m, start] = np.logaddexp(back[:m, start], back[:m, start + n] + likely[n, :m, start])
+    total = fore[rows, lengths]
+    whole = np.where(total > -math.inf, total, math.inf)[:, None]  # no share of what has no cut
+
+    def shares() -> Iterator[tuple[int, np.ndarray]]:
+        for n in range(1, min(longest, width) + 1):
+            yield n, np.exp(np.minimum(0.0, fore[:, : width - n + 1] + likely[n, :, : width - n + 1] + back[:, n:] - whole))
+
+    return total, shares()
 
 
 def dealt_rows(table: DataFrame) -> DataFrame:
@@ -150,35 +201,63 @@ def pair_counts(docs: DataFrame, keys: Sequence[str] = ("lang",)) -> DataFrame:
     return each.groupBy(*keys, "piece").agg(F.count(F.lit(1)).alias("n"))
 
 
+def expected_of(words_: Sequence[str], counts: np.ndarray, spans: Spans, used: bool) -> tuple[float, np.ndarray, np.ndarray]:
+    """Of words that come so often: the log likelihood of those that the pieces can make, the ``expected`` count of every
+    piece by number, and with ``used`` how often each is in the likeliest cuts."""
+    lengths, size = np.array([len(w) for w in words_], np.int64), len(spans.names)
+    likelihood, share, cut = 0.0, np.zeros(size), np.zeros(size)
+    for some in _tables(lengths):
+        likely, which = spans.found([words_[k] for k in some], int(lengths[some[0]]))
+        n_of, long_ = counts[some].astype(np.float64), lengths[some]
+        total, shares = _shares(likely, long_)
+        made = total > -math.inf
+        likelihood += float((n_of[made] * total[made]).sum())
+        for n, part in shares:
+            row, column = np.nonzero((part > 1e-9) & (which[n, :, : part.shape[1]] >= 0))
+            share += np.bincount(which[n, row, column], weights=part[row, column] * n_of[row], minlength=size)
+        for rows, ends, n in _cut(likely, long_) if used else ():
+            number = which[n, rows, ends - n]
+            own = made[rows] & (number >= 0)
+            cut += np.bincount(number[own], weights=n_of[rows[own]], minlength=size)
+    return likelihood, share, cut
+
+
 def _pass(counts: DataFrame, pieces: dict[str, dict[str, float]], longest: int, losses: bool) -> dict[str, dict[str, tuple[float, float]]]:
-    """lang -> piece -> (expected count, likelihood lost without it); and under "" the log likelihood."""
+    """lang -> piece -> (expected count, likelihood lost without it); and under "" the log likelihood.
+
+    Tasks work on many words at a time. What one use of a piece loses without it is the same in every word: it is found once,
+    on the driver, which holds the pieces, for those that are used."""
     spark = counts.sparkSession
     shared = spark.sparkContext.broadcast(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        spans: dict[str, Spans] = {}
         total: dict[tuple[str, str], list[float]] = {}
         for b in batches:
-            for lang, word, n in zip(b.column("lang").to_pylist(), b.column("piece").to_pylist(), b.column("n").to_pylist(), strict=True):
-                have = shared.value.get(lang, {})
-                likely, found = expected(MARK + word, have, longest)
-                if likely == -math.inf:
-                    continue
-                total.setdefault((lang, ""), [0.0, 0.0])[0] += n * likely
-                for piece, share in found.items():
-                    total.setdefault((lang, piece), [0.0, 0.0])[0] += n * share
-                if losses:
-                    best, path = viterbi(MARK + word, have, longest)
-                    for piece in set(path):
-                        if len(piece) > 1 and piece != UNK:
-                            other, _ = viterbi(piece, have, longest, without=piece)
-                            total[(lang, piece)][1] += n * path.count(piece) * (have[piece] - other)
+            langs, n = b.column("lang").to_pylist(), b.column("n").to_numpy()
+            marked = [MARK + w for w in b.column("piece").to_pylist()]
+            by: dict[str, list[int]] = {}
+            for k, lang in enumerate(langs):
+                by.setdefault(lang, []).append(k)
+            for lang, rows in by.items():
+                if lang not in spans:
+                    spans[lang] = Spans(shared.value.get(lang, {}), longest)
+                likelihood, share, cut = expected_of([marked[k] for k in rows], n[rows], spans[lang], losses)
+                total.setdefault((lang, ""), [0.0, 0.0])[0] += likelihood
+                for at in np.flatnonzero((share > 0) | (cut > 0)).tolist():
+                    sums = total.setdefault((lang, spans[lang].names[at]), [0.0, 0.0])
+                    sums[0] += float(share[at])
+                    sums[1] += float(cut[at])
         keys = list(total)
-        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.string()), *(pa.array([total[k][c] for k in keys], pa.float64()) for c in (0, 1))], ["lang", "piece", "e", "loss"])
+        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.string()), *(pa.array([total[k][c] for k in keys], pa.float64()) for c in (0, 1))], ["lang", "piece", "e", "used"])
 
-    sums = counts.mapInArrow(run, "lang string, piece string, e double, loss double").groupBy("lang", "piece").agg(F.round(F.sum("e"), 6).alias("e"), F.round(F.sum("loss"), 6).alias("loss"))
+    sums = counts.mapInArrow(run, "lang string, piece string, e double, used double").groupBy("lang", "piece").agg(F.round(F.sum("e"), 6).alias("e"), F.sum("used").alias("used"))
     out: dict[str, dict[str, tuple[float, float]]] = {}
     for r in sums.collect():
-        out.setdefault(r["lang"], {})[r["piece"]] = (r["e"], r["loss"])
+        lang, piece, have, lost = r["lang"], r["piece"], pieces.get(r["lang"], {}), 0.0
+        if r["used"] and len(piece) > 1:
+            lost = r["used"] * (have[piece] - viterbi(piece, have, longest, without=piece)[0])
+        out.setdefault(lang, {})[piece] = (r["e"], round(lost, 6))
     return out
 
 

@@ -227,7 +227,10 @@ def plan_samples(samples: DataFrame, pool: DataFrame, cfg: SynthConfig, indexed:
 
     Most samples need one attempt; all further attempts of the others are made in a second pass over them alone.
     """
-    index, sizes = indexed or indexed_pool(pool, cfg)
+    if indexed is None:
+        index, sizes = indexed_pool(pool, cfg)
+        indexed = durable(index), sizes
+    index, sizes = indexed
     index = index.select(F.col("lang").alias("_lang"), F.col("idx").alias("_idx"), "utt_id", "n_samples")
     finished = _finished(cfg)
     done = _filled(samples, index, sizes, cfg, 0, 1).filter(finished).select("sample_id", "state.total", "state.picks")

@@ -7,16 +7,24 @@ from pyspark.sql import functions as F
 
 from langspan.functions import text as T
 from langspan.operators import lid, metrics, unigram, vocab
-from langspan.queries.base import BEST_SQL, OFFSET_SQL, VOCAB, VOCAB_SQL, tokenizers
-from langspan.queries.waves import PLAN, SWEEP, TEST, TRAIN, _planned, _pool, planned
+from langspan.plans import synth
+from langspan.queries.base import BEST_SQL, OFFSET_SQL, VOCAB, VOCAB_SQL, tokenizers, utts
+from langspan.queries.waves import PLAN, SWEEP, TEST, TRAIN, _planned, _planned_samples
 from langspan.session import durable
 
 
-def _segments(spark: SparkSession, sf_dir: str, split: str = "train", share: float = SWEEP) -> DataFrame:
-    """sample_id, slot, lang, text of generated samples."""
-    drawn = planned(spark, sf_dir, share, split).select("sample_id", "slot", "lang", F.col("utt_id").alias("_utt"))
-    texts = _pool(spark, sf_dir, split).dropDuplicates(["utt_id"]).select("utt_id", "text")
-    return drawn.join(texts, F.col("_utt") == F.col("utt_id")).select("sample_id", "slot", "lang", "text")
+def _texts(spark: SparkSession, sf_dir: str, *splits: str) -> DataFrame:
+    """Utterances of the plan's languages, cleaned once: plans read their lengths, samples their texts."""
+    mine = utts(spark, sf_dir).filter(F.col("split").isin(*splits) & F.col("lang").isin([lang for lang, _, _ in PLAN.shares]))
+    return durable(mine.select("utt_id", "lang", "text", "n_samples", "split"))
+
+
+def _segments(spark: SparkSession, sf_dir: str, split: str = "train", share: float = SWEEP, texts: DataFrame | None = None) -> DataFrame:
+    """sample_id, slot, lang, text of generated samples. ``texts``: ``_texts``, if made before."""
+    pool = (_texts(spark, sf_dir, split) if texts is None else texts).filter(F.col("split") == split)
+    lengths = durable(pool.select("lang", "utt_id", "n_samples"))
+    drawn = synth.slots(_planned_samples(spark, lengths, PLAN, share)).select("sample_id", "slot", "lang", F.col("utt_id").alias("_utt"))
+    return drawn.join(pool.dropDuplicates(["utt_id"]).select("utt_id", "text"), F.col("_utt") == F.col("utt_id")).select("sample_id", "slot", "lang", "text")
 
 
 def _words(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -61,9 +69,10 @@ def straddling_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     segment by its own. ``n_across`` pieces hold letters of two words; ``n_straddled`` switches lie inside a piece. No SQL
     twin: trained by iteration.
     """
-    segments = durable(_segments(spark, sf_dir, share=TRAIN))
+    texts = _texts(spark, sf_dir, "train", "test")
+    segments = durable(_segments(spark, sf_dir, share=TRAIN, texts=texts))
     held = F.sort_array(F.collect_list(F.struct("slot", "lang", "text"))).alias("segments")
-    tests = unigram.dealt_rows(durable(_segments(spark, sf_dir, "test", TEST).groupBy("sample_id").agg(held)))
+    tests = unigram.dealt_rows(durable(_segments(spark, sf_dir, "test", TEST, texts).groupBy("sample_id").agg(held)))
     whole = segments.groupBy("sample_id").agg(held).select(F.array_join(F.transform("segments", lambda s: s["text"]), " ").alias("text"))
     both = {"size": 2 * vocab.BLOCK, "seed_size": 4000, "across": True}
     all_of = F.lit("all").alias("lang")

@@ -11,7 +11,7 @@ from langspan.functions import text as T
 from langspan.operators import lid, metrics, recognise, unigram
 from langspan.plans import experiments, synth
 from langspan.sources import tables
-from langspan.queries import measures, studies
+from langspan.queries import measures, studies, switched
 
 
 def _wer(spark, ref, hyp):
@@ -193,6 +193,14 @@ def test_pieces_across_switches(spark):
     assert {r["n_straddled"] for r in unigram.encode_switched(samples.filter("sample_id < 30"), forced, "all").collect()} == {1}
 
 
+def test_straddling_pieces_cleans_texts_once(spark, sf, monkeypatch):
+    """They were cleaned for the plans and for the samples of either split."""
+    made, train = [], unigram.train_unigram
+    monkeypatch.setattr(T, "utterances", lambda docs, f=T.utterances: made.append(docs) or f(docs))
+    monkeypatch.setattr(unigram, "train_unigram", lambda docs, across=False, **_: train(docs, size=40, seed_size=60, rounds=1, across=across))
+    assert switched.straddling_pieces(spark, sf).count() == 3 and len(made) == 1
+
+
 def test_pieces_of_many_texts_equal_those_of_one(monkeypatch):
     """Ties, letters that no piece covers, empty texts and cut-up tables among them."""
     rng = random.Random(12)
@@ -209,6 +217,31 @@ def test_pieces_of_many_texts_equal_those_of_one(monkeypatch):
     assert list(unigram.piece_ends([], {}, 1)) == []
 
 
+def test_expected_counts_of_many_words_equal_those_of_one(monkeypatch):
+    """Pieces that no word uses, words that the pieces can't make, repeats and cut-up tables among them."""
+    rng = random.Random(21)
+    for longest in (3, 5):
+        pieces = {c: -3.0 for c in "ab▁é"} | {"".join(rng.choices("ab▁é", k=rng.randint(1, longest))): rng.choice([-1.0, -2.0, -25.0]) for _ in range(40)}
+        words = ["".join(rng.choices("ab▁éz" if k % 5 == 0 else "ab▁é", k=rng.choice([1, 2, 5, 30]))) for k in range(200)]
+        counts = np.array([rng.randint(1, 90) for _ in words])
+        likelihood, share, cut = 0.0, dict.fromkeys(pieces, 0.0), dict.fromkeys(pieces, 0)
+        for word, n in zip(words, counts.tolist(), strict=True):
+            likely, found = unigram.expected(word, pieces, longest)
+            if likely > -math.inf:
+                likelihood += n * likely
+                for piece, part in found.items():
+                    share[piece] += n * part
+                for piece in unigram.viterbi(word, pieces, longest)[1]:
+                    cut[piece] += n
+        for cells in (unigram.CELLS, 90):
+            monkeypatch.setattr(unigram, "CELLS", cells)
+            got = unigram.expected_of(words, counts, unigram.Spans(pieces, longest), True)
+            assert got[0] == pytest.approx(likelihood) and got[1].tolist() == pytest.approx(list(share.values()), rel=1e-6, abs=1e-6)
+            assert got[2].tolist() == list(cut.values())
+        assert not unigram.expected_of(words, counts, unigram.Spans(pieces, longest), False)[2].any()
+    assert unigram.expected_of(["ab"], np.array([3]), unigram.Spans({}, 1), True)[0] == 0.0
+
+
 def test_training_uses_all_cores(spark):
     words = spark.createDataFrame([(k, "xx", f"w{chr(97 + k % 9)} v{chr(97 + k % 7)}") for k in range(60)], "doc_id bigint, lang string, text string").coalesce(1)
     counted = unigram.dealt_rows(unigram.durable(unigram.word_counts(words)))
