@@ -176,20 +176,21 @@ def recognise(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[tup
 
 
 #: Cells (text, word) of padded tables and words of texts that are worked on at a time.
-CELLS, SLICE = 1 << 20, 100_000
+CELLS, SLICE = 1 << 19, 300_000
 #: Code points stand for words from here on; the surrogates are passed over.
 FIRST, LAST = 256, 0x10FFFF - 0x800
 
 
-def best_paths(scores: np.ndarray, lengths: np.ndarray, switch_cost: float) -> np.ndarray:
+def best_paths(scores: np.ndarray, lengths: np.ndarray, switch_cost: float | np.ndarray) -> np.ndarray:
     """(texts, words): the language numbers that ``best_path`` finds, for many texts at a time. scores: (texts, words,
-    languages), texts by falling length and none empty, languages by name; what lies beyond a text's length is undefined."""
+    languages), texts by falling length and none empty, languages by name; what lies beyond a text's length is undefined.
+    ``switch_cost``: one for all, or one for each text."""
     n, width, langs = scores.shape
     path = np.zeros((n, width), np.int8)
     if langs < 2 or not n:
         return path
     live = np.searchsorted(-lengths, -np.arange(width), "left")  # texts of more than k words
-    came, cost = np.zeros((width, n, langs), np.int8), -scores[:, 0]
+    came, cost, price = np.zeros((width, n, langs), np.int8), -scores[:, 0], np.broadcast_to(switch_cost, (n,))
     for k in range(1, width):
         m = live[k]
         before, fresh = cost[:m], np.empty((m, langs))
@@ -197,7 +198,7 @@ def best_paths(scores: np.ndarray, lengths: np.ndarray, switch_cost: float) -> n
             least, at = before[:, to] + 0.0, np.full(m, to, np.int8)
             for o in range(langs):
                 if o != to:
-                    via = before[:, o] + switch_cost
+                    via = before[:, o] + price[:m]
                     better = via < least
                     least, at = np.where(better, via, least), np.where(better, np.int8(o), at)
             fresh[:, to], came[k, :m, to] = least - scores[:m, k, to], at
@@ -228,6 +229,36 @@ def _letters(numbers: np.ndarray) -> str:
     return (codes + np.where(codes >= 0xD800, 0x800, 0)).astype("<u4").tobytes().decode("utf-32-le")
 
 
+#: From so many words on, Python finds the errors of a text: Spark's edit distance costs the square of the words for each model.
+LONG = 30
+
+
+def distances(ref: str, hyps: Sequence[str]) -> list[int]:
+    """Levenshtein distances of texts of one length from ``ref``, a column of their tables at a time: bits tell where the
+    columns go up or down by one. The columns of all texts lie in one number, a zero bit between them."""
+    size = len(hyps[0])
+    starts = sum(1 << k * (size + 1) for k in range(len(hyps)))
+    where = dict.fromkeys(ref, 0)
+    for k, column in enumerate(zip(*hyps, strict=True)):
+        if column.count(column[0]) == len(column):
+            if column[0] in where:
+                where[column[0]] |= starts << k
+            continue
+        for at, c in enumerate(column):
+            if c in where:
+                where[c] |= 1 << k + at * (size + 1)
+    every = starts * ((1 << size) - 1)
+    starts &= every
+    up, down = every, 0
+    for c in ref:
+        same = where[c]
+        flat = ((((same & up) + up) ^ up) | same | down) & every
+        right, left = (down | every & ~(flat | up)) << 1 & every | starts, (flat & up) << 1 & every
+        up, down = left | every & ~(flat | right), flat & right
+    one = (1 << size) - 1
+    return [len(ref) + (up >> k & one).bit_count() - (down >> k & one).bit_count() for k in range(0, len(hyps) * (size + 1), size + 1)]
+
+
 #: (languages, pooled): what a model's lexicons are made of.
 Kind = tuple[tuple[str, ...], bool]
 
@@ -286,12 +317,14 @@ def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[t
 
     Words are heard once for all models, and read once for those of the same lexicons; paths are found for many texts at a
     time. References and what models make of them leave Python as one code point a word, so that Spark has only the
-    distances to find: one row for each text, no text for each model.
+    distances to find: one row for each text, no text for each model. Of texts of LONG words the errors themselves leave Python,
+    found once for models that make the same of a text.
     """
     spark = texts.sparkSession
     ship(spark)
     kinds = list(dict.fromkeys((m.langs, m.tokenizer == "agg") for m in models))
     of = [kinds.index((m.langs, m.tokenizer == "agg")) for m in models]
+    by_langs = [[at for at, m in enumerate(models) if len(m.langs) == n] for n in sorted({len(m.langs) for m in models})]
     shared = spark.sparkContext.broadcast(_Hearing(rows, kinds, noise, seed))
 
     def rate(ear: _Hearing, keys: list, ws: list[list[str]]) -> tuple[list[str], list[list[str]]]:
@@ -310,12 +343,15 @@ def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[t
         hyps = [[""] * len(models) for _ in ws]
         for some in _tables(lengths):
             heard_ = _padded(flat, starts, lengths, some)
-            for at, m in enumerate(models):
-                scores, names = read[of[at]]
-                path = best_paths(scores[heard_], lengths[some], m.switch_cost)
-                said, width = _letters(names[heard_, path].ravel()), path.shape[1]
-                for row, (k, n) in enumerate(zip(some.tolist(), lengths[some].tolist(), strict=True)):
-                    hyps[k][at] = said[row * width : row * width + n]
+            for same in by_langs:
+                # the paths of all models of as many languages at once: what a step costs is hardly more for more rows
+                stacked = np.stack([read[of[at]][0][heard_] for at in same], axis=1)
+                paths = best_paths(stacked.reshape(-1, *stacked.shape[2:]), np.repeat(lengths[some], len(same)), np.tile([models[at].switch_cost for at in same], len(some)))
+                for one, at in enumerate(same):
+                    path = paths[one :: len(same)]
+                    said, width = _letters(read[of[at]][1][heard_, path].ravel()), path.shape[1]
+                    for row, (k, n) in enumerate(zip(some.tolist(), lengths[some].tolist(), strict=True)):
+                        hyps[k][at] = said[row * width : row * width + n]
         return told, hyps
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -327,13 +363,19 @@ def error_rates(texts: DataFrame, models: Sequence[Recogniser], rows: Sequence[t
                 some = rate(ear, keys[first:end], ws[first:end])
                 told += some[0]
                 hyps += some[1]
-            columns = [*(b.column(f"by{k}") for k in range(len(by))), pa.array(told, pa.string()), pa.array(map(len, ws), pa.int32()), pa.array(hyps, pa.list_(pa.string()))]
-            yield pa.RecordBatch.from_arrays(columns, [*(f"by{k}" for k in range(len(by))), "r", "n", "h"])
+            errors = [[0] * len(models) for _ in ws]
+            for k, ref in enumerate(told):
+                if len(ref) >= LONG:
+                    apart = list(dict.fromkeys(hyps[k]))
+                    known = dict(zip(apart, distances(ref, apart), strict=True))
+                    errors[k], told[k], hyps[k] = [known[hyp] for hyp in hyps[k]], "", [""] * len(models)
+            columns = [*(b.column(f"by{k}") for k in range(len(by))), pa.array(told, pa.string()), pa.array(map(len, ws), pa.int32()), pa.array(hyps, pa.list_(pa.string())), pa.array(errors, pa.list_(pa.int32()))]
+            yield pa.RecordBatch.from_arrays(columns, [*(f"by{k}" for k in range(len(by))), "r", "n", "h", "e"])
 
     asked = texts.select(*(F.col(c).alias(f"by{k}") for k, c in enumerate(by)), F.col(key).alias("key"), words(F.col(text_col)).alias("w"))
     types = dict(asked.dtypes)
-    said = asked.mapInArrow(run, ", ".join([*(f"by{k} {types[f'by{k}']}" for k in range(len(by))), "r string, n int, h array<string>"]))
-    sums = said.groupBy(*(f"by{k}" for k in range(len(by)))).agg(F.count(F.lit(1)).alias("_n"), F.sum("n").cast("bigint").alias("ref_words"), *(F.sum(F.levenshtein("r", F.get("h", F.lit(k)))).cast("bigint").alias(f"_e{k}") for k in range(len(models))))
+    said = asked.mapInArrow(run, ", ".join([*(f"by{k} {types[f'by{k}']}" for k in range(len(by))), "r string, n int, h array<string>, e array<int>"]))
+    sums = said.groupBy(*(f"by{k}" for k in range(len(by)))).agg(F.count(F.lit(1)).alias("_n"), F.sum("n").cast("bigint").alias("ref_words"), *(F.sum(F.levenshtein("r", F.get("h", F.lit(k))) + F.get("e", F.lit(k))).cast("bigint").alias(f"_e{k}") for k in range(len(models))))
     each = F.array(*(F.struct(F.lit(m.name).alias("model"), F.lit(m.tokenizer).alias("tokenizer"), F.col(f"_e{k}").alias("errors")) for k, m in enumerate(models)))
     out = sums.filter("_n > 0").select(*(F.col(f"by{k}").alias(c) for k, c in enumerate(by)), "ref_words", F.inline(each))
     return out.select(*by, "model", "tokenizer", "errors", "ref_words", F.when(F.col("ref_words") > 0, F.round(100 * F.col("errors") / F.col("ref_words"), 6)).alias("wer"))

@@ -275,6 +275,25 @@ def test_dealing_out_a_small_table_keeps_its_rows(spark, sf, monkeypatch):
     assert [sorted(measures.wer_words(spark, sf).collect())] == same
 
 
+def test_distances_of_long_texts(spark, monkeypatch):
+    """Against Spark's; the distances of long texts are found in Python, once for models that make the same of a text."""
+    rng = random.Random(5)
+    pairs = [("".join(rng.choices("abcdĀ", k=rng.choice([0, 1, 2, 9, 63, 64, 65, 130]))), "".join(rng.choices("abcdĀ", k=rng.choice([0, 1, 3, 9, 64, 131])))) for _ in range(200)]
+    pairs += [(a, a[: len(a) // 2] + "x" + a[len(a) // 2 + 1 :]) for a, _ in pairs] + [(a, a[1:] + "b") for a, _ in pairs]
+    table = spark.createDataFrame(pairs, "a string, b string")
+    assert all(recognise.distances(r["a"], [r["b"]]) == [r["d"]] for r in table.select("*", F.levenshtein("a", "b").alias("d")).collect())
+    many = ["".join(rng.choices("abcdĀ", k=70)) for _ in range(6)] + ["a" * 70, "z" * 70]
+    many += [many[0][:30] + "z" + many[0][31:]]
+    assert all(recognise.distances(a, many) == [recognise.distances(a, [b])[0] for b in many] for a, _ in pairs[:40])
+    asked = []
+    monkeypatch.setattr(F, "levenshtein", lambda a, b, f=F.levenshtein: asked.append(b) or f(F.assert_true(F.length(a) < recognise.LONG).isNull().cast("string"), F.lit("true")) + f(a, b))
+    texts = spark.createDataFrame([(0, " ".join(["red"] * 40 + ["blue"] * 80)), (1, "red blue")], "k long, text string")
+    lexicon = [("a", "red", 9), ("b", "blue", 9)]
+    models = [recognise.Recogniser("mono", "mono", ("a",)), recognise.Recogniser("never", "con", ("a", "b"))]
+    got = {r["model"]: (r["errors"], r["ref_words"]) for r in recognise.error_rates(texts, models, lexicon, "k", noise=0.0).collect()}
+    assert len(asked) == 2 and got == {"mono": (81, 122), "never": (41, 122)}
+
+
 def test_error_rates_of_models_equal_those_of_their_words(spark, monkeypatch):
     """Against recognising, writing out and comparing word by word; empty, null, long and cut-up tables among them."""
     rng = random.Random(8)
